@@ -108,8 +108,12 @@ def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return mix((h[ends] - h[starts]) * inv[starts] + (ends - starts).astype(np.uint64)), per_row, starts, ends
 
 
-def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all k-word shingles and how many each row has; a row with fewer words, but some, gives its whole sequence."""
+def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int, sizes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all k-word shingles and how many each row has; a row with fewer words, but some, gives its whole sequence.
+
+    With sizes (bytes of each word) the two upper bits tell how short the shingle is: short ones, made of function
+    words, are the common ones, and then come last in hash order.
+    """
     first = np.concatenate([[0], np.cumsum(per_row)])
     count = np.where(per_row >= k, per_row - k + 1, np.minimum(per_row, 1))
     n = len(hashes)
@@ -128,6 +132,13 @@ def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int) -> tuple[np.ndarra
             own = hashes[first[row] : first[row + 1]]
             weights = np.array([int(_GRAM[j % len(_GRAM)]) + 2 * (j // len(_GRAM)) for j in range(len(own))], dtype=np.uint64)
             out[to] = mix((own * weights).sum(dtype=np.uint64, keepdims=True) + np.uint64(len(own)))[0]
+    if sizes is not None:
+        run = np.concatenate([[0], np.cumsum(sizes)])
+        total_size = run[np.minimum(at + k, n)] - run[at]
+        short_class = (total_size < 6 * k).astype(np.uint64) + (total_size < 4 * k).astype(np.uint64)
+        if len(short):
+            short_class[place] = 0
+        out = (out >> np.uint64(2)) | (short_class << np.uint64(62))
     return out, count
 
 

@@ -1,10 +1,11 @@
 """Set similarity join on word n-grams by token-combination prefixes.
 
-Every document is the set of its distinct n-word shingles, as 64-bit hashes in hash order. Two sets with a Jaccard
+Every document is the set of its distinct n-word shingles, as 64-bit hashes in hash order, in which shingles of short
+words, the common ones, come last. Two sets with a Jaccard
 similarity of at least t share a shingle within their prefixes (the first |S| - ceil(t|S|) + 1 ones), and share k of
 them within prefixes that are k - 1 longer. Shingles that few prefixes hold are indexed alone. Frequent ones are
 indexed in combinations of two, then three, so a line that a third of all documents hold brings no pairs by itself.
-All candidates are verified on whole sets.
+A candidate's prefixes alone bound its overlap from above; what that bound leaves is verified on whole sets.
 
 Groups of copies never become all pairs: documents with equal sets are one node from the start; then every document
 is verified against a few chosen members of each key it shares (stars), and only keys that still join different
@@ -34,7 +35,7 @@ RARE = 24
 #: Longest combination; larger keys are then compared block by block.
 LONGEST = 3
 #: Chosen members that every document of a key is compared with first.
-STARS = 3
+STARS = 1
 #: Documents of a block.
 BLOCK = 64
 
@@ -44,14 +45,18 @@ def _least(n: np.ndarray, num: int, den: int) -> np.ndarray:
     return -(-n * num // den)
 
 
+def _sets(data: np.ndarray, offsets: np.ndarray, n_words: int) -> tuple[np.ndarray, np.ndarray]:
+    hashes, per_row, starts, ends = _text.words(data, offsets)
+    return _text.distinct(*_text.shingles(hashes, per_row, n_words, ends - starts))
+
+
 def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, k1, k2, head): the set's size, a 128-bit key of the whole set, and its prefix with extra more."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, j, data, offsets in _text.slices(batch.column(1)):
-                hashes, per_row, _, _ = _text.words(data, offsets)
-                own, n = _text.distinct(*_text.shingles(hashes, per_row, n_words))
+                own, n = _sets(data, offsets, n_words)
                 first = np.concatenate([[0], np.cumsum(n)])
                 sums = [np.concatenate([np.zeros(1, np.uint64), np.cumsum(_text.mix(own + np.uint64(salt)), dtype=np.uint64)]) for salt in (1, 0x5851F42D4C957F2D)]
                 k1, k2 = (_text.mix(s[first[1:]] - s[first[:-1]] + n.astype(np.uint64)).view(np.int64) for s in sums)
@@ -71,12 +76,11 @@ def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, t
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, j, data, offsets in _text.slices(batch.column(1)):
-                hashes, per_row, _, _ = _text.words(data, offsets)
-                own, n = _text.distinct(*_text.shingles(hashes, per_row, n_words))
+                own, n = _sets(data, offsets, n_words)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), _text.binary(own, n)], names=["node", "tokens"])
 
     slim = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"))
-    return slim.join(wanted, "node", "left_semi").mapInArrow(run, "node long, tokens binary").dropDuplicates(["node"])
+    return slim.join(wanted, "node", "left_semi").mapInArrow(run, "node long, tokens binary")
 
 
 def _keys(heads: DataFrame, num: int, den: int) -> DataFrame:
@@ -89,9 +93,9 @@ def _keys(heads: DataFrame, num: int, den: int) -> DataFrame:
                 length = size - _least(size, num, den) + 1
                 keys = [np.frombuffer(h.as_buffer(), dtype=np.int64)[:m] for h, m in zip(part.column(2), length.tolist(), strict=True)]
                 n = np.array([len(k) for k in keys])
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.repeat(part.column(0).to_numpy(), n)), pa.array(np.repeat(size, n))], names=["key", "node", "size"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.repeat(part.column(0).to_numpy(), n)), pa.array(np.repeat(size, n).astype(np.int32))], names=["key", "node", "size"])
 
-    return heads.select("node", "size", "head").mapInArrow(run, "key long, node long, size long")
+    return heads.select("node", "size", "head").mapInArrow(run, "key long, node long, size int")
 
 
 def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int) -> DataFrame:
@@ -111,10 +115,10 @@ def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int)
                     if len(later):
                         both = _text.mix(later * np.uint64(0x9FB21C651E98DF25) + _text.mix(np.array([x["key"]], dtype=np.int64).view(np.uint64)))
                         yield pa.RecordBatch.from_arrays(
-                            [pa.array(both.view(np.int64)), pa.array(np.full(len(later), node)), pa.array(np.full(len(later), size)), pa.array(later.view(np.int64))], names=["key", "node", "size", "last"]
+                            [pa.array(both.view(np.int64)), pa.array(np.full(len(later), node)), pa.array(np.full(len(later), size, dtype=np.int32)), pa.array(later.view(np.int64))], names=["key", "node", "size", "last"]
                         )
 
-    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size long, last long")
+    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size int, last long")
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
@@ -136,6 +140,27 @@ def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
     return pairs.join(left, "a").join(right, "b").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
+def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs whose prefixes allow the overlap: what both hold up to the nearer prefix end, and at most all behind it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n_x, n_y = batch.column(2).to_numpy(), batch.column(3).to_numpy()
+            most = np.zeros(batch.num_rows, dtype=np.int64)
+            for k, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
+                a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
+                end = min(a[-1], b[-1])
+                a, b = a[: np.searchsorted(a, end, "right")], b[: np.searchsorted(b, end, "right")]
+                both = np.concatenate([a, b])
+                both.sort(kind="stable")
+                most[k] = (both[1:] == both[:-1]).sum() + min(n_x[k] - len(a), n_y[k] - len(b))
+            yield batch.select([0, 1]).filter(pa.array(den * most >= num * (n_x + n_y - most)))
+
+    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("head").alias("ha"))
+    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("head").alias("hb"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long")
+
+
 def _fits(num: int, den: int):
     """Sizes of a pair that can be similar at all."""
     return (den * F.col("x.size") >= num * F.col("y.size")) & (den * F.col("y.size") >= num * F.col("x.size"))
@@ -183,15 +208,25 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     single = _keys(heads, num, den)
     shared = single.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
     keys = materialize(single.join(shared, "key"), "keys")
-    wanted = materialize(keys.select("node").distinct(), "wanted")
-    sets = materialize(_whole_sets(docs, wanted, n_words, id_col, text_col), "whole")
-
     # Stars: for each key, the members that come first in each of a few fixed orders.
     firsts = [F.min(F.struct(F.xxhash64(F.lit(s), "node"), "node", "size")).alias(f"s{s}") for s in range(STARS)]
     hubs = keys.groupBy("key").agg(*firsts).select("key", F.explode(F.array_distinct(F.array(*[F.col(f"s{s}").dropFields("col1") for s in range(STARS)]))).alias("h")).select("key", F.col("h.node").alias("node"), F.col("h.size").alias("size"))
     x, y = keys.alias("x"), hubs.alias("y")
     star = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") != F.col("y.node")) & _fits(num, den)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
-    links = materialize(_verified(star, sets, num, den), "links")
+    sets: DataFrame | None = None
+
+    def checked(pairs: DataFrame) -> DataFrame:
+        """Links among the pairs; whole sets are made from the texts of plausible ends only, once each."""
+        nonlocal sets
+        left = materialize(_plausible(pairs, heads, num, den), "plausible")
+        wanted = left.select(F.col("a").alias("node")).unionByName(left.select(F.col("b").alias("node"))).distinct()
+        wanted = materialize(wanted if sets is None else wanted.join(sets.select("node"), "node", "left_anti"), "wanted")
+        if sets is None or not wanted.isEmpty():
+            new = materialize(_whole_sets(docs, wanted, n_words, id_col, text_col), "whole")
+            sets = new if sets is None else sets.unionByName(new)
+        return materialize(_verified(left, sets, num, den), "links")
+
+    links = checked(star)
     comp = components(links).select("node", F.col("component").alias("comp"))
 
     level = materialize(_open_keys(keys, comp), "open")
@@ -201,7 +236,7 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
         hot = level.where(F.col("n") > RARE)
         if k == LONGEST:
             pairs = pairs.unionByName(_blocks(hot, num, den)).distinct()
-        links = links.unionByName(materialize(_verified(pairs, sets, num, den), "links"))
+        links = links.unionByName(checked(pairs))
         if k == LONGEST or hot.isEmpty():
             break
         hot = hot.withColumn("last", F.col("key")) if k == 1 else hot
