@@ -30,8 +30,10 @@ from benchvary.llm import _text
 from benchvary.llm._graph import components
 from benchvary.session import materialize
 
-#: Most documents of a key whose pairs are listed directly; beyond it the key is combined with others.
-RARE = 24
+#: Most documents of a key (in one size class) whose pairs are listed directly; beyond it the key is combined with others.
+RARE = 512
+#: Shingles before a key that a row carries: a pair that shares one of them meets under that one instead.
+BEFORE = 6
 #: Longest combination; larger keys are then compared block by block.
 LONGEST = 3
 #: Chosen members that every document of a key is compared with first.
@@ -84,7 +86,7 @@ def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, t
 
 
 def _keys(heads: DataFrame, num: int, den: int) -> DataFrame:
-    """(key, node, size): a row for each shingle of a prefix."""
+    """(key, node, size, pos): a row for each shingle of a prefix."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -93,32 +95,38 @@ def _keys(heads: DataFrame, num: int, den: int) -> DataFrame:
                 length = size - _least(size, num, den) + 1
                 keys = [np.frombuffer(h.as_buffer(), dtype=np.int64)[:m] for h, m in zip(part.column(2), length.tolist(), strict=True)]
                 n = np.array([len(k) for k in keys])
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.repeat(part.column(0).to_numpy(), n)), pa.array(np.repeat(size, n).astype(np.int32))], names=["key", "node", "size"])
+                pos = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                flat = np.concatenate(keys)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(flat), pa.array(np.repeat(part.column(0).to_numpy(), n)), pa.array(np.repeat(size, n).astype(np.int32)), pa.array(pos.astype(np.int32))], names=["key", "node", "size", "pos"]
+                )
 
-    return heads.select("node", "size", "head").mapInArrow(run, "key long, node long, size int")
+    return heads.select("node", "size", "head").mapInArrow(run, "key long, node long, size int, pos int")
 
 
 def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """(key, node, size) of combinations: each frequent key of a node with every later shingle of its prefix of length k.
+    """(key, node, size, upper, pos): each frequent key of a node combined with every later shingle of its prefix of length k.
 
-    frequent: (key, node, size, last), where last is the hash order position reached (the last shingle combined).
+    pos: the place of the key's last shingle in the prefix; later shingles are those behind it.
     """
-    own = frequent.groupBy("node").agg(F.collect_list(F.struct("key", "last")).alias("hot"))
+    own = frequent.groupBy("node").agg(F.collect_list(F.struct("key", "upper", "pos")).alias("hot"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for node, size, head, hot in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
                 length = size - int(_least(np.array([size]), num, den)[0]) + k
-                tokens = np.frombuffer(head, dtype=np.uint64)[:length]
+                tokens = _text.mix(np.frombuffer(head, dtype=np.uint64)[:length]) * np.uint64(0x9FB21C651E98DF25)
                 for x in hot:
-                    later = tokens[np.searchsorted(tokens, np.uint64(x["last"] % (1 << 64)), "right") :]
-                    if len(later):
-                        both = _text.mix(later * np.uint64(0x9FB21C651E98DF25) + _text.mix(np.array([x["key"]], dtype=np.int64).view(np.uint64)))
+                    places = np.arange(x["pos"] + 1, len(tokens))
+                    if len(places):
+                        both = _text.mix(tokens[places] + _text.mix(np.array([x["key"]], dtype=np.int64).view(np.uint64)))
+                        n = len(places)
                         yield pa.RecordBatch.from_arrays(
-                            [pa.array(both.view(np.int64)), pa.array(np.full(len(later), node)), pa.array(np.full(len(later), size, dtype=np.int32)), pa.array(later.view(np.int64))], names=["key", "node", "size", "last"]
+                            [pa.array(both.view(np.int64)), pa.array(np.full(n, node)), pa.array(np.full(n, size, dtype=np.int32)), pa.array(np.full(n, x["upper"], dtype=bool)), pa.array(places.astype(np.int32))],
+                            names=["key", "node", "size", "upper", "pos"],
                         )
 
-    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size int, last long")
+    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size int, upper boolean, pos int")
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
@@ -161,36 +169,78 @@ def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFr
     return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long")
 
 
-def _fits(num: int, den: int):
-    """Sizes of a pair that can be similar at all."""
-    return (den * F.col("x.size") >= num * F.col("y.size")) & (den * F.col("y.size") >= num * F.col("x.size"))
+def _fits(num: int, den: int, k: int = 1):
+    """Sizes of a pair that can be similar at all, and room enough behind the k-th common shingle, which the key ends with."""
+    x, y = F.col("x.size").cast("long"), F.col("y.size").cast("long")
+    room = k + F.least(x - F.col("x.pos"), y - F.col("y.pos")) - 1
+    return (den * x >= num * y) & (den * y >= num * x) & (den * room >= num * (x + y - room))
+
+
+def _with_first(keys: DataFrame, heads: DataFrame) -> DataFrame:
+    """Keys with the first shingles of their node's prefix, as far as they stand before the key."""
+    step = F.hex(F.substring("head", 1, 8 * BEFORE))
+    first = heads.select("node", F.filter(F.array(*[F.substring(step, 16 * i + 1, 16) for i in range(BEFORE)]), lambda x: x != "").alias("firsts"))
+    return keys.join(first, "node").withColumn("before", F.slice("firsts", 1, F.least("pos", F.lit(BEFORE)))).drop("firsts")
 
 
-def _pairs(keys: DataFrame, comp: DataFrame | None, num: int, den: int) -> DataFrame:
+def _classed(keys: DataFrame, num: int, den: int) -> DataFrame:
+    """Keys told apart by size class: a row goes to its own class and, as upper, to the class below.
+
+    A class is as wide as the largest ratio of similar sizes, so similar sets of two classes stand in neighbours.
+    """
+    own = F.floor(F.log(F.col("size").cast("double")) / (np.log(den / num) * (1 + 1e-9))) if num < den else F.col("size").cast("long")
+    return (
+        keys.withColumn("c", F.explode(F.array(*[F.struct((own - d).alias("c"), F.lit(d == 1).alias("upper")) for d in (0, 1)])))
+        .select(F.xxhash64("key", "c.c").alias("key"), "node", "size", "pos", "c.upper")
+    )
+
+
+def _pairs(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
     """Distinct pairs (a < b) of nodes that share a key, can be similar, and aren't yet in one component."""
     x, y = keys.alias("x"), keys.alias("y")
-    cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & _fits(num, den)
-    if "comp" in keys.columns:
-        cond = cond & (F.col("x.comp") != F.col("y.comp"))
-    return x.join(y, cond).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
+    cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.comp") != F.col("y.comp")) & ~(F.col("x.upper") & F.col("y.upper"))
+    if k == 1:
+        cond = cond & ~F.arrays_overlap("x.before", "y.before")
+    return x.join(y, cond & _fits(num, den, k)).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
 
 
 def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:
     """Rows of keys that join more than one component, with the component and the key's number of rows."""
     own = keys.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    wide = own.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("lo < hi").select("key", "n")
+    wide = own.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n"), F.min("upper").alias("alone")).where("lo < hi and not alone").select("key", "n")
     return own.join(wide, "key")
 
 
-def _blocks(keys: DataFrame, num: int, den: int) -> DataFrame:
+def _blocks(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
     """Pairs of keys that stay large: members are dealt into blocks, and blocks meet in pairs."""
-    n_blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    dealt = keys.withColumn("block", F.pmod(F.xxhash64("node"), n_blocks).cast("int")).withColumn("blocks", n_blocks)
-    left = dealt.withColumn("other", F.explode(F.sequence(F.col("block"), F.col("blocks") - 1))).select("key", "node", "size", "comp", F.col("block").alias("p"), F.col("other").alias("q"))
-    right = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("block")))).select("key", "node", "size", "comp", F.col("other").alias("p"), F.col("block").alias("q"))
+    dealt = keys.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    cols = ["key", "node", "size", "pos", "comp", "upper"]
+    left = dealt.withColumn("other", F.explode(F.sequence("block", F.col("blocks") - 1))).select(*cols, F.col("block").alias("p"), F.col("other").alias("q"))
+    right = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "block"))).select(*cols, F.col("other").alias("p"), F.col("block").alias("q"))
     x, y = left.alias("x"), right.alias("y")
     cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.p") == F.col("y.p")) & (F.col("x.q") == F.col("y.q")) & (F.col("x.node") != F.col("y.node")) & (F.col("x.comp") != F.col("y.comp"))
-    return x.join(y, cond & _fits(num, den)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+    return x.join(y, cond & ~(F.col("x.upper") & F.col("y.upper")) & _fits(num, den, k)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+
+
+def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs whose prefixes allow the overlap: what both hold up to the nearer prefix end, and at most all behind it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n_x, n_y = batch.column(2).to_numpy(), batch.column(3).to_numpy()
+            most = np.zeros(batch.num_rows, dtype=np.int64)
+            for k, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
+                a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
+                end = min(a[-1], b[-1])
+                a, b = a[: np.searchsorted(a, end, "right")], b[: np.searchsorted(b, end, "right")]
+                both = np.concatenate([a, b])
+                both.sort(kind="stable")
+                most[k] = (both[1:] == both[:-1]).sum() + min(n_x[k] - len(a), n_y[k] - len(b))
+            yield batch.select([0, 1]).filter(pa.array(den * most >= num * (n_x + n_y - most)))
+
+    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("head").alias("ha"))
+    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("head").alias("hb"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long")
 
 
 def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -209,8 +259,8 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     shared = single.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
     keys = materialize(single.join(shared, "key"), "keys")
     # Stars: for each key, the members that come first in each of a few fixed orders.
-    firsts = [F.min(F.struct(F.xxhash64(F.lit(s), "node"), "node", "size")).alias(f"s{s}") for s in range(STARS)]
-    hubs = keys.groupBy("key").agg(*firsts).select("key", F.explode(F.array_distinct(F.array(*[F.col(f"s{s}").dropFields("col1") for s in range(STARS)]))).alias("h")).select("key", F.col("h.node").alias("node"), F.col("h.size").alias("size"))
+    firsts = [F.min(F.struct(F.xxhash64(F.lit(i), "node").alias("h"), "node", "size", "pos")).alias(f"s{i}") for i in range(STARS)]
+    hubs = keys.groupBy("key").agg(*firsts).select("key", F.explode(F.array_distinct(F.array(*[F.col(f"s{i}").dropFields("h") for i in range(STARS)]))).alias("h")).select("key", "h.node", "h.size", "h.pos")
     x, y = keys.alias("x"), hubs.alias("y")
     star = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") != F.col("y.node")) & _fits(num, den)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
     sets: DataFrame | None = None
@@ -229,19 +279,16 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     links = checked(star)
     comp = components(links).select("node", F.col("component").alias("comp"))
 
-    level = materialize(_open_keys(keys, comp), "open")
+    level = materialize(_open_keys(_classed(keys, num, den), comp), "open")
     for k in range(1, LONGEST + 1):
-        rare = level.where(F.col("n") <= RARE)
-        pairs = _pairs(rare, comp, num, den)
-        hot = level.where(F.col("n") > RARE)
+        rare, hot = level.where(F.col("n") <= RARE), level.where(F.col("n") > RARE)
+        pairs = _pairs(_with_first(rare, heads) if k == 1 else rare, num, den, k)
         if k == LONGEST:
-            pairs = pairs.unionByName(_blocks(hot, num, den)).distinct()
+            pairs = pairs.unionByName(_blocks(hot, num, den, k)).distinct()
         links = links.unionByName(checked(pairs))
         if k == LONGEST or hot.isEmpty():
             break
-        hot = hot.withColumn("last", F.col("key")) if k == 1 else hot
-        longer = _combined(heads, hot.select("key", "node", "size", "last"), k + 1, num, den)
-        level = materialize(_open_keys(longer.withColumn("once", F.lit(1)), comp), "open")
+        level = materialize(_open_keys(_combined(heads, hot, k + 1, num, den), comp), "open")
     comp = components(links).select("node", "component")
     return named.join(comp, "node", "left").select(
         "doc_id", "n_shingles", F.coalesce("component", "node", "doc_id").alias("component_id")
