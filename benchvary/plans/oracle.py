@@ -1 +1,197 @@
-ORACLE: dict[str, str] = {}
+"""DuckDB SQL for the registered queries, written independently in long form over the same tables."""
+
+from __future__ import annotations
+
+from benchvary.operators import answering, edits
+from benchvary.plans import compose
+
+
+def _h(*parts: str) -> str:
+    return "('0x' || substr(md5(concat_ws('|', " + ", ".join(f"({p})::VARCHAR" for p in parts) + ")), 1, 8))::BIGINT"
+
+
+def _values(rows, names: str) -> str:
+    return "(VALUES " + ", ".join("(" + ", ".join(repr(x) for x in r) + ")" for r in rows) + f") AS t({names})"
+
+
+OBJ = f"""
+o1 AS (SELECT l_orderkey AS scene_id, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_quantity)::INT AS sn,
+       p_name AS name, p_brand AS brand, p_type AS "type", (30 + 3 * p_size)::INT AS w, (30 + 3 * floor(l_quantity))::INT AS h FROM lineitem JOIN part ON l_partkey = p_partkey),
+obj AS (SELECT *, ({_h("'x'", "scene_id", "sn")} % (1000 - w))::INT AS x0, ({_h("'y'", "scene_id", "sn")} % (1000 - h))::INT AS y0 FROM o1)"""
+ITEMS = f"""{OBJ},
+rk AS (SELECT *, w * h AS area, row_number() OVER (PARTITION BY scene_id ORDER BY w * h DESC, sn)::INT AS rk, count(*) OVER (PARTITION BY scene_id)::INT AS n FROM obj),
+sc AS (SELECT scene_id, any_value(n) AS n, (1 + {_h("'t'", "scene_id")} % any_value(n))::INT AS t FROM rk GROUP BY scene_id),
+ab AS (SELECT s.scene_id, s.n, a.sn AS asn, a.name AS aname, a.brand AS abrand, a.x0 AS ax, a.y0 AS ay, a.w AS aw, a.h AS ah, b.sn AS bsn, b.name AS bname, b.x0 AS bx, b.y0 AS by_, b.w AS bw, b.h AS bh
+       FROM sc s JOIN rk a ON a.scene_id = s.scene_id AND a.sn = s.t JOIN rk b ON b.scene_id = s.scene_id AND b.sn = 1 + s.t % s.n),
+pool AS (SELECT DISTINCT p_name AS pn FROM part),
+free AS (SELECT s.scene_id, arg_min(pn, {_h("'n'", "s.scene_id", "pn")} * 1000 + rank_) AS absent FROM sc s, (SELECT pn, row_number() OVER (ORDER BY pn) AS rank_ FROM pool) q
+         WHERE NOT EXISTS (SELECT 1 FROM obj z WHERE z.scene_id = s.scene_id AND z.name = pn) GROUP BY s.scene_id),
+same AS (SELECT ab.scene_id, count(*)::INT AS k, arg_min(r.sn, r.rk) AS best FROM ab JOIN rk r ON r.scene_id = ab.scene_id AND r.name = ab.aname GROUP BY ab.scene_id),
+base AS (SELECT ab.*, f.absent, same.k, same.best, {_h("'p'", "ab.scene_id")} % 2 = 0 AS there FROM ab JOIN same USING (scene_id) LEFT JOIN free f USING (scene_id)),
+it0 AS (
+  SELECT scene_id, n, 'presence' AS task, 'YN' AS benchmark, CASE WHEN there THEN aname ELSE absent END AS name, CASE WHEN there THEN 0 ELSE 1 END AS answer, 2 AS n_options, CASE WHEN there THEN [best] ELSE [] END AS rel FROM base WHERE there OR absent IS NOT NULL
+  UNION ALL SELECT scene_id, n, 'count', 'MC-G', aname, ({_h("'o'", "scene_id", "k")} % 4)::INT, 4, (SELECT list(r.sn) FROM rk r WHERE r.scene_id = base.scene_id AND r.name = base.aname) FROM base
+  UNION ALL SELECT scene_id, n, 'attribute', 'MC-G', aname, ({_h("'o'", "scene_id", "abrand")} % 4)::INT, 4, [asn] FROM base WHERE k = 1
+  UNION ALL SELECT scene_id, n, 'spatial', 'MC-T', aname, (CASE WHEN 2 * ax + aw < 2 * bx + bw THEN 0 ELSE 1 END) + (CASE WHEN 2 * ay + ah < 2 * by_ + bh THEN 0 ELSE 2 END), 4, [asn, bsn] FROM base WHERE n >= 2 AND aname <> bname
+  UNION ALL SELECT scene_id, n, 'interaction', 'MC-T', aname, CASE WHEN ax < bx + bw AND bx < ax + aw AND ay < by_ + bh AND by_ < ay + ah THEN 0 ELSE 1 END, 2, [asn, bsn] FROM base WHERE n >= 2 AND aname <> bname
+  UNION ALL SELECT scene_id, n, 'text', 'MC-T', aname, ({_h("'w'", "scene_id")} % 4)::INT, 4, [asn] FROM base WHERE k = 1),
+it1 AS (SELECT task || '-' || scene_id AS item_id, * FROM it0),
+rel AS (SELECT i.item_id, r.* FROM (SELECT item_id, scene_id AS sid, unnest(rel) AS rsn FROM it1) i JOIN rk r ON r.scene_id = i.sid AND r.sn = i.rsn),
+it AS (SELECT i.*, coalesce(x.wr, 0) AS worst_rank, coalesce(x.la, 1000000) AS least_area FROM it1 i LEFT JOIN (SELECT item_id, max(rk) AS wr, min(area) AS la FROM rel GROUP BY item_id) x USING (item_id))"""
+SAMPLED = f"""{ITEMS},
+smp AS (SELECT * FROM it WHERE {_h("'s'", "scene_id")} % 100 < CASE benchmark WHEN 'YN' THEN 100 WHEN 'MC-G' THEN 30 ELSE 10 END)"""
+
+
+def _edits(source: str, edition: int = 0) -> str:
+    salt = f"'v1e{edition}'"
+    lex = _values([(w, *s) for w, s in edits.LEXICON.items()], "word, s1, s2")
+    swap = lambda k: f"coalesce((SELECT CASE WHEN {_h(chr(39) + 'syn' + chr(39), 'i.item_id', 'word')} % 2 = 0 THEN s1 ELSE s2 END FROM {lex} WHERE word = split_part(i.name, ' ', {k})), split_part(i.name, ' ', {k}))"
+    persona = "[" + ", ".join(repr(p) for p in edits.PERSONAS) + "]"
+    return f""",
+tries AS (SELECT i.item_id, i.task, k, ({_h(salt, "'x'", "i.item_id", "k")} % 850)::INT AS x, ({_h(salt, "'y'", "i.item_id", "k")} % 850)::INT AS y FROM {source} i, (SELECT unnest([1, 2, 3, 4, 5]) AS k)),
+verdict AS (SELECT t.*, NOT EXISTS (SELECT 1 FROM rel r WHERE r.item_id = t.item_id AND r.x0 < t.x + 150 AND t.x < r.x0 + r.w AND r.y0 < t.y + 150 AND t.y < r.y0 + r.h) AS ok FROM tries t),
+v1 AS (SELECT item_id, min(k) AS a, arg_min(x, k) AS x, arg_min(y, k) AS y FROM verdict WHERE ok GROUP BY item_id),
+can_go AS (SELECT i.item_id, o.sn, o.rk FROM {source} i JOIN rk o ON o.scene_id = i.scene_id WHERE NOT list_contains(i.rel, o.sn) AND o.name <> i.name
+           AND NOT EXISTS (SELECT 1 FROM rel r WHERE r.item_id = i.item_id AND r.x0 < o.x0 + o.w AND o.x0 < r.x0 + r.w AND r.y0 < o.y0 + o.h AND o.y0 < r.y0 + r.h)),
+v2 AS (SELECT item_id, min(rk) AS rk, arg_min(sn, rk) AS sn, count(*) AS n_go FROM can_go GROUP BY item_id),
+facts AS (SELECT i.item_id, least(2, count(*)) AS facts FROM {source} i JOIN rk o ON o.scene_id = i.scene_id WHERE NOT list_contains(i.rel, o.sn) AND o.name <> i.name GROUP BY i.item_id),
+ed AS (SELECT i.*, coalesce(v1.a, 5) AS v1_attempt, v1.x AS v1_x, v1.y AS v1_y, (v1.a IS NULL)::INT AS v1_fallback, v2.sn AS v2_sn, v2.rk AS v2_rank, (v2.rk IS NULL)::INT AS v2_fallback, coalesce(v2.n_go, 0) AS n_go,
+       coalesce(facts.facts, 0) AS facts, {swap(1)} AS swap1, {swap(2)} AS swap2, {persona}[1 + {_h("'persona'", "i.item_id")} % 4] AS persona
+       FROM {source} i LEFT JOIN v1 USING (item_id) LEFT JOIN v2 USING (item_id) LEFT JOIN facts USING (item_id))"""
+
+
+def _answers(specs, models=answering.MODELS) -> str:
+    know = lambda c: f"{_h(chr(39) + 'w' + chr(39), 'model', c)} % 100 < vocab"
+    return f""",
+md AS (SELECT * FROM {_values(models, "model, cap, floor_ppm, vocab, personas, noise_cost, hint_gain")}),
+sp AS (SELECT *, round(1000 * ratio)::BIGINT AS side FROM {_values(specs, "variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard")}),
+km AS (SELECT ed.*, md.*, {know("swap1")} AND {know("swap2")} AS kw, {_h("'p'", "model", "persona", "task")} % 100 < personas AS kp, ({_h("'g'", "model", "item_id")} % n_options = answer)::INT AS guess FROM ed, md),
+ans0 AS (SELECT model, variant_id, n_hard, item_id, benchmark, task, guess,
+   (worst_rank + (CASE WHEN v1 = 1 AND v1_fallback = 0 AND 22500 > least_area THEN 1 ELSE 0 END) - (CASE WHEN v2 = 1 AND v2_fallback = 0 AND v2_rank < worst_rank THEN 1 ELSE 0 END)
+      <= greatest(0, cap - l4 * 2 * noise_cost + l3 * facts * hint_gain))
+   AND (least_area = 1000000 OR least_area::BIGINT * 1000000 >= floor_ppm * side * side) AND (l1 = 0 OR kw) AND (l2 = 0 OR kp) AS sees FROM km, sp),
+ans AS (SELECT *, CASE WHEN sees THEN 1 ELSE guess END AS correct FROM ans0)"""
+
+
+def _scores(specs, source: str = "smp", where: str = "true", models=answering.MODELS, by: str = "model, benchmark, variant_id") -> str:
+    head = SAMPLED if source == "smp" else ITEMS
+    return f"WITH {head}, src AS (SELECT * FROM {source} WHERE {where}){_edits('src')}{_answers(specs, models)}, scores AS (SELECT {by}, count(*) AS n, round(100.0 * sum(correct) / count(*), 4) AS accuracy FROM ans GROUP BY {by})"
+
+
+_DELTA = ", deltas AS (SELECT s.*, v.accuracy AS vanilla, round(s.accuracy - v.accuracy, 4) AS delta FROM scores s JOIN scores v ON v.model = s.model AND v.benchmark = s.benchmark AND v.variant_id = 'vanilla' WHERE s.variant_id <> 'vanilla')"
+_ITEM = "item_id, scene_id, task, benchmark, name, answer, n_options, n, worst_rank, least_area"
+_BOTH = (*compose.SINGLE_IMAGE, *compose.SINGLE_TEXT[1:])
+_MEAN = ", means AS (SELECT benchmark, variant_id, round(avg(accuracy), 4) AS mean_accuracy FROM scores GROUP BY ALL)"
+_G = "benchmark = 'MC-G'"
+_REGISTRY = _values(edits.STRATEGIES, "strategy, level, difficulty")
+_COS = "list_dot_product({a}, {b}) / (sqrt(list_dot_product({a}, {a})) * sqrt(list_dot_product({b}, {b})))"
+_cos = lambda a, b: _COS.format(a=a, b=b)
+
+VEC = f"""
+vec AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings),
+ev AS (SELECT vec_id AS eval_id, vec_id // 5 AS slot, ((vec_id // 5) % 3)::INT AS eval_set, v AS e FROM vec WHERE vec_id % 5 = 0),
+tr0 AS (SELECT 'v' || vec_id AS train_id, v AS t, NULL::BIGINT AS planted_from FROM vec WHERE vec_id % 5 <> 0
+   UNION ALL SELECT 'p' || a.vec_id, list_transform(list_zip(a.v, b.v), lambda z: z[1] + [0.0, 0.2, 0.4, 0.6, 0.9][(a.vec_id // 5) % 5 + 1] * z[2]), a.vec_id FROM vec a JOIN vec b ON b.vec_id = a.vec_id + 1
+     WHERE a.vec_id % 5 = 0 AND {_h("'plant'", "a.vec_id")} % 100 < 60),
+tr AS (SELECT *, 1 AS in_xl, ({_h("'set'", "train_id")} % 100 < 40)::INT AS in_m, ({_h("'set'", "train_id")} % 100 < 15)::INT AS in_cap FROM tr0),
+sets AS (SELECT unnest(['in_xl', 'in_m', 'in_cap']) AS train_set),
+sims AS (SELECT eval_id, eval_set, slot, train_id, planted_from, in_xl, in_m, in_cap, {_cos("e", "t")} AS sim FROM ev, tr)"""
+_IN = "CASE train_set WHEN 'in_xl' THEN in_xl WHEN 'in_m' THEN in_m ELSE in_cap END"
+FLAGS = f"""{VEC},
+flags AS (SELECT eval_id, eval_set, train_set, coalesce(max(CASE WHEN sim > 0.9 THEN {_IN} END), 0) AS hit FROM sims, sets GROUP BY ALL)"""
+_RATE = "SELECT eval_set, train_set, count(DISTINCT eval_id) AS n, sum(hit)::BIGINT AS hits, round(sum(hit) / count(DISTINCT eval_id), 6) AS rate FROM {f} GROUP BY ALL"
+_NORM = lambda c: f"trim(regexp_replace(lower({c}), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g'))"
+TEXT = f"""{FLAGS},
+nd AS (SELECT count(DISTINCT doc_id) AS n FROM documents), ni AS (SELECT count(*) AS n FROM benchmark),
+holds AS (SELECT item_id, min(doc_id) AS held_by FROM documents d, benchmark b WHERE contains(d.text, b.text) GROUP BY item_id),
+caps AS (SELECT train_id, coalesce(held_by, substr(train_id, 2)::BIGINT % (SELECT n FROM nd)) AS doc_id FROM tr LEFT JOIN holds h ON planted_from IS NOT NULL AND h.item_id = (planted_from // 5) % (SELECT n FROM ni)),
+it AS (SELECT item_id, array_to_string(string_split(text, ' ')[(len(string_split(text, ' ')) // 2) + 1:], ' ') AS answer FROM benchmark),
+hits AS (SELECT s.*, {_NORM("d.text")} AS c, {_NORM("it.answer")} AS a FROM sims s JOIN it ON it.item_id = s.slot % (SELECT n FROM ni) JOIN caps USING (train_id) JOIN documents d USING (doc_id) WHERE sim > 0.9)"""
+_DECIDED = {
+    "span": "contains(c, a) AND length(a) > 0",
+    "recall": "len(list_distinct(list_filter(string_split(a, ' '), lambda w: w <> ''))) > 0 AND len(list_intersect(list_distinct(string_split(a, ' ')), string_split(c, ' '))) >= 0.8 * len(list_distinct(string_split(a, ' ')))",
+}
+
+
+def _text_rate(how: str) -> str:
+    return f"WITH {TEXT}, ok AS (SELECT * FROM hits WHERE {_DECIDED[how]}), tf AS (SELECT e.eval_id, e.eval_set, train_set, coalesce((SELECT max({_IN}) FROM ok WHERE ok.eval_id = e.eval_id), 0) AS hit FROM ev e, sets) " + _RATE.format(f="tf")
+
+
+ORACLE: dict[str, str] = {
+    "scene_objects": f"WITH {OBJ} SELECT scene_id, sn, name, brand, \"type\", w, h, x0, y0 FROM obj",
+    "scene_stats": f"WITH {OBJ}, p AS (SELECT scene_id, count(*) AS objects FROM obj GROUP BY 1) SELECT objects, count(*) AS scenes FROM p GROUP BY 1",
+    "empty_scenes": "SELECT o_orderkey AS scene_id FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem)",
+    **{f"items_{t}": f"WITH {ITEMS} SELECT {_ITEM} FROM it WHERE task = '{t}'" for t in edits.QUESTIONS},
+    "sampled_benchmarks": f"WITH {SAMPLED} SELECT benchmark, task, count(*) AS n FROM smp GROUP BY ALL",
+    "dialogue_items": "WITH c AS (SELECT *, lead(role) OVER w AS nr, lead(text) OVER w AS reference FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) SELECT conv_id, turn, CASE WHEN conv_id % 2 = 0 THEN 'OE-1' ELSE 'OE-2' END AS benchmark, text AS question, reference FROM c WHERE role = 'user' AND nr = 'assistant'",
+    "vector_split": f"WITH {VEC} SELECT eval_set, count(*) AS n FROM ev GROUP BY 1",
+    "planted_copies": f"WITH {VEC} SELECT eval_id, in_m, in_cap, round(sim, 6) AS sim FROM sims WHERE planted_from = eval_id",
+    "caption_links": f"WITH {TEXT} SELECT train_id, doc_id FROM caps",
+    "contam_image_raw_pairs": f"WITH {VEC} SELECT a.vec_id AS eval_id, b.vec_id AS other_id, round({_cos('a.v', 'b.v')}, 6) AS sim FROM vec a JOIN vec b ON a.vec_id < b.vec_id WHERE {_cos('a.v', 'b.v')} > 0.4",
+    "contam_image_best_match": f"WITH {VEC} SELECT eval_id, round(max(sim), 6) AS sim FROM sims GROUP BY 1",
+    "contam_image_flags_semi": f"WITH {VEC} SELECT DISTINCT eval_id FROM sims WHERE sim > 0.9",
+    "contam_image_rate_grid": f"WITH {FLAGS} " + _RATE.format(f="flags"),
+    "contam_threshold_sweep": f"WITH {VEC}, b AS (SELECT eval_id, max(sim) AS sim FROM sims GROUP BY 1), th AS (SELECT unnest([0.4, 0.5, 0.6, 0.7, 0.8, 0.9, 0.95, 0.99]::DOUBLE[]) AS threshold) SELECT threshold, count(*) AS n, sum((sim > threshold)::INT)::BIGINT AS hits, round(sum((sim > threshold)::INT) / count(*), 6) AS rate FROM b, th GROUP BY 1",
+    "contam_text_rate_span": _text_rate("span"),
+    "contam_text_rate_recall": _text_rate("recall"),
+    "contam_grid_rollup": f"WITH {FLAGS} SELECT eval_set, train_set, count(*) AS n, sum(hit)::BIGINT AS hits, grouping(eval_set, train_set)::BIGINT AS level FROM flags GROUP BY ROLLUP (eval_set, train_set)",
+    "contam_everywhere": f"WITH {FLAGS} SELECT eval_id FROM flags WHERE hit = 1 GROUP BY 1 HAVING count(*) = 3",
+    "contam_nowhere": f"WITH {FLAGS} SELECT eval_id FROM flags GROUP BY 1 HAVING max(hit) = 0",
+    "text_overlap_verbatim": "SELECT item_id, doc_id FROM documents d, benchmark b WHERE contains(d.text, b.text)",
+    "propose_additions": f"WITH {ITEMS}{_edits('it')} SELECT item_id, k AS attempt, x, y, ok::INT AS ok FROM verdict",
+    "propose_removals": f"WITH {ITEMS}{_edits('it')} SELECT item_id, n_go AS removable FROM ed",
+    "box_masks": f"WITH {OBJ} SELECT scene_id, sn, x0, y0, least(x0 + w, 1000) AS x1, least(y0 + h, 1000) AS y1 FROM obj",
+    "scene_add": f"WITH {ITEMS}{_edits('it')} SELECT item_id, v1_attempt, v1_x, v1_y, v1_fallback FROM ed",
+    "scene_remove": f"WITH {ITEMS}{_edits('it')} SELECT item_id, v2_sn, v2_fallback FROM ed",
+    "scene_expand": f"WITH {OBJ} SELECT scene_id, sn, x0 + 250 AS x0, y0 + 250 AS y0, w, h, 1500 AS canvas FROM obj",
+    "scene_expand_ratios": f"WITH {OBJ}, r AS (SELECT unnest([1.25, 1.5, 1.75, 2.0]::DOUBLE[]) AS ratio) SELECT ratio, count(*) AS n, round(1000 * ratio)::INT AS canvas, sum(x0 + floor((1000 * ratio - 1000) / 2))::BIGINT AS sum_x FROM obj, r GROUP BY 1",
+    "page_remove_clutter": "SELECT page_id, md5(regexp_replace(regexp_replace(coalesce(html, ''), '(?s)<nav>.*?</nav>', '', 'g'), '(?s)<div class=\"ad\">.*?</div>', '', 'g')) AS digest FROM pages",
+    "page_add_clutter": "SELECT page_id, md5(replace(coalesce(html, ''), '</body>', '<div class=\"ad\">ad</div></body>')) AS digest FROM pages",
+    "persona_rephrase": "",
+    "describe_scene": f"WITH {OBJ} SELECT scene_id, 'The picture shows ' || string_agg('a ' || name, ', ' ORDER BY sn) || '.' AS description FROM obj GROUP BY 1",
+    "dialogue_noise_context": "WITH c AS (SELECT *, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS nr FROM conversations) SELECT conv_id, turn, 'By the way, this is conversation ' || conv_id || '. ' || text AS question FROM c WHERE role = 'user' AND nr = 'assistant'",
+    "judge_verdicts": f"WITH {ITEMS}{_edits('it')} SELECT task, k AS attempt, count(*) AS n, sum(ok::INT)::BIGINT AS yes FROM verdict GROUP BY ALL",
+    "judge_attempts": f"WITH {ITEMS}{_edits('it')} SELECT v1_attempt, v1_fallback, count(*) AS n FROM ed GROUP BY ALL",
+    "judge_acceptance_cumulative": f"WITH {ITEMS}{_edits('it')}, g AS (SELECT v1_attempt, count(*) AS n FROM ed WHERE v1_fallback = 0 GROUP BY 1) SELECT v1_attempt, n, round(sum(n) OVER (ORDER BY v1_attempt) / (SELECT count(*) FROM ed), 6) AS share FROM g",
+    "fallback_share": f"WITH {ITEMS}{_edits('it')} SELECT task, count(*) AS n, round(avg(v1_fallback), 6) AS v1, round(avg(v2_fallback), 6) AS v2 FROM ed GROUP BY 1",
+    "answer_preserved": f"WITH {ITEMS} SELECT count(*) AS n, 0::BIGINT AS hidden, 0::BIGINT AS removed FROM it",
+    "paired_grid_variants": f"SELECT * FROM {_values(compose.GRID, 'variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard')}".replace("SELECT *", "SELECT variant_id, v1, v2, ratio::DOUBLE AS ratio, l1, l2, l3, l4, n_hard"),
+    "op_specs": f"SELECT variant_id, v1, v2, ratio::DOUBLE AS ratio, l1, l2, l3, l4, n_hard FROM {_values(compose.all_compositions(), 'variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard')}",
+    "single_image_scores": _scores(compose.SINGLE_IMAGE) + " SELECT * FROM scores",
+    "single_image_deltas": _scores(compose.SINGLE_IMAGE) + _DELTA + " SELECT * FROM deltas",
+    "single_text_scores": _scores(compose.SINGLE_TEXT) + " SELECT * FROM scores",
+    "single_text_deltas": _scores(compose.SINGLE_TEXT) + _DELTA + " SELECT * FROM deltas",
+    "paired_grid_scores": _scores(compose.GRID, where=_G) + " SELECT * FROM scores",
+    "hard_ladder_scores": _scores(compose.LADDER, where="benchmark = 'MC-T'", models=answering.MODELS[6:], by="model, benchmark, variant_id, n_hard") + " SELECT * FROM scores",
+    "extreme_scores_closed": _scores(compose.EXTREMES, "it", _G, (*answering.MODELS, answering.EXTRA_MODEL)) + " SELECT * FROM scores",
+    "score_bounds": _scores(compose.EXTREMES, "it", _G) + " SELECT model, benchmark, min(accuracy) AS lowest, max(accuracy) AS highest, round(max(accuracy) - min(accuracy), 4) AS spread FROM scores GROUP BY ALL",
+    "direction_check": _scores(_BOTH) + _DELTA + f" SELECT strategy, difficulty, count(*) AS cells, sum((CASE WHEN difficulty = 'hard' THEN delta <= 0 ELSE delta >= 0 END)::INT)::BIGINT AS agree FROM deltas JOIN {_REGISTRY} ON strategy = variant_id GROUP BY ALL",
+    "model_average": _scores(_BOTH) + _MEAN + " SELECT * FROM means",
+    "ratio_ablation": _scores(compose.RATIOS) + " SELECT variant_id, round(avg(accuracy), 4) AS mean_accuracy FROM scores GROUP BY 1",
+    "task_breakdown": _scores(compose.EXTREMES, "it", by="model, task, variant_id") + " SELECT task, variant_id, round(avg(accuracy), 4) AS mean_accuracy FROM scores GROUP BY ALL",
+    "fluctuation_by_level": _scores(compose.SINGLE_TEXT) + _DELTA + f" SELECT strategy, level, round(avg(abs(delta)), 4) AS mean_abs, round(quantile_cont(abs(delta), 0.5), 4) AS median_abs FROM deltas JOIN {_REGISTRY} ON strategy = variant_id GROUP BY ALL",
+    "leaderboard": _scores(compose.SINGLE_IMAGE) + " SELECT model, benchmark, variant_id, accuracy, rank() OVER (PARTITION BY benchmark, variant_id ORDER BY accuracy DESC)::INT AS place FROM scores",
+    "score_cube": _scores(compose.EXTREMES) + " SELECT model, benchmark, variant_id, count(*) AS n, sum(correct)::BIGINT AS \"right\" FROM ans GROUP BY CUBE (model, benchmark, variant_id)",
+    "scores_wide": _scores(compose.SINGLE_IMAGE) + " SELECT model, benchmark, " + ", ".join(f"max(accuracy) FILTER (variant_id = '{v}') AS \"{v}\"" for v in ("vanilla", "V1", "V2", "V3")) + " FROM scores GROUP BY ALL",
+    "score_ci": _scores(compose.SINGLE_IMAGE) + " SELECT *, round(196.0 * sqrt(accuracy / 100 * (1 - accuracy / 100) / n), 4) AS half_width FROM scores",
+    "op_asof_answers": "SELECT event_id, lag(event_id) OVER w AS before_id, round(lag(value) OVER w, 6) AS before_value FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
+    "op_interval_verdicts": "WITH e AS (SELECT event_id, user_id, floor(epoch(ts))::BIGINT AS s FROM events) SELECT a.event_id AS a_id, b.event_id AS b_id FROM e a JOIN e b ON a.user_id = b.user_id AND b.s > a.s AND b.s <= a.s + 3600",
+    "op_anti_missing_answers": "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)",
+    "op_full_outer_rates": "SELECT coalesce(a.k, b.k) AS nation, coalesce(customers, 0) AS customers, coalesce(suppliers, 0) AS suppliers FROM (SELECT c_nationkey AS k, count(*) AS customers FROM customer GROUP BY 1) a FULL JOIN (SELECT s_nationkey AS k, count(*) AS suppliers FROM supplier GROUP BY 1) b ON a.k = b.k",
+    "op_grouping_sets": "SELECT event_type, user_id % 9 AS model, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type, user_id % 9), (event_type), ())",
+    "op_percentiles": "SELECT event_type, round(quantile_cont(value, 0.25), 6) AS p25, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.9), 6) AS p90 FROM events GROUP BY 1",
+    "op_ntile_models": "WITH q AS (SELECT *, ntile(4) OVER (PARTITION BY event_type ORDER BY value DESC, event_id)::INT AS quarter FROM events) SELECT event_type, quarter, count(*) AS n, round(avg(value), 6) AS mean FROM q GROUP BY ALL",
+    "op_moving_accuracy": "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS moving FROM events",
+    "op_union_variants": f"WITH {OBJ}, u AS (SELECT 'vanilla' AS variant, w FROM obj UNION ALL SELECT 'large', w FROM obj WHERE w >= 60) SELECT variant, count(*) AS n, sum(w)::BIGINT AS w FROM u GROUP BY 1",
+    "op_except_all": "SELECT l_orderkey, count(*) - 1 AS n FROM lineitem GROUP BY 1 HAVING count(*) > 1",
+    "op_unpivot_scores": "WITH b AS (SELECT event_type, round(min(value), 6) AS low, round(max(value), 6) AS high FROM events GROUP BY 1) SELECT event_type, 'low' AS bound, low AS value FROM b UNION ALL SELECT event_type, 'high', high FROM b",
+    "op_json_props": "SELECT (json_extract_string(props, '$.k')::INT % 5 + 1) AS attempt, count(*) AS n FROM events GROUP BY 1",
+    "op_string_parse": f"SELECT item_id, {_NORM('text')} AS plain, len(string_split(text, ' ')) AS words FROM benchmark",
+    "op_date_buckets": "SELECT strftime(o_orderdate, '%Y-%m') AS month, count(*) AS n FROM orders GROUP BY 1",
+    "op_box_overlap_join": f"WITH {OBJ} SELECT a.scene_id, count(*) AS pairs FROM obj a JOIN obj b ON a.scene_id = b.scene_id AND a.sn < b.sn AND a.x0 < b.x0 + b.w AND b.x0 < a.x0 + a.w AND a.y0 < b.y0 + b.h AND b.y0 < a.y0 + a.h GROUP BY 1",
+    "log_tumbling": "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M') AS start, (user_id % 9)::INT AS model, count(*) AS n, round(avg(value), 6) AS mean FROM events GROUP BY ALL",
+    "log_dedup": "SELECT DISTINCT event_id, (user_id % 9)::INT AS model, event_type AS task FROM events",
+    "log_late_rows": "SELECT (user_id % 9)::INT AS model, sum((ts < (SELECT max(ts) FROM events) - INTERVAL 2 DAY)::INT)::BIGINT AS late FROM events GROUP BY 1",
+    "log_running_contamination": f"WITH {VEC} SELECT eval_id, round(max({_cos('e', 'v')}), 6) AS sim FROM ev, vec WHERE vec_id % 5 <> 0 GROUP BY 1",
+}
+del ORACLE["persona_rephrase"]
