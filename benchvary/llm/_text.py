@@ -120,7 +120,7 @@ def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int, sizes: np.ndarray
     if not n:
         return np.zeros(0, dtype=np.uint64), count
     total = np.zeros(n, dtype=np.uint64)
-    for j in range(k):
+    for j in range(min(k, n)):
         weight = _GRAM[j % len(_GRAM)] + np.uint64(2 * (j // len(_GRAM)))
         total[: n - j] += hashes[j:] * weight
     at = np.repeat(first[:-1] - np.concatenate([[0], np.cumsum(count)])[:-1], count) + np.arange(count.sum())
