@@ -43,11 +43,26 @@ def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/benchvary/{name}-{uuid.uuid4().hex}"
 
 
+#: Whether shuffle files go with the execution that made them; absent in older releases of Spark.
+CLEAN_UP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write df once as Parquet in the shared folder and read it back: cuts lineage and survives lost executors."""
+    """Write df once as Parquet in the shared folder and read it back: cuts lineage and survives lost executors.
+
+    Shuffle files of the write go when it ends, not when the driver happens to collect its garbage; a later use of df
+    itself makes them again.
+    """
     spark = df.sparkSession
     path = scratch_path(spark, name)
-    df.write.parquet(path)
+    before = spark.conf.get(CLEAN_UP, None)
+    if before is not None:
+        spark.conf.set(CLEAN_UP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if before is not None:
+            spark.conf.set(CLEAN_UP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
