@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from benchvary.llm import _text
 from benchvary.llm._graph import components
-from benchvary.session import materialize
+from benchvary.session import forget, materialize
 
 #: Most documents of a key (in one size class) whose pairs are listed directly; beyond it the key is combined with others.
 RARE = 512
@@ -148,27 +148,6 @@ def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
     return pairs.join(left, "a").join(right, "b").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
-def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
-    """Pairs whose prefixes allow the overlap: what both hold up to the nearer prefix end, and at most all behind it."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            n_x, n_y = batch.column(2).to_numpy(), batch.column(3).to_numpy()
-            most = np.zeros(batch.num_rows, dtype=np.int64)
-            for k, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
-                a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
-                end = min(a[-1], b[-1])
-                a, b = a[: np.searchsorted(a, end, "right")], b[: np.searchsorted(b, end, "right")]
-                both = np.concatenate([a, b])
-                both.sort(kind="stable")
-                most[k] = (both[1:] == both[:-1]).sum() + min(n_x[k] - len(a), n_y[k] - len(b))
-            yield batch.select([0, 1]).filter(pa.array(den * most >= num * (n_x + n_y - most)))
-
-    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("head").alias("ha"))
-    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("head").alias("hb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long")
-
-
 def _fits(num: int, den: int, k: int = 1):
     """Sizes of a pair that can be similar at all, and room enough behind the k-th common shingle, which the key ends with."""
     x, y = F.col("x.size").cast("long"), F.col("y.size").cast("long")
@@ -274,12 +253,16 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
         if sets is None or not wanted.isEmpty():
             new = materialize(_whole_sets(docs, wanted, n_words, id_col, text_col), "whole")
             sets = new if sets is None else sets.unionByName(new)
-        return materialize(_verified(left, sets, num, den), "links")
+        found = materialize(_verified(left, sets, num, den), "links")
+        forget(left)
+        forget(wanted)
+        return found
 
     links = checked(star)
     comp = components(links).select("node", F.col("component").alias("comp"))
 
     level = materialize(_open_keys(_classed(keys, num, den), comp), "open")
+    forget(keys)
     for k in range(1, LONGEST + 1):
         rare, hot = level.where(F.col("n") <= RARE), level.where(F.col("n") > RARE)
         pairs = _pairs(_with_first(rare, heads) if k == 1 else rare, num, den, k)
@@ -288,7 +271,8 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
         links = links.unionByName(checked(pairs))
         if k == LONGEST or hot.isEmpty():
             break
-        level = materialize(_open_keys(_combined(heads, hot, k + 1, num, den), comp), "open")
+        done, level = level, materialize(_open_keys(_combined(heads, hot, k + 1, num, den), comp), "open")
+        forget(done)
     comp = components(links).select("node", "component")
     return named.join(comp, "node", "left").select(
         "doc_id", "n_shingles", F.coalesce("component", "node", "doc_id").alias("component_id")
