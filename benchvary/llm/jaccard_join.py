@@ -5,7 +5,10 @@ words, the common ones, come last. Two sets with a Jaccard
 similarity of at least t share a shingle within their prefixes (the first |S| - ceil(t|S|) + 1 ones), and share k of
 them within prefixes that are k - 1 longer. Shingles that few prefixes hold are indexed alone. Frequent ones are
 indexed in combinations of two, then three, so a line that a third of all documents hold brings no pairs by itself.
-A candidate's prefixes alone bound its overlap from above; what that bound leaves is verified on whole sets.
+Every set also has a sketch: the parity of its members in each of 512 bins. Bins in which two sketches differ hold a
+member of one set that the other lacks, so their number bounds the difference from below, and joins drop pairs that
+differ too much while they make them. A candidate's prefixes bound its overlap more closely; what that bound leaves is
+verified on whole sets. Neither bound can drop a similar pair.
 
 Groups of copies never become all pairs: documents with equal sets are one node from the start; then every document
 is verified against a few chosen members of each key it shares (stars), and only keys that still join different
@@ -40,6 +43,8 @@ LONGEST = 3
 STARS = 1
 #: Documents of a block.
 BLOCK = 64
+#: 64-bit words of a sketch.
+SKETCH = tuple(f"s{i}" for i in range(8))
 
 
 def _least(n: np.ndarray, num: int, den: int) -> np.ndarray:
@@ -52,8 +57,16 @@ def _sets(data: np.ndarray, offsets: np.ndarray, n_words: int) -> tuple[np.ndarr
     return _text.distinct(*_text.shingles(hashes, per_row, n_words, ends - starts))
 
 
+def _parities(tokens: np.ndarray, per_row: np.ndarray) -> np.ndarray:
+    """(rows, words) sketches: bit b is set where an odd number of a row's members fall into bin b."""
+    bins = 64 * len(SKETCH)
+    cell = np.repeat(np.arange(len(per_row)), per_row) * bins + (_text.mix(tokens + np.uint64(3)) % np.uint64(bins)).astype(np.int64)
+    odd = (np.bincount(cell, minlength=len(per_row) * bins) & 1).astype(np.uint8)
+    return np.packbits(odd).view(np.int64).reshape(len(per_row), len(SKETCH))
+
+
 def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, k1, k2, head): the set's size, a 128-bit key of the whole set, and its prefix with extra more."""
+    """(doc_id, n_shingles, k1, k2, head, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -64,12 +77,13 @@ def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int =
                 k1, k2 = (_text.mix(s[first[1:]] - s[first[:-1]] + n.astype(np.uint64)).view(np.int64) for s in sums)
                 length = np.minimum(n, n - _least(n, num, den) + 1 + extra)
                 at = np.repeat(first[:-1] - np.concatenate([[0], np.cumsum(length)])[:-1], length) + np.arange(length.sum())
+                sketch = np.ascontiguousarray(_parities(own, n).T)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _text.binary(own[at], length)],
-                    names=["doc_id", "n_shingles", "k1", "k2", "head"],
+                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _text.binary(own[at], length), *map(pa.array, sketch)],
+                    names=["doc_id", "n_shingles", "k1", "k2", "head", *SKETCH],
                 )
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_shingles long, k1 long, k2 long, head binary")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_shingles long, k1 long, k2 long, head binary, " + ", ".join(f"{c} long" for c in SKETCH))
 
 
 def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, text_col: str) -> DataFrame:
@@ -149,16 +163,22 @@ def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
 
 
 def _fits(num: int, den: int, k: int = 1):
-    """Sizes of a pair that can be similar at all, and room enough behind the k-th common shingle, which the key ends with."""
+    """Sizes of a pair that can be similar at all, room enough behind the k-th common shingle, which the key ends with, and sketches that don't differ too much."""
     x, y = F.col("x.size").cast("long"), F.col("y.size").cast("long")
     room = k + F.least(x - F.col("x.pos"), y - F.col("y.pos")) - 1
-    return (den * x >= num * y) & (den * y >= num * x) & (den * room >= num * (x + y - room))
+    differ = sum((F.bit_count(F.col(f"x.{c}").bitwiseXOR(F.col(f"y.{c}"))) for c in SKETCH), F.lit(0))
+    return (den * x >= num * y) & (den * y >= num * x) & (den * room >= num * (x + y - room)) & ((den + num) * differ <= (den - num) * (x + y))
+
+
+def _sketched(keys: DataFrame, heads: DataFrame) -> DataFrame:
+    """Keys with the sketch of their node."""
+    return keys.join(heads.select("node", *SKETCH), "node")
 
 
 def _with_first(keys: DataFrame, heads: DataFrame) -> DataFrame:
-    """Keys with the first shingles of their node's prefix, as far as they stand before the key."""
+    """Keys with their node's sketch and the first shingles of its prefix, as far as they stand before the key."""
     step = F.hex(F.substring("head", 1, 8 * BEFORE))
-    first = heads.select("node", F.filter(F.array(*[F.substring(step, 16 * i + 1, 16) for i in range(BEFORE)]), lambda x: x != "").alias("firsts"))
+    first = heads.select("node", *SKETCH, F.filter(F.array(*[F.substring(step, 16 * i + 1, 16) for i in range(BEFORE)]), lambda x: x != "").alias("firsts"))
     return keys.join(first, "node").withColumn("before", F.slice("firsts", 1, F.least("pos", F.lit(BEFORE)))).drop("firsts")
 
 
@@ -193,7 +213,7 @@ def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:
 def _blocks(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
     """Pairs of keys that stay large: members are dealt into blocks, and blocks meet in pairs."""
     dealt = keys.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    cols = ["key", "node", "size", "pos", "comp", "upper"]
+    cols = ["key", "node", "size", "pos", "comp", "upper", *SKETCH]
     left = dealt.withColumn("other", F.explode(F.sequence("block", F.col("blocks") - 1))).select(*cols, F.col("block").alias("p"), F.col("other").alias("q"))
     right = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "block"))).select(*cols, F.col("other").alias("p"), F.col("block").alias("q"))
     x, y = left.alias("x"), right.alias("y")
@@ -231,16 +251,18 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     rows = materialize(shingle_sets(docs, n_words, num, den, LONGEST - 1, id_col, text_col), "sets")
     # Documents with equal sets are one node, named by the smallest id.
     same = rows.where("n_shingles > 0").groupBy("k1", "k2", F.col("n_shingles").alias("size")).agg(F.min("doc_id").alias("node"))
-    named = rows.select("doc_id", "n_shingles", "k1", "k2").join(same.select("k1", "k2", "node"), ["k1", "k2"], "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("node")).alias("node"))
-    nodes = rows.where("n_shingles > 0").join(same.select(F.col("node").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"], "left_semi").dropDuplicates(["doc_id"])
-    heads = nodes.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "head")
+    node = F.when(F.col("n_shingles") > 0, F.col("node")).alias("node")
+    named = materialize(rows.select("doc_id", "n_shingles", "k1", "k2").join(same.select("k1", "k2", "node"), ["k1", "k2"], "left").select("doc_id", "n_shingles", node), "named")
+    own = rows.where("n_shingles > 0").join(same.select(F.col("node").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"], "left_semi").dropDuplicates(["doc_id"])
+    heads = materialize(own.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "head", *SKETCH), "heads")
+    forget(rows)
     single = _keys(heads, num, den)
     shared = single.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
     keys = materialize(single.join(shared, "key"), "keys")
     # Stars: for each key, the members that come first in each of a few fixed orders.
     firsts = [F.min(F.struct(F.xxhash64(F.lit(i), "node").alias("h"), "node", "size", "pos")).alias(f"s{i}") for i in range(STARS)]
     hubs = keys.groupBy("key").agg(*firsts).select("key", F.explode(F.array_distinct(F.array(*[F.col(f"s{i}").dropFields("h") for i in range(STARS)]))).alias("h")).select("key", "h.node", "h.size", "h.pos")
-    x, y = keys.alias("x"), hubs.alias("y")
+    x, y = _sketched(keys, heads).alias("x"), _sketched(hubs, heads).alias("y")
     star = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") != F.col("y.node")) & _fits(num, den)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
     sets: DataFrame | None = None
 
@@ -265,9 +287,9 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     forget(keys)
     for k in range(1, LONGEST + 1):
         rare, hot = level.where(F.col("n") <= RARE), level.where(F.col("n") > RARE)
-        pairs = _pairs(_with_first(rare, heads) if k == 1 else rare, num, den, k)
+        pairs = _pairs(_with_first(rare, heads) if k == 1 else _sketched(rare, heads), num, den, k)
         if k == LONGEST:
-            pairs = pairs.unionByName(_blocks(hot, num, den, k)).distinct()
+            pairs = pairs.unionByName(_blocks(_sketched(hot, heads), num, den, k)).distinct()
         links = links.unionByName(checked(pairs))
         if k == LONGEST or hot.isEmpty():
             break
