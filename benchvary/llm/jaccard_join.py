@@ -34,8 +34,8 @@ from benchvary.llm._graph import components
 from benchvary.session import forget, materialize
 
 #: Most documents of a key (in one size class) whose pairs are listed directly; beyond it the key is combined with others.
-RARE = 512
-#: Shingles before a key that a row carries: a pair that shares one of them meets under that one instead.
+RARE = 2048
+#: Shingles before a key's first that a row carries: a pair that shares one of them meets under that one instead.
 BEFORE = 6
 #: Longest combination; larger keys are then compared block by block.
 LONGEST = 3
@@ -119,11 +119,11 @@ def _keys(heads: DataFrame, num: int, den: int) -> DataFrame:
 
 
 def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """(key, node, size, upper, pos): each frequent key of a node combined with every later shingle of its prefix of length k.
+    """(key, node, size, upper, start, pos): each frequent key of a node combined with every later shingle of its prefix of length k.
 
-    pos: the place of the key's last shingle in the prefix; later shingles are those behind it.
+    start, pos: the places of the key's first and last shingle in the prefix; later shingles are those behind the last.
     """
-    own = frequent.groupBy("node").agg(F.collect_list(F.struct("key", "upper", "pos")).alias("hot"))
+    own = frequent.groupBy("node").agg(F.collect_list(F.struct("key", "upper", "start", "pos")).alias("hot"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -136,11 +136,11 @@ def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int)
                         both = _text.mix(tokens[places] + _text.mix(np.array([x["key"]], dtype=np.int64).view(np.uint64)))
                         n = len(places)
                         yield pa.RecordBatch.from_arrays(
-                            [pa.array(both.view(np.int64)), pa.array(np.full(n, node)), pa.array(np.full(n, size, dtype=np.int32)), pa.array(np.full(n, x["upper"], dtype=bool)), pa.array(places.astype(np.int32))],
-                            names=["key", "node", "size", "upper", "pos"],
+                            [pa.array(both.view(np.int64)), pa.array(np.full(n, node)), pa.array(np.full(n, size, dtype=np.int32)), pa.array(np.full(n, x["upper"], dtype=bool)), pa.array(np.full(n, x["start"], dtype=np.int32)), pa.array(places.astype(np.int32))],
+                            names=["key", "node", "size", "upper", "start", "pos"],
                         )
 
-    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size int, upper boolean, pos int")
+    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size int, upper boolean, start int, pos int")
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
@@ -179,7 +179,7 @@ def _with_first(keys: DataFrame, heads: DataFrame) -> DataFrame:
     """Keys with their node's sketch and the first shingles of its prefix, as far as they stand before the key."""
     step = F.hex(F.substring("head", 1, 8 * BEFORE))
     first = heads.select("node", *SKETCH, F.filter(F.array(*[F.substring(step, 16 * i + 1, 16) for i in range(BEFORE)]), lambda x: x != "").alias("firsts"))
-    return keys.join(first, "node").withColumn("before", F.slice("firsts", 1, F.least("pos", F.lit(BEFORE)))).drop("firsts")
+    return keys.join(first, "node").withColumn("before", F.slice("firsts", 1, F.least("start", F.lit(BEFORE)))).drop("firsts")
 
 
 def _classed(keys: DataFrame, num: int, den: int) -> DataFrame:
@@ -190,7 +190,7 @@ def _classed(keys: DataFrame, num: int, den: int) -> DataFrame:
     own = F.floor(F.log(F.col("size").cast("double")) / (np.log(den / num) * (1 + 1e-9))) if num < den else F.col("size").cast("long")
     return (
         keys.withColumn("c", F.explode(F.array(*[F.struct((own - d).alias("c"), F.lit(d == 1).alias("upper")) for d in (0, 1)])))
-        .select(F.xxhash64("key", "c.c").alias("key"), "node", "size", "pos", "c.upper")
+        .select(F.xxhash64("key", "c.c").alias("key"), "node", "size", F.col("pos").alias("start"), "pos", "c.upper")
     )
 
 
@@ -198,9 +198,7 @@ def _pairs(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
     """Distinct pairs (a < b) of nodes that share a key, can be similar, and aren't yet in one component."""
     x, y = keys.alias("x"), keys.alias("y")
     cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.comp") != F.col("y.comp")) & ~(F.col("x.upper") & F.col("y.upper"))
-    if k == 1:
-        cond = cond & ~F.arrays_overlap("x.before", "y.before")
-    return x.join(y, cond & _fits(num, den, k)).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
+    return x.join(y, cond & _fits(num, den, k) & ~F.arrays_overlap("x.before", "y.before")).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
 
 
 def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:
@@ -213,12 +211,12 @@ def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:
 def _blocks(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
     """Pairs of keys that stay large: members are dealt into blocks, and blocks meet in pairs."""
     dealt = keys.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    cols = ["key", "node", "size", "pos", "comp", "upper", *SKETCH]
+    cols = ["key", "node", "size", "pos", "comp", "upper", "before", *SKETCH]
     left = dealt.withColumn("other", F.explode(F.sequence("block", F.col("blocks") - 1))).select(*cols, F.col("block").alias("p"), F.col("other").alias("q"))
     right = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "block"))).select(*cols, F.col("other").alias("p"), F.col("block").alias("q"))
     x, y = left.alias("x"), right.alias("y")
     cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.p") == F.col("y.p")) & (F.col("x.q") == F.col("y.q")) & (F.col("x.node") != F.col("y.node")) & (F.col("x.comp") != F.col("y.comp"))
-    return x.join(y, cond & ~(F.col("x.upper") & F.col("y.upper")) & _fits(num, den, k)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+    return x.join(y, cond & ~(F.col("x.upper") & F.col("y.upper")) & _fits(num, den, k) & ~F.arrays_overlap("x.before", "y.before")).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
 def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
@@ -287,9 +285,9 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     forget(keys)
     for k in range(1, LONGEST + 1):
         rare, hot = level.where(F.col("n") <= RARE), level.where(F.col("n") > RARE)
-        pairs = _pairs(_with_first(rare, heads) if k == 1 else _sketched(rare, heads), num, den, k)
+        pairs = _pairs(_with_first(rare, heads), num, den, k)
         if k == LONGEST:
-            pairs = pairs.unionByName(_blocks(_sketched(hot, heads), num, den, k)).distinct()
+            pairs = pairs.unionByName(_blocks(_with_first(hot, heads), num, den, k)).distinct()
         links = links.unionByName(checked(pairs))
         if k == LONGEST or hot.isEmpty():
             break
