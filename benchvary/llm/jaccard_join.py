@@ -7,8 +7,8 @@ them within prefixes that are k - 1 longer. Shingles that few prefixes hold are
 indexed in combinations of two, then three, so a line that a third of all documents hold brings no pairs by itself.
 Every set also has a sketch: the parity of its members in each of 512 bins. Bins in which two sketches differ hold a
 member of one set that the other lacks, so their number bounds the difference from below, and joins drop pairs that
-differ too much while they make them. A candidate's prefixes bound its overlap more closely; what that bound leaves is
-verified on whole sets. Neither bound can drop a similar pair.
+differ too much while they make them. Candidates then meet their wide sketches, of at least as many bins as members;
+what these leave is verified on whole sets. Neither bound can drop a similar pair.
 
 Groups of copies never become all pairs: documents with equal sets are one node from the start; then every document
 is verified against a few chosen members of each key it shares (stars), and only keys that still join different
@@ -65,8 +65,17 @@ def _parities(tokens: np.ndarray, per_row: np.ndarray) -> np.ndarray:
     return np.packbits(odd).view(np.int64).reshape(len(per_row), len(SKETCH))
 
 
+def _wide(tokens: np.ndarray, per_row: np.ndarray) -> pa.Array:
+    """Sketches with at least as many bins as a row has members, a power of two, so that longer ones fold onto shorter ones."""
+    words = 1 << np.ceil(np.log2(np.maximum(per_row, 64) / 64)).astype(np.int64)
+    first = np.cumsum(words) - words
+    at = _text.mix(tokens + np.uint64(5)) & np.repeat(64 * words - 1, per_row).astype(np.uint64)
+    odd = (np.bincount(at.astype(np.int64) + np.repeat(64 * first, per_row), minlength=64 * int(words.sum())) & 1).astype(np.uint8)
+    return _text.binary(np.packbits(odd).view(np.uint64), words)
+
+
 def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, k1, k2, head, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketch."""
+    """(doc_id, n_shingles, k1, k2, head, wide, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketches."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -79,11 +88,11 @@ def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int =
                 at = np.repeat(first[:-1] - np.concatenate([[0], np.cumsum(length)])[:-1], length) + np.arange(length.sum())
                 sketch = np.ascontiguousarray(_parities(own, n).T)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _text.binary(own[at], length), *map(pa.array, sketch)],
-                    names=["doc_id", "n_shingles", "k1", "k2", "head", *SKETCH],
+                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _text.binary(own[at], length), _wide(own, n), *map(pa.array, sketch)],
+                    names=["doc_id", "n_shingles", "k1", "k2", "head", "wide", *SKETCH],
                 )
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_shingles long, k1 long, k2 long, head binary, " + ", ".join(f"{c} long" for c in SKETCH))
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_shingles long, k1 long, k2 long, head binary, wide binary, " + ", ".join(f"{c} long" for c in SKETCH))
 
 
 def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, text_col: str) -> DataFrame:
@@ -220,24 +229,21 @@ def _blocks(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
 
 
 def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
-    """Pairs whose prefixes allow the overlap: what both hold up to the nearer prefix end, and at most all behind it."""
+    """Pairs whose wide sketches, the longer one folded to the length of the shorter, don't differ too much."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n_x, n_y = batch.column(2).to_numpy(), batch.column(3).to_numpy()
-            most = np.zeros(batch.num_rows, dtype=np.int64)
+            n = batch.column(2).to_numpy() + batch.column(3).to_numpy()
+            differ = np.zeros(batch.num_rows, dtype=np.int64)
             for k, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
                 a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
-                end = min(a[-1], b[-1])
-                a, b = a[: np.searchsorted(a, end, "right")], b[: np.searchsorted(b, end, "right")]
-                both = np.concatenate([a, b])
-                both.sort(kind="stable")
-                most[k] = (both[1:] == both[:-1]).sum() + min(n_x[k] - len(a), n_y[k] - len(b))
-            yield batch.select([0, 1]).filter(pa.array(den * most >= num * (n_x + n_y - most)))
+                m = min(len(a), len(b))
+                differ[k] = np.bitwise_count(np.bitwise_xor.reduce(a.reshape(-1, m)) ^ np.bitwise_xor.reduce(b.reshape(-1, m))).sum()
+            yield batch.select([0, 1]).filter(pa.array((den + num) * differ <= (den - num) * n))
 
-    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("head").alias("ha"))
-    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("head").alias("hb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long")
+    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("wide").alias("wa"))
+    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("wide").alias("wb"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(run, "a long, b long")
 
 
 def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -252,7 +258,7 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     node = F.when(F.col("n_shingles") > 0, F.col("node")).alias("node")
     named = materialize(rows.select("doc_id", "n_shingles", "k1", "k2").join(same.select("k1", "k2", "node"), ["k1", "k2"], "left").select("doc_id", "n_shingles", node), "named")
     own = rows.where("n_shingles > 0").join(same.select(F.col("node").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"], "left_semi").dropDuplicates(["doc_id"])
-    heads = materialize(own.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "head", *SKETCH), "heads")
+    heads = materialize(own.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "head", "wide", *SKETCH), "heads")
     forget(rows)
     single = _keys(heads, num, den)
     shared = single.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
