@@ -131,6 +131,14 @@ def _log_softmax(weights: np.ndarray, bias: np.ndarray, history: np.ndarray) ->
     return z - np.log(np.exp(z).sum(axis=1, keepdims=True))
 
 
+def _sparse_rows(grad: np.ndarray, mass: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(f, g, m) of the features with mass, a few hundred to a batch."""
+    found = np.flatnonzero(mass)
+    for at in (found[i : i + 512] for i in range(0, len(found), 512)):
+        rows = [g.tobytes() for g in grad[at].astype(np.float32)]
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(rows, pa.binary()), pa.array(mass[at])], names=["f", "g", "m"])
+
+
 def train_classes(counts: DataFrame, steps: int = STEPS) -> tuple[np.ndarray, np.ndarray]:
     """Weights and bias of the class part, by distributed gradient steps over (history, cls, n)."""
     spark = counts.sparkSession
@@ -162,8 +170,7 @@ def train_classes(counts: DataFrame, steps: int = STEPS) -> tuple[np.ndarray, np
                 for f in _features(history):
                     np.add.at(grad, f, g)
                     np.add.at(mass, f, all_[:, 0])
-            for f in np.flatnonzero(mass):
-                yield pa.RecordBatch.from_arrays([pa.array([int(f)]), pa.array([grad[f].astype(np.float32).tobytes()], pa.binary()), pa.array([float(mass[f])])], names=["f", "g", "m"])
+            yield from _sparse_rows(grad, mass)
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             grad, mass = np.zeros(size), np.zeros(size[0])
@@ -171,8 +178,7 @@ def train_classes(counts: DataFrame, steps: int = STEPS) -> tuple[np.ndarray, np
                 for f, g, m in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
                     grad[f] += np.frombuffer(g, dtype=np.float32)
                     mass[f] += m
-            for f in np.flatnonzero(mass):
-                yield pa.RecordBatch.from_arrays([pa.array([int(f)]), pa.array([grad[f].astype(np.float32).tobytes()], pa.binary()), pa.array([float(mass[f])])], names=["f", "g", "m"])
+            yield from _sparse_rows(grad, mass)
 
         out = "f long, g binary, m double"
         grad, mass = np.zeros(size), np.ones(size[0])
