@@ -224,8 +224,8 @@ def fit(texts: DataFrame, head_words: int = HEAD_WORDS, steps: int = STEPS) -> H
         if held + sizes[b] > head_words:
             break
         held, floor = held + sizes[b], 1 << b
-    rows = counts.where(F.col("c") >= floor).select("word", "c").toPandas()  # at most head_words rows
-    word = rows["word"].to_numpy(np.int64).view(np.uint64)
+    rows = counts.where(F.col("c") >= floor).select("word", "c").toArrow()  # at most head_words rows of 16 bytes
+    word = rows["word"].to_numpy().view(np.uint64)
     order = np.argsort(word)
     # Mass of each class: its counts, ADD for each of its words, and ADD for one unseen word.
     is_top = F.col("word").isin([int(x) for x in hashes.view(np.int64)]) if len(hashes) else F.lit(False)
@@ -241,7 +241,7 @@ def fit(texts: DataFrame, head_words: int = HEAD_WORDS, steps: int = STEPS) -> H
     for i in range(0, len(table), 4096):
         at = np.arange(i, min(i + 4096, len(table)))
         table[at] = _log_softmax(weights, bias, at) / np.log(10) - np.log10(mass)
-    return HashedModel(counts, n, v, floor, word[order], rows["c"].to_numpy(np.int64)[order], top, rank, table)
+    return HashedModel(counts, n, v, floor, word[order], rows["c"].to_numpy()[order], top, rank, table)
 
 
 def score(model: HashedModel, docs: DataFrame, keep: tuple[str, ...], text_col: str = "text") -> DataFrame:
