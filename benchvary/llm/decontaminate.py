@@ -1,15 +1,16 @@
-"""Benchmark passages in training text: rare n-gram seeds, then local alignment.
+"""Benchmark passages in training text: n-gram seeds, then local alignment.
 
-The items' word n-grams are counted over the whole corpus; those that are rare there seed the search, and every item
-keeps at least the rarer half of its n-grams, however popular it is, so a test passage that a third of all documents
-hold is still found. A seed fixes a stretch of the document around the item's place in it; a local alignment with
-gaps (Smith-Waterman on words) scores that stretch, so edited and paraphrased copies count too.
+All word n-grams of all items seed the search, however popular they are, so what is found doesn't depend on how many
+documents hold a passage. A seed fixes a stretch of the document around the item's place in it; stretches that hold too
+few of the item's words for the least score are left out, and a local alignment with gaps (Smith-Waterman on words)
+scores the others, so edited and paraphrased copies count too.
 
 Items are the stated query set: they are sent to all workers in blocks of a fixed size, and each block is one scan.
 Texts are never shuffled.
 
-Defined results: null and empty texts match nothing; items without words match nothing; repeated rows and items give
-a row each; an item shorter than the n-gram is one seed; extra columns are ignored; empty tables give an empty result.
+Defined results: null and empty texts match nothing; items without words match nothing; an item of fewer than
+LEAST_WORDS words matches nothing; a copy that shares no n-gram with its item isn't found; repeated rows and items give a row each; extra columns are
+ignored; empty tables give an empty result.
 """
 
 from __future__ import annotations
@@ -29,10 +30,10 @@ NGRAM = 4
 LEAST_SCORE = 0.6
 #: Words an item needs for an alignment to mean something.
 LEAST_WORDS = 6
-#: Share of documents up to which an n-gram counts as rare.
-RARE_SHARE = 0.0005
 #: Items sent to the workers at once.
 ITEM_BLOCK = 20_000
+#: Meetings of a document's n-grams with seeds that are handled at once.
+MEETINGS = 1 << 20
 MATCH, MISMATCH, GAP = 2.0, -1.0, -1.0
 
 
@@ -53,8 +54,8 @@ class Items:
             for _, _, data, offsets in _text.slices(pa.array([text or ""])):
                 hashes, per_row, _, _ = _text.words(data, offsets)
             words.append(hashes)
-            own, count = _text.shingles(hashes, per_row, n)
             if len(hashes) >= LEAST_WORDS:
+                own, _ = _text.shingles(hashes, per_row, n)
                 grams.append(own)
                 item.append(np.full(len(own), k))
                 place.append(np.arange(len(own)))
@@ -63,40 +64,20 @@ class Items:
         order = np.argsort(g, kind="stable")
         return cls(np.array(ids, dtype=np.int64), words, g[order], i[order], p[order])
 
-    def keep(self, rows: np.ndarray) -> Items:
-        return Items(self.ids, self.words, self.grams[rows], self.item[rows], self.place[rows])
 
-
-def _gram_counts(docs: DataFrame, known: np.ndarray, n: int) -> dict[int, int]:
-    """Documents that hold each of the known (sorted, distinct) n-grams; at most one row each reaches the driver."""
-    sent = docs.sparkSession.sparkContext.broadcast(known)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        grams = sent.value
-        total = np.zeros(len(grams), dtype=np.int64)
-        for batch in batches:
-            for i, j, data, offsets in _text.slices(batch.column(0)):
-                hashes, per_row, _, _ = _text.words(data, offsets)
-                own, count = _text.shingles(hashes, per_row, n)
-                at = np.minimum(np.searchsorted(grams, own), len(grams) - 1)
-                hit = np.flatnonzero(grams[at] == own)
-                row = np.repeat(np.arange(j - i), count)[hit]
-                total += np.bincount(np.unique(row * len(grams) + at[hit]) % len(grams), minlength=len(grams))
-        found = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(found), pa.array(total[found])], names=["g", "n"])
-
-    return {r["g"]: r["n"] for r in docs.mapInArrow(run, "g long, n long").groupBy("g").agg(F.sum("n").alias("n")).collect()}
-
-
-def _rare_seeds(items: Items, df: np.ndarray, most: float) -> np.ndarray:
-    """Rows of items' n-grams that seed: rare ones, and of each item at least its rarer half."""
-    order = np.lexsort((items.place, df, items.item))
-    sorted_item = items.item[order]
-    first = np.searchsorted(sorted_item, sorted_item)
-    count = np.bincount(items.item, minlength=len(items.ids))
-    rank = np.empty(len(order), dtype=np.int64)
-    rank[order] = np.arange(len(order)) - first
-    return np.flatnonzero((df <= most) | (2 * rank < count[items.item]))
+def _met(grams: np.ndarray, own: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(places in own, places in the sorted grams) of equal values, in runs of about MEETINGS, in the order of own."""
+    lo = np.searchsorted(grams, own, "left")
+    n = np.searchsorted(grams, own, "right") - lo
+    hit = np.flatnonzero(n)
+    total = np.cumsum(n[hit])
+    i = 0
+    while i < len(hit):
+        done = total[i - 1] if i else 0
+        j = max(i + 1, int(np.searchsorted(total, done + MEETINGS, "right")))
+        at, m = hit[i:j], n[hit[i:j]]
+        yield np.repeat(at, m), np.repeat(lo[at] - (np.cumsum(m) - m), m) + np.arange(m.sum())
+        i = j
 
 
 def align(item: np.ndarray, stretches: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -126,20 +107,14 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
     schema = "doc_id long, item_id long, score double, start long, end long, n_words long"
     n_items = benchmark.count()
     blocks = max(1, -(-n_items // ITEM_BLOCK))
-    n_docs = slim.count()
     found = []
     for block in range(blocks):
         own = benchmark.select(F.col(item_col).cast("long").alias("i"), F.col(item_text_col).alias("t"))
         rows = own.where(F.pmod(F.xxhash64("i", "t"), F.lit(blocks)) == block).collect() if blocks > 1 else own.collect()
         rows.sort(key=lambda r: (r["i"] is None, r["i"] or 0, r["t"] or ""))
         items = Items.of([r["i"] if r["i"] is not None else -1 for r in rows], [r["t"] for r in rows], ngram)
-        if not len(items.grams):
-            continue
-        known = np.unique(items.grams)
-        counts = _gram_counts(slim.select("text"), known, ngram)
-        df = np.array([counts.get(int(g), 0) for g in np.searchsorted(known, items.grams)])
-        seeds = items.keep(_rare_seeds(items, df, max(RARE_SHARE * n_docs, 20)))
-        found.append(slim.mapInArrow(_searcher(docs.sparkSession.sparkContext.broadcast(seeds), ngram, least_score), schema))
+        if len(items.grams):
+            found.append(slim.mapInArrow(_searcher(docs.sparkSession.sparkContext.broadcast(items), ngram, least_score), schema))
     if not found:
         return docs.sparkSession.createDataFrame([], schema)
     out = found[0]
@@ -148,35 +123,47 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
     return out
 
 
+def _joined(hits: np.ndarray) -> np.ndarray:
+    """One column for each (row, item, diagonal), its stretch from the least left to the greatest right of its hits."""
+    hits = hits[:, np.lexsort(hits[2::-1])]
+    head = np.flatnonzero(np.concatenate([[True], (hits[:3, 1:] != hits[:3, :-1]).any(axis=0)])) if hits.shape[1] else np.zeros(0, dtype=np.int64)
+    if not len(head):
+        return hits
+    return np.concatenate([hits[:3, head], np.minimum.reduceat(hits[3:4], head, axis=1), np.maximum.reduceat(hits[4:], head, axis=1)])
+
+
+def _most_matches(item: np.ndarray, stretches: np.ndarray) -> np.ndarray:
+    """Words that item and each row of stretches have in common, with multiplicity: no alignment matches more."""
+    words, n = np.unique(item, return_counts=True)
+    at = np.minimum(np.searchsorted(words, stretches), len(words) - 1)
+    row, place = np.nonzero(words[at] == stretches)
+    common = np.bincount(row * len(words) + at[row, place], minlength=len(stretches) * len(words)).reshape(-1, len(words))
+    return np.minimum(common, n).sum(axis=1)
+
+
 def _searcher(sent, ngram: int, least_score: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seeds: Items = sent.value
+        sizes = np.array([len(w) for w in seeds.words])
         names = ["doc_id", "item_id", "score", "start", "end", "n_words"]
         for batch in batches:
             for i, j, data, offsets in _text.slices(batch.column(1)):
                 hashes, per_row, starts, ends = _text.words(data, offsets)
-                own, count = _text.shingles(hashes, per_row, ngram)
-                lo = np.searchsorted(seeds.grams, own, "left")
-                hi = np.searchsorted(seeds.grams, own, "right")
-                hit = np.flatnonzero(hi > lo)
-                if not len(hit):
-                    continue
-                row = np.repeat(np.arange(j - i), count)[hit]
                 first = np.cumsum(per_row) - per_row
-                gram_first = np.cumsum(count) - count
-                at = first[row] + hit - gram_first[row]  # word at which the n-gram starts
-                n = (hi - lo)[hit]
-                seed = np.repeat(lo[hit] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-                row, at, item, place = np.repeat(row, n), np.repeat(at, n), seeds.item[seed], seeds.place[seed]
-                size = np.array([len(w) for w in seeds.words])[item]
-                slack = size // 4 + 2
-                left = np.maximum(at - place - slack, first[row])
-                right = np.minimum(at + size - place + slack, first[row] + per_row[row])
-                # hits of one item on nearly one diagonal are one stretch
-                diagonal = (at - place) // np.maximum(slack, 1)
-                _, once = np.unique(np.stack([row, item, diagonal]), axis=1, return_index=True)
-                row, item, left, right = row[once], item[once], left[once], right[once]
                 out: dict[tuple[int, int], tuple] = {}
+                own, count = _text.shingles(hashes, per_row, ngram)
+                rows, gram_first = np.repeat(np.arange(j - i), count), np.cumsum(count) - count
+                parts = [np.zeros((5, 0), dtype=np.int64)]
+                for hit, seed in _met(seeds.grams, own):
+                    row, item, place = rows[hit], seeds.item[seed], seeds.place[seed]
+                    at = first[row] + hit - gram_first[row]  # word at which the n-gram starts
+                    size = sizes[item]
+                    slack = size // 4 + 2
+                    left = np.maximum(at - place - slack, first[row])
+                    right = np.minimum(at + size - place + slack, first[row] + per_row[row])
+                    parts.append(_joined(np.stack([row, item, (at - place) // slack, left, right])))
+                # hits of one item on nearly one diagonal are one stretch
+                row, item, _, left, right = _joined(np.concatenate(parts, axis=1))
                 for k in np.unique(item):
                     words = seeds.words[k]
                     mine = np.flatnonzero(item == k)
@@ -186,6 +173,10 @@ def _searcher(sent, ngram: int, least_score: float):
                         places = left[own_rows][:, None] + np.arange(width)
                         inside = places < right[own_rows][:, None]
                         block = np.where(inside, hashes[np.minimum(places, len(hashes) - 1)], np.uint64(0))
+                        near = np.flatnonzero(_most_matches(words, block) / len(words) >= least_score)
+                        if not len(near):
+                            continue
+                        own_rows, block = own_rows[near], block[near]
                         score, end = align(words, block)
                         share = score / (MATCH * len(words))
                         for x in np.flatnonzero(share >= least_score).tolist():

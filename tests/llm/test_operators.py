@@ -225,6 +225,16 @@ def test_leaks(spark, corpus):
     assert texts[40][r["start"] : r["end"]] == items[0] and r["score"] == 1.0
 
 
+def test_edited_copies_of_popular_items(spark):
+    item = prose(16, random.Random(11)).split()
+    broken = [w if k not in (2, 6) else "changed" for k, w in enumerate(item)]  # the first seven n-grams are gone
+    texts = [" ".join(item) + f" {k}" for k in range(60)] + ["a " + " ".join(broken) + " z"]
+    bench = spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")
+    got = {r["doc_id"]: r for r in decontaminate.find_leaks(docs_of(spark, texts), bench).collect()}
+    assert set(got) == set(range(61)) and math.isclose(got[60]["score"], 26 / 32)
+    assert texts[60][got[60]["start"] : got[60]["end"]] == " ".join(broken)
+
+
 def test_quality(spark, sf):
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     stats = quality.text_statistics(docs)
