@@ -3,13 +3,15 @@
 All word n-grams of all items seed the search, however popular they are, so what is found doesn't depend on how many
 documents hold a passage. A seed fixes a stretch of the document around the item's place in it; stretches that hold too
 few of the item's words for the least score are left out, and a local alignment with gaps (Smith-Waterman on words)
-scores the others, so edited and paraphrased copies count too.
+scores the others, so edited and paraphrased copies count too. Items too short for an alignment are found as exact
+sequences of words.
 
 Items are the stated query set: they are sent to all workers in blocks of a fixed size, and each block is one scan.
 Texts are never shuffled.
 
 Defined results: null and empty texts match nothing; items without words match nothing; an item of fewer than
-LEAST_WORDS words matches nothing; a copy that shares no n-gram with its item isn't found; repeated rows and items give a row each; extra columns are
+LEAST_WORDS words is found where all its words stand in a row, at its first place in each document, with score 1; a
+copy that shares no n-gram with a longer item isn't found; repeated rows and items give a row each; extra columns are
 ignored; empty tables give an empty result.
 """
 
@@ -39,22 +41,27 @@ MATCH, MISMATCH, GAP = 2.0, -1.0, -1.0
 
 @dataclass
 class Items:
-    """A block of test items: word hashes of each, and their n-grams as sorted seeds (hash, item, place)."""
+    """A block of test items: word hashes of each, their n-grams as sorted seeds (hash, item, place), and the sorted
+    whole sequences (hash, item) of short ones by their number of words."""
 
     ids: np.ndarray
     words: list[np.ndarray]
     grams: np.ndarray
     item: np.ndarray
     place: np.ndarray
+    short: dict[int, tuple[np.ndarray, np.ndarray]]
 
     @classmethod
     def of(cls, ids: list[int], texts: list[str | None], n: int) -> Items:
         words, grams, item, place = [], [], [], []
+        whole: dict[int, list[tuple[int, int]]] = {}
         for k, text in enumerate(texts):
             for _, _, data, offsets in _text.slices(pa.array([text or ""])):
                 hashes, per_row, _, _ = _text.words(data, offsets)
             words.append(hashes)
-            if len(hashes) >= LEAST_WORDS:
+            if 0 < len(hashes) < LEAST_WORDS:
+                whole.setdefault(len(hashes), []).append((int(_text.shingles(hashes, per_row, len(hashes))[0][0]), k))
+            elif len(hashes):
                 own, _ = _text.shingles(hashes, per_row, n)
                 grams.append(own)
                 item.append(np.full(len(own), k))
@@ -62,7 +69,8 @@ class Items:
         join = lambda x, kind: np.concatenate(x) if x else np.zeros(0, dtype=kind)
         g, i, p = join(grams, np.uint64), join(item, np.int64), join(place, np.int64)
         order = np.argsort(g, kind="stable")
-        return cls(np.array(ids, dtype=np.int64), words, g[order], i[order], p[order])
+        short = {size: (np.array([x[0] for x in sorted(found)], dtype=np.uint64), np.array([x[1] for x in sorted(found)], dtype=np.int64)) for size, found in whole.items()}
+        return cls(np.array(ids, dtype=np.int64), words, g[order], i[order], p[order], short)
 
 
 def _met(grams: np.ndarray, own: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -113,7 +121,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
         rows = own.where(F.pmod(F.xxhash64("i", "t"), F.lit(blocks)) == block).collect() if blocks > 1 else own.collect()
         rows.sort(key=lambda r: (r["i"] is None, r["i"] or 0, r["t"] or ""))
         items = Items.of([r["i"] if r["i"] is not None else -1 for r in rows], [r["t"] for r in rows], ngram)
-        if len(items.grams):
+        if len(items.grams) or items.short:
             found.append(slim.mapInArrow(_searcher(docs.sparkSession.sparkContext.broadcast(items), ngram, least_score), schema))
     if not found:
         return docs.sparkSession.createDataFrame([], schema)
@@ -151,6 +159,16 @@ def _searcher(sent, ngram: int, least_score: float):
                 hashes, per_row, starts, ends = _text.words(data, offsets)
                 first = np.cumsum(per_row) - per_row
                 out: dict[tuple[int, int], tuple] = {}
+                for length, (whole, which) in seeds.short.items():
+                    own, count = _text.shingles(hashes, per_row, length)
+                    rows, gram_first = np.repeat(np.arange(j - i), count), np.cumsum(count) - count
+                    for hit, seed in _met(whole, own):
+                        row, item = rows[hit], which[seed]
+                        at = first[row] + hit - gram_first[row]
+                        _, once = np.unique(np.stack([row, item]), axis=1, return_index=True)
+                        for r, k, a in zip(row[once].tolist(), item[once].tolist(), at[once].tolist(), strict=True):
+                            if np.array_equal(hashes[a : min(a + length, first[r] + per_row[r])], seeds.words[k]):
+                                out.setdefault((r, k), (1.0, a, a + length))
                 own, count = _text.shingles(hashes, per_row, ngram)
                 rows, gram_first = np.repeat(np.arange(j - i), count), np.cumsum(count) - count
                 parts = [np.zeros((5, 0), dtype=np.int64)]

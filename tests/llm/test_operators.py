@@ -235,6 +235,14 @@ def test_edited_copies_of_popular_items(spark):
     assert texts[60][got[60]["start"] : got[60]["end"]] == " ".join(broken)
 
 
+def test_leaks_of_short_items(spark):
+    items = ["Rome", "in the year", "one two three four five", "a a"]
+    texts = ["to rome and Rome", "it was in THE  year of", "in the", "year one two three four", "x one two three four five", "romes", "year", "a b a", "b a a a", None]
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): texts[r["doc_id"]][r["start"] : r["end"]] for r in decontaminate.find_leaks(docs_of(spark, texts), bench).collect()}
+    assert got == {(0, 0): "rome", (1, 1): "in THE  year", (4, 2): items[2], (8, 3): "a a"}
+
+
 def test_quality(spark, sf):
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     stats = quality.text_statistics(docs)
