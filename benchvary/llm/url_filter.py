@@ -2,7 +2,7 @@
 
 The trees are trained on labelled URLs, those that a rule decides, in a bounded sample, and compiled into one Spark
 column expression over native features: lengths, depth, digit share, entropy, parameter counts, and statistics of the
-host's suffixes (how the labelled URLs under the same last label, or last two, were judged).
+host's suffixes (how the labelled URLs under the same last label, or last two, were judged), kept for every suffix.
 
 Defined results: a null URL or one without :// has empty host and path and is judged by its features all the same;
 rules compare ASCII case-insensitively on hosts and exactly on paths; with labels of one kind only that verdict is
@@ -18,8 +18,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 SAMPLE_ROWS = 20_000
-#: Suffixes whose statistics are kept: the most frequent ones.
+#: The most frequent suffixes, whose statistics are part of the expression; those of all others meet the URLs in a join.
 SUFFIXES = 200
+#: Parts over which the URLs under those suffixes are dealt out in that join.
+SALTS = 1024
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 FEATURES = ("url_len", "host_len", "path_len", "depth", "host_labels", "digits", "params", "marks", "entropy", "upper", "last_len", "https")
 
@@ -132,6 +134,26 @@ def _compiled(tree, names: list[str]) -> Column:
     return F.when(F.col(names[k]) <= bound, _compiled(low, names)).otherwise(_compiled(high, names))
 
 
+def _with_shares(base: DataFrame, labels: int) -> tuple[DataFrame, Column]:
+    """base with what the column needs, and the column: how labelled URLs under the suffix of host were judged, smoothed."""
+    suffix, block = _suffix(F.col("host"), labels), (F.col("_judged_") == "block").cast("long")
+    known = base.groupBy(suffix.alias("s")).agg(F.count("*").alias("m"), F.count("_judged_").alias("n"), F.coalesce(F.sum(block), F.lit(0)).alias("b"))
+    share = ((F.col("b") + 1.0) / (F.col("n") + 2.0)).alias("share")
+    top = known.select("s", "m", share).orderBy(F.desc("m"), "s").limit(SUFFIXES + 1).collect()
+    head = {r["s"]: r["share"] for r in top[:SUFFIXES]}
+    if not head:
+        return base, F.lit(0.5)
+    value = F.try_element_at(F.create_map(*[F.lit(v) for pair in head.items() for v in pair]), suffix)
+    if len(top) > SUFFIXES:
+        s, salt, share_at = f"_s{labels}_", f"_salt{labels}_", f"_share{labels}_"
+        in_head = lambda x: x.isin(list(head))
+        tail = known.where(~in_head(F.col("s")) & (F.col("n") > 0)).select(F.col("s").alias(s), F.lit(0).cast("long").alias(salt), share.alias(share_at))
+        dealt = F.when(in_head(suffix), F.pmod(F.xxhash64("_url_", *[c for c in base.columns if c != "_url_"]), F.lit(SALTS)) + 1).otherwise(F.lit(0)).cast("long")
+        base = base.withColumns({s: suffix, salt: dealt}).join(tail, [s, salt], "left").drop(s, salt)
+        value = F.coalesce(value, F.col(share_at))
+    return base, F.coalesce(value, F.lit(0.5))
+
+
 def judge_urls(pages: DataFrame, rules: tuple[Rule, ...], url_col: str = "url", keep: tuple[str, ...] = ("page_id",), sample_rows: int = SAMPLE_ROWS) -> DataFrame:
     """The columns of keep with host, path, rule, verdict and block_score (the trees' share for block)."""
     url = F.col("_url_")
@@ -140,24 +162,12 @@ def judge_urls(pages: DataFrame, rules: tuple[Rule, ...], url_col: str = "url",
     base = base.withColumns({"host": host, "path": path})
     rule, verdict = matched_rule(F.col("host"), F.col("path"), rules)
     base = base.withColumns({"rule": rule, "_judged_": verdict})
-    labelled = base.where(F.col("_judged_").isNotNull())
-    # How labelled URLs under a suffix were judged: the most frequent suffixes, smoothed.
-    stats: dict[int, dict[str, float]] = {}
-    for labels in (1, 2):
-        top = (
-            labelled.groupBy(_suffix(F.col("host"), labels).alias("s")).agg(F.count("*").alias("n"), F.avg((F.col("_judged_") == "block").cast("double")).alias("b")).orderBy(F.desc("n"), "s").limit(SUFFIXES).collect()
-        )
-        stats[labels] = {r["s"]: (r["b"] * r["n"] + 1.0) / (r["n"] + 2.0) for r in top}
+    n = base.where(F.col("_judged_").isNotNull()).count()
     feats = lexical_features(url, F.col("host"), F.col("path"))
-    for labels, known in stats.items():
-        value = F.lit(0.5)
-        if known:
-            lookup = F.create_map(*[F.lit(v) for pair in known.items() for v in pair])
-            value = F.coalesce(F.try_element_at(lookup, _suffix(F.col("host"), labels)), F.lit(0.5))
-        feats[f"suffix{labels}"] = value
+    for labels in (1, 2):
+        base, feats[f"suffix{labels}"] = _with_shares(base, labels)
     names = [f"_f_{k}" for k in feats]
     full = base.withColumns(dict(zip(names, feats.values(), strict=True)))
-    n = labelled.count()
     fit = full.where(F.col("_judged_").isNotNull()).select(*names, (F.col("_judged_") == "block").cast("int").alias("y"), F.xxhash64("_url_").alias("h"))
     if n > sample_rows:
         fit = fit.where(F.pmod("h", F.lit(1 << 20)) < int(sample_rows / n * (1 << 20)))

@@ -201,6 +201,16 @@ def test_url_rules(spark):
     assert got[2]["host"] == "a.example.com" and got[2]["path"] == "/en/7/x" and got[0]["host"] == "" and got[6]["verdict"] == "block"
 
 
+def test_rare_url_suffixes(spark):
+    rules = tuple(url_filter.Rule.of(*x) for x in (("block", "com/abcd"), ("allow", "com/abdc")))
+    rows = []
+    for k in range(260):  # the first 200 domains have more pages than the others
+        rows += [f"http://d{k:03d}.com/{'abcd' if k % 2 else 'abdc'}"] * 3 + [f"http://d{k:03d}.com/acbd"] * (3 if k < 200 else 1)
+    got = url_filter.judge_urls(spark.createDataFrame(list(enumerate(rows)), "page_id long, url string"), rules).collect()
+    assert len(got) == len(rows)
+    assert all(r["verdict"] == ("block" if int(r["host"][1:4]) % 2 else "allow") for r in got)
+
+
 def test_archives(spark):
     rows = [(1, "u", "same"), (2, "u", "same"), (3, None, None), (4, "v", ""), (5, "w", "é" * 1000)]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string")
