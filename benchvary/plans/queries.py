@@ -475,7 +475,7 @@ def score_bounds(spark, d):
 
 @query
 def edition_refresh(spark, d):
-    i = S.sampled(S.items(spark, d))
+    i = S.items(spark, d)
     out = None
     for k in range(3):
         e = E.add_object(i, edition=k).select("item_id", F.lit(k).alias("edition"), "v1_x", "v1_y")
@@ -552,7 +552,7 @@ def rank_shift(spark, d):
 @query
 def memorisation_gap(spark, d):
     """An answerer that has half of the static items by heart: right there on vanilla, ordinary on the varied form."""
-    a = A.answers(E.edited(S.sampled(S.items(spark, d))), A.spec_table(spark, P.EXTREMES[:2]), A.model_table(spark))
+    a = A.answers(E.edited(S.items(spark, d)), A.spec_table(spark, P.EXTREMES[:2]), A.model_table(spark))
     seen = (stable_bucket(2, "seen", F.col("item_id")) == 0) & (F.col("variant_id") == "vanilla")
     return a.withColumn("by_heart", F.when(seen, 1).otherwise(F.col("correct"))).groupBy("variant_id").agg(A.prob("correct").alias("honest"), A.prob("by_heart").alias("memorising"))
 

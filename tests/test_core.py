@@ -29,6 +29,15 @@ def test_declared_directions_hold(spark, sf):
         assert row["agree"] == row["cells"], row
 
 
+def test_editions_and_memorisation_take_all_items(spark, sf):
+    i = carriers.items(spark, sf)
+    n = i.count()
+    assert carriers.sampled(i).count() < n
+    assert queries.QUERIES["edition_refresh"](spark, sf).count() == 3 * n
+    full = answering.answers(edits.edited(i), answering.spec_table(spark, compose.EXTREMES[:2]), answering.model_table(spark)).groupBy("variant_id").agg(answering.prob("correct").alias("p"))
+    assert {r["variant_id"]: r["honest"] for r in queries.QUERIES["memorisation_gap"](spark, sf).collect()} == {r["variant_id"]: r["p"] for r in full.collect()}
+
+
 def test_seeing_is_monotone(spark, sf):
     specs = (compose.VANILLA, *(compose.spec((e,)) for e in ("V1", "V2", "V3")))
     i = carriers.sampled(carriers.items(spark, sf))
