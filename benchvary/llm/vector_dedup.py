@@ -2,7 +2,8 @@
 
 Vectors are turned by three rounds of random signs and a fast Hadamard transform; the largest coordinate with its sign
 is a hash value. Several values make a bucket key, several keys a set of tables, and each table is also probed with
-the second largest coordinate of each value in turn. Vectors that share a bucket (and a label) are candidates, and
+the second largest coordinate of each value in turn. Larger inputs take more values; tables are added until the share
+of pairs at the bound that meet, measured on random pairs of the same width, is RECALL at every size. Vectors that share a bucket (and a label) are candidates, and
 every reported link is verified by its cosine in double precision.
 
 Vectors with equal components and label are one node with a multiplicity. Small buckets give candidate pairs of ids,
@@ -28,7 +29,10 @@ from benchvary.llm import _text
 from benchvary.llm._graph import components
 from benchvary.session import materialize
 
-TABLES = 6
+#: Least number of tables, and the most that are tried.
+TABLES, MOST_TABLES = 6, 256
+#: Share of pairs just at the bound that must meet in some table, and the random pairs on which it is measured.
+RECALL, RECALL_PAIRS = 0.999, 4000
 SEED = 20_240_229
 #: Nodes of a bucket whose pairs are listed; beyond it blocks are compared inside workers.
 LISTED = 48
@@ -62,26 +66,56 @@ def cross_polytope(x: np.ndarray, table: int, part: int, seed: int = SEED) -> tu
     return 2 * best + (y[rows, best] < 0), 2 * second + (y[rows, second] < 0)
 
 
-def bucket_keys(x: np.ndarray, values: int, tables: int = TABLES) -> np.ndarray:
-    """(rows, tables * (1 + values)) keys: of each table the own bucket, then the probes."""
+def _table_keys(x: np.ndarray, table: int, values: int) -> np.ndarray:
+    """(rows, 1 + values) keys of one table: the own bucket, then the probes."""
+    found = [cross_polytope(x, table, k) for k in range(values)]
     out = []
-    for t in range(tables):
-        found = [cross_polytope(x, t, k) for k in range(values)]
-        for probe in range(-1, values):
-            key = np.full(len(x), t + 1, dtype=np.uint64)
-            for k, (best, second) in enumerate(found):
-                key = _text.mix(key * np.uint64(1_000_003) + (second if k == probe else best).astype(np.uint64))
-            out.append(key)
+    for probe in range(-1, values):
+        key = np.full(len(x), table + 1, dtype=np.uint64)
+        for k, (best, second) in enumerate(found):
+            key = _text.mix(key * np.uint64(1_000_003) + (second if k == probe else best).astype(np.uint64))
+        out.append(key)
     return np.stack(out, axis=1)
 
 
+def bucket_keys(x: np.ndarray, values: int, tables: int = TABLES) -> np.ndarray:
+    """(rows, tables * (1 + values)) keys: of each table the own bucket, then the probes."""
+    return np.concatenate([_table_keys(x, t, values) for t in range(tables)], axis=1)
+
+
+def hash_values(nodes: int) -> int:
+    """Hash values of a bucket key for so many vectors."""
+    return max(1, round(np.log(max(nodes, 2)) / np.log(128)))
+
+
+def tables_for(values: int, dims: int, least: float, fewest: int = TABLES) -> int:
+    """Tables in which the share RECALL of random pairs with the cosine least meets; fewest at least."""
+    rng = np.random.default_rng([SEED, dims])
+    a, b = (x / np.linalg.norm(x, axis=1, keepdims=True) for x in rng.standard_normal((2, RECALL_PAIRS, dims)))
+    across = b - (a * b).sum(axis=1, keepdims=True) * a
+    size = np.linalg.norm(across, axis=1, keepdims=True)
+    b = least * a + np.sqrt(max(0.0, 1 - least**2)) * np.divide(across, size, out=np.zeros_like(across), where=size > 1e-9)
+    apart = np.ones(RECALL_PAIRS, dtype=bool)
+    for t in range(MOST_TABLES):
+        x, y = _table_keys(a[apart], t, values), _table_keys(b[apart], t, values)
+        apart[apart] = ~(x[:, :, None] == y[:, None, :]).any(axis=(1, 2))
+        if t + 1 >= fewest and apart.mean() <= 1 - RECALL:
+            return t + 1
+    return MOST_TABLES
+
+
 def _usable(vec_col: str) -> object:
     v = F.col(vec_col)
     return v.isNotNull() & (F.size(v) > 0) & ~F.exists(v, lambda c: c.isNull() | F.isnan(c) | (F.abs(c) == float("inf"))) & F.exists(v, lambda c: c != 0)
 
 
-def _pair_up(rows: DataFrame, values: int) -> DataFrame:
-    """(bucket, node) of all keys of every node."""
+def _width(dims: int) -> int:
+    """Bits of the width of the transform."""
+    return max(0, dims - 1).bit_length()
+
+
+def _pair_up(rows: DataFrame, values: int, tables: dict[int, int]) -> DataFrame:
+    """(bucket, node) of all keys of every node; tables: how many by width."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -92,7 +126,7 @@ def _pair_up(rows: DataFrame, values: int) -> DataFrame:
                 own = np.flatnonzero(dims == d)
                 x = np.stack([vec[k] for k in own])
                 x = x / np.abs(x).max(axis=1, keepdims=True)
-                keys = bucket_keys(x / np.linalg.norm(x, axis=1, keepdims=True), values)
+                keys = bucket_keys(x / np.linalg.norm(x, axis=1, keepdims=True), values, tables[_width(int(d))])
                 keys = _text.mix(keys + _text.mix(label[own].astype(np.uint64) * np.uint64(4099) + np.uint64(d))[:, None])
                 n = keys.shape[1]
                 yield pa.RecordBatch.from_arrays([pa.array(keys.ravel().view(np.int64)), pa.array(np.repeat(batch.column(0).to_numpy()[own], n))], names=["bucket", "node"])
@@ -203,8 +237,11 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, id_col: str = "vec_id"
     nodes = materialize(usable.groupBy("label", "vec").agg(F.min("vec_id").alias("node"), F.count("*").alias("n")), "vectors")
     # one row may stand in two nodes only if an id repeats with other components; nodes are then told apart by joins on label and vec
     total = nodes.count()
-    values = max(1, round(np.log(max(total, 2)) / np.log(128)))
-    keys = materialize(_pair_up(nodes, values).distinct(), "buckets")
+    values = hash_values(total)
+    width = F.when(F.size("vec") > 1, F.length(F.bin(F.size("vec") - 1))).otherwise(0)
+    widest = nodes.groupBy(width.alias("width")).agg(F.max(F.size("vec")).alias("dims")).collect()
+    needed = {r["width"]: tables_for(values, r["dims"], least, tables) for r in widest}
+    keys = materialize(_pair_up(nodes, values, needed).distinct(), "buckets")
     sizes = keys.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1")
     sized = materialize(keys.join(sizes, "bucket"), "sized")
     hot = sized.where(F.col("size") > LISTED)

@@ -194,6 +194,19 @@ def test_vectors(spark):
     assert all(got[n + k]["n_links"] == 0 and got[n + k]["kept"] for k in range(5))
 
 
+@pytest.mark.parametrize("dims", [64, 256])
+def test_vector_recall_does_not_depend_on_size(dims):
+    rng = np.random.default_rng(6)
+    a, b = (x / np.linalg.norm(x, axis=1, keepdims=True) for x in rng.standard_normal((2, 2000, dims)))
+    b = b - (a * b).sum(axis=1, keepdims=True) * a
+    b = 0.93 * a + math.sqrt(1 - 0.93**2) * b / np.linalg.norm(b, axis=1, keepdims=True)
+    for n in (1000, 20_651, 1_000_000, 100_000_000):
+        values = vector_dedup.hash_values(n)
+        tables = vector_dedup.tables_for(values, dims, 0.93)
+        x, y = vector_dedup.bucket_keys(a, values, tables), vector_dedup.bucket_keys(b, values, tables)
+        assert np.mean((x[:, :, None] == y[:, None, :]).any(axis=(1, 2))) > 0.995
+
+
 def test_url_rules(spark):
     urls = [None, "no scheme", "http://A.Example.com/en/7/x?q", "https://com/en/", "http://x.com/en", "http://x.net/de/1", "http://a.example.net/de/8", "ftp://notorg/es/", "http://é.org/es/#f"]
     got = {r["page_id"]: r for r in url_filter.judge_urls(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"), queries.URL_RULES).collect()}
