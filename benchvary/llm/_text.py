@@ -10,6 +10,8 @@ import pyarrow.compute as pc
 
 #: Bytes of text handled at once; one document may be longer and is then handled alone.
 SLICE_BYTES = 2 << 20
+#: Most rows handled at once.
+SLICE_ROWS = 4096
 
 _P = np.uint64(0x9E3779B97F4A7C15)  # odd, so it has an inverse modulo 2**64
 _P_INV = np.uint64(pow(int(_P), -1, 1 << 64))
@@ -75,7 +77,7 @@ def slices(column: pa.Array, limit: int = 0) -> Iterator[tuple[int, int, np.ndar
     data = np.frombuffer(raw, dtype=np.uint8) if raw is not None and raw.size else np.zeros(0, dtype=np.uint8)
     i = 0
     while i < n:
-        j = min(n, max(i + 1, int(np.searchsorted(offsets, offsets[i] + limit, "right")) - 1))
+        j = min(n, i + SLICE_ROWS, max(i + 1, int(np.searchsorted(offsets, offsets[i] + limit, "right")) - 1))
         yield i, j, data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
         i = j
 
@@ -108,12 +110,8 @@ def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return mix((h[ends] - h[starts]) * inv[starts] + (ends - starts).astype(np.uint64)), per_row, starts, ends
 
 
-def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int, sizes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all k-word shingles and how many each row has; a row with fewer words, but some, gives its whole sequence.
-
-    With sizes (bytes of each word) the two upper bits tell how short the shingle is: short ones, made of function
-    words, are the common ones, and then come last in hash order.
-    """
+def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all k-word shingles and how many each row has; a row with fewer words, but some, gives its whole sequence."""
     first = np.concatenate([[0], np.cumsum(per_row)])
     count = np.where(per_row >= k, per_row - k + 1, np.minimum(per_row, 1))
     n = len(hashes)
@@ -132,24 +130,24 @@ def shingles(hashes: np.ndarray, per_row: np.ndarray, k: int, sizes: np.ndarray
             own = hashes[first[row] : first[row + 1]]
             weights = np.array([int(_GRAM[j % len(_GRAM)]) + 2 * (j // len(_GRAM)) for j in range(len(own))], dtype=np.uint64)
             out[to] = mix((own * weights).sum(dtype=np.uint64, keepdims=True) + np.uint64(len(own)))[0]
-    if sizes is not None:
-        run = np.concatenate([[0], np.cumsum(sizes)])
-        total_size = run[np.minimum(at + k, n)] - run[at]
-        short_class = (total_size < 6 * k).astype(np.uint64) + (total_size < 4 * k).astype(np.uint64)
-        if len(short):
-            short_class[place] = 0
-        out = (out >> np.uint64(2)) | (short_class << np.uint64(62))
     return out, count
 
 
-def distinct(values: np.ndarray, per_row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct values of each row, and how many."""
-    row = np.repeat(np.arange(len(per_row)), per_row)
-    order = np.lexsort((values, row))
+def distinct(values: np.ndarray, per_row: np.ndarray, rank: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of each row, by rank (0 to 15) and then by value, and how many."""
+    n = len(per_row)
+    row = np.repeat(np.arange(n), per_row)
+    if n <= SLICE_ROWS:  # one sort of packed keys; values whose upper 48 bits are equal stay in any order
+        packed = (row.astype(np.uint64) << np.uint64(52)) | (values >> np.uint64(16))
+        if rank is not None:
+            packed |= rank.astype(np.uint64) << np.uint64(48)
+        order = np.argsort(packed)
+    else:
+        order = np.lexsort((values, row) if rank is None else (values, rank, row))
     v, r = values[order], row[order]
     keep = np.ones(len(v), dtype=bool)
     keep[1:] = (v[1:] != v[:-1]) | (r[1:] != r[:-1])
-    return v[keep], np.bincount(r[keep], minlength=len(per_row))
+    return v[keep], np.bincount(r[keep], minlength=n)
 
 
 def binary(values: np.ndarray, per_row: np.ndarray) -> pa.Array:

@@ -1,50 +1,56 @@
 """Set similarity join on word n-grams by token-combination prefixes.
 
-Every document is the set of its distinct n-word shingles, as 64-bit hashes in hash order, in which shingles of short
-words, the common ones, come last. Two sets with a Jaccard
-similarity of at least t share a shingle within their prefixes (the first |S| - ceil(t|S|) + 1 ones), and share k of
-them within prefixes that are k - 1 longer. Shingles that few prefixes hold are indexed alone. Frequent ones are
-indexed in combinations of two, then three, so a line that a third of all documents hold brings no pairs by itself.
+Every document is the set of its distinct n-word shingles, as 64-bit hashes. A first scan counts all shingles of all
+documents in hashed cells; the cell's count, in powers of two over the mean, is a shingle's class. Sets are ordered by
+class, so frequent shingles come last and seldom stand in a prefix. Two sets with a Jaccard similarity of at least t
+share a shingle within their prefixes (the first |S| - ceil(t|S|) + 1 ones), and share k of them within prefixes that
+are k - 1 longer. Shingles that few prefixes hold are indexed alone; those that stay frequent there are indexed in
+combinations of two, then three.
 Every set also has a sketch: the parity of its members in each of 512 bins. Bins in which two sketches differ hold a
 member of one set that the other lacks, so their number bounds the difference from below, and joins drop pairs that
-differ too much while they make them. Candidates then meet their wide sketches, of at least as many bins as members;
-what these leave is verified on whole sets. Neither bound can drop a similar pair.
+differ too much while they make them. What is left is verified on whole sets. The bound can't drop a similar pair.
 
 Groups of copies never become all pairs: documents with equal sets are one node from the start; then every document
 is verified against a few chosen members of each key it shares (stars), and only keys that still join different
-components give further pairs, between components alone. Keys that stay large at the longest combination are
-compared in blocks, so the result is exact at any skew.
+components give further pairs, between those outside a key's main component and the rest. Keys that stay large at
+the longest combination are dealt in blocks, so no task gets a whole key and the result is exact at any skew.
 
 Defined results: null and empty texts, and texts without words, have an empty set and link with nothing; a text with
-fewer words than n is one shingle; repeated rows with one id are one node; extra columns are ignored; an empty table
-gives an empty result.
+fewer words than n is one shingle; rows are told apart, so repeated rows are copies of each other, and rows that share
+an id but not a text are two documents; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import Broadcast
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from benchvary.llm import _text
 from benchvary.llm._graph import components
 from benchvary.session import forget, materialize
 
-#: Most documents of a key (in one size class) whose pairs are listed directly; beyond it the key is combined with others.
-RARE = 2048
-#: Shingles before a key's first that a row carries: a pair that shares one of them meets under that one instead.
-BEFORE = 6
-#: Longest combination; larger keys are then compared block by block.
+#: Most documents of a key whose pairs are listed directly; beyond it the key is combined with others.
+RARE = 4096
+#: Longest combination; larger keys are then dealt block by block.
 LONGEST = 3
 #: Chosen members that every document of a key is compared with first.
-STARS = 1
+STARS = 4
 #: Documents of a block.
-BLOCK = 64
+BLOCK = 4096
 #: 64-bit words of a sketch.
 SKETCH = tuple(f"s{i}" for i in range(8))
+#: Cells in which shingles are counted, and cells that travel together.
+CELLS, TOGETHER = 1 << 18, 1 << 12
+#: Most nodes whose ids are sent to every worker (8 bytes each); more are joined.
+SENT_NODES = 1 << 20
+#: Bytes of text hashed at once.
+SLICE = 512 << 10
 
 
 def _least(n: np.ndarray, num: int, den: int) -> np.ndarray:
@@ -52,9 +58,49 @@ def _least(n: np.ndarray, num: int, den: int) -> np.ndarray:
     return -(-n * num // den)
 
 
-def _sets(data: np.ndarray, offsets: np.ndarray, n_words: int) -> tuple[np.ndarray, np.ndarray]:
-    hashes, per_row, starts, ends = _text.words(data, offsets)
-    return _text.distinct(*_text.shingles(hashes, per_row, n_words, ends - starts))
+def _cell(tokens: np.ndarray) -> np.ndarray:
+    return (tokens >> np.uint64(64 - CELLS.bit_length() + 1)).astype(np.int64)
+
+
+def _sets(data: np.ndarray, offsets: np.ndarray, n_words: int, classes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    hashes, per_row, _, _ = _text.words(data, offsets)
+    tokens, count = _text.shingles(hashes, per_row, n_words)
+    return _text.distinct(tokens, count, None if classes is None else classes[_cell(tokens)])
+
+
+def shingle_classes(texts: DataFrame, n_words: int) -> np.ndarray:
+    """The class (0 to 15) of each cell of shingles, from the counts of all shingles of texts(text).
+
+    Every task sends its counts, of a fixed size, in parts; parts are summed where they meet, and the driver gets one
+    row for each part.
+    """
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cells = None
+        for batch in batches:
+            for _, _, data, offsets in _text.slices(batch.column(0), SLICE):
+                hashes, per_row, _, _ = _text.words(data, offsets)
+                found = np.bincount(_cell(_text.shingles(hashes, per_row, n_words)[0]), minlength=CELLS)
+                cells = found if cells is None else cells + found
+        if cells is not None:
+            parts = [x.astype("<i8").tobytes() for x in cells.reshape(-1, TOGETHER)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(parts))), pa.array(parts, pa.binary())], names=["part", "n"])
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for part, n in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                own = np.frombuffer(n.as_buffer(), dtype="<i8")
+                sums[part] = own + sums[part] if part in sums else own
+        if sums:
+            yield pa.RecordBatch.from_arrays([pa.array(list(sums)), pa.array([x.tobytes() for x in sums.values()], pa.binary())], names=["part", "n"])
+
+    out = "part long, n binary"
+    cells = np.zeros((CELLS // TOGETHER, TOGETHER), dtype=np.int64)
+    for r in texts.mapInArrow(count, out).repartition(8, "part").mapInArrow(add, out).collect():  # CELLS / TOGETHER rows
+        cells[r["part"]] = np.frombuffer(r["n"], dtype="<i8")
+    over = cells.ravel() / max(cells.mean(), 1)
+    return np.clip(np.log2(np.maximum(over, 1)), 0, 15).astype(np.uint8)
 
 
 def _parities(tokens: np.ndarray, per_row: np.ndarray) -> np.ndarray:
@@ -65,22 +111,18 @@ def _parities(tokens: np.ndarray, per_row: np.ndarray) -> np.ndarray:
     return np.packbits(odd).view(np.int64).reshape(len(per_row), len(SKETCH))
 
 
-def _wide(tokens: np.ndarray, per_row: np.ndarray) -> pa.Array:
-    """Sketches with at least as many bins as a row has members, a power of two, so that longer ones fold onto shorter ones."""
-    words = 1 << np.ceil(np.log2(np.maximum(per_row, 64) / 64)).astype(np.int64)
-    first = np.cumsum(words) - words
-    at = _text.mix(tokens + np.uint64(5)) & np.repeat(64 * words - 1, per_row).astype(np.uint64)
-    odd = (np.bincount(at.astype(np.int64) + np.repeat(64 * first, per_row), minlength=64 * int(words.sum())) & 1).astype(np.uint8)
-    return _text.binary(np.packbits(odd).view(np.uint64), words)
+def _lists(values: np.ndarray, per_row: np.ndarray) -> pa.Array:
+    ends = np.concatenate([[0], np.cumsum(per_row)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(values.view(np.int64)))
 
 
-def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, k1, k2, head, wide, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketches."""
+def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, classes: Broadcast, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, n_shingles, k1, k2, head, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i, j, data, offsets in _text.slices(batch.column(1)):
-                own, n = _sets(data, offsets, n_words)
+            for i, j, data, offsets in _text.slices(batch.column(1), SLICE):
+                own, n = _sets(data, offsets, n_words, classes.value)
                 first = np.concatenate([[0], np.cumsum(n)])
                 sums = [np.concatenate([np.zeros(1, np.uint64), np.cumsum(_text.mix(own + np.uint64(salt)), dtype=np.uint64)]) for salt in (1, 0x5851F42D4C957F2D)]
                 k1, k2 = (_text.mix(s[first[1:]] - s[first[:-1]] + n.astype(np.uint64)).view(np.int64) for s in sums)
@@ -88,162 +130,109 @@ def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, extra: int =
                 at = np.repeat(first[:-1] - np.concatenate([[0], np.cumsum(length)])[:-1], length) + np.arange(length.sum())
                 sketch = np.ascontiguousarray(_parities(own, n).T)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _text.binary(own[at], length), _wide(own, n), *map(pa.array, sketch)],
-                    names=["doc_id", "n_shingles", "k1", "k2", "head", "wide", *SKETCH],
+                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _lists(own[at], length), *map(pa.array, sketch)],
+                    names=["doc_id", "n_shingles", "k1", "k2", "head", *SKETCH],
                 )
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_shingles long, k1 long, k2 long, head binary, wide binary, " + ", ".join(f"{c} long" for c in SKETCH))
-
-
-def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, text_col: str) -> DataFrame:
-    """(node, tokens) for the wanted nodes: their whole sets, from their texts."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for i, j, data, offsets in _text.slices(batch.column(1)):
-                own, n = _sets(data, offsets, n_words)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), _text.binary(own, n)], names=["node", "tokens"])
-
-    slim = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"))
-    return slim.join(wanted, "node", "left_semi").mapInArrow(run, "node long, tokens binary")
-
-
-def _keys(heads: DataFrame, num: int, den: int) -> DataFrame:
-    """(key, node, size, pos): a row for each shingle of a prefix."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in (batch.slice(i, 2000) for i in range(0, batch.num_rows, 2000)):
-                size = part.column(1).to_numpy()
-                length = size - _least(size, num, den) + 1
-                keys = [np.frombuffer(h.as_buffer(), dtype=np.int64)[:m] for h, m in zip(part.column(2), length.tolist(), strict=True)]
-                n = np.array([len(k) for k in keys])
-                pos = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                flat = np.concatenate(keys)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(flat), pa.array(np.repeat(part.column(0).to_numpy(), n)), pa.array(np.repeat(size, n).astype(np.int32)), pa.array(pos.astype(np.int32))], names=["key", "node", "size", "pos"]
-                )
+    out = "doc_id long, n_shingles long, k1 long, k2 long, head array<long>, " + ", ".join(f"{c} long" for c in SKETCH)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, out)
 
-    return heads.select("node", "size", "head").mapInArrow(run, "key long, node long, size int, pos int")
 
+def _with_nodes(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(node, text) of the rows(doc_id, k1, node) that stand for a set: their ids, to be told from repeated ids by k1."""
+    slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    return slim.join(F.broadcast(rows) if rows.count() <= SENT_NODES else rows, "doc_id")
 
-def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """(key, node, size, upper, start, pos): each frequent key of a node combined with every later shingle of its prefix of length k.
 
-    start, pos: the places of the key's first and last shingle in the prefix; later shingles are those behind the last.
-    """
-    own = frequent.groupBy("node").agg(F.collect_list(F.struct("key", "upper", "start", "pos")).alias("hot"))
+def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, text_col: str) -> DataFrame:
+    """(node, tokens) for the wanted(doc_id, node, k1): their whole sets, from their texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for node, size, head, hot in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
-                length = size - int(_least(np.array([size]), num, den)[0]) + k
-                tokens = _text.mix(np.frombuffer(head, dtype=np.uint64)[:length]) * np.uint64(0x9FB21C651E98DF25)
-                for x in hot:
-                    places = np.arange(x["pos"] + 1, len(tokens))
-                    if len(places):
-                        both = _text.mix(tokens[places] + _text.mix(np.array([x["key"]], dtype=np.int64).view(np.uint64)))
-                        n = len(places)
-                        yield pa.RecordBatch.from_arrays(
-                            [pa.array(both.view(np.int64)), pa.array(np.full(n, node)), pa.array(np.full(n, size, dtype=np.int32)), pa.array(np.full(n, x["upper"], dtype=bool)), pa.array(np.full(n, x["start"], dtype=np.int32)), pa.array(places.astype(np.int32))],
-                            names=["key", "node", "size", "upper", "start", "pos"],
-                        )
-
-    return heads.join(own, "node").select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, size int, upper boolean, start int, pos int")
-
+            for i, j, data, offsets in _text.slices(batch.column(2), SLICE):
+                own, n = _sets(data, offsets, n_words)
+                first = np.concatenate([[0], np.cumsum(n)])
+                sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_text.mix(own + np.uint64(1)), dtype=np.uint64)])
+                k1 = _text.mix(sums[first[1:]] - sums[first[:-1]] + n.astype(np.uint64)).view(np.int64)
+                right = pa.array(k1 == batch.column(1).slice(i, j - i).to_numpy())  # another row with this id has another set
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), _lists(own, n)], names=["node", "tokens"]).filter(right)
 
-def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """(a, b) of the candidate pairs whose whole sets are similar. A popular end is split over many groups."""
+    texts = _with_nodes(docs, wanted, id_col, text_col).select("node", "k1", "text")
+    return texts.mapInArrow(run, "node long, tokens array<long>").dropDuplicates(["node"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
-                both = np.concatenate([a, b])
-                both.sort(kind="stable")
-                common = int((both[1:] == both[:-1]).sum())
-                keep.append(den * common >= num * (len(both) - common))
-            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
+def _similar(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """(a, b) of the pairs whose whole sets are similar; a popular end is split by the skew join."""
     left = sets.select(F.col("node").alias("a"), F.col("tokens").alias("ta"))
     right = sets.select(F.col("node").alias("b"), F.col("tokens").alias("tb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
+    common = F.size(F.array_intersect("ta", "tb")).cast("long")
+    return pairs.join(left, "a").join(right, "b").where(den * common >= num * (F.size("ta") + F.size("tb") - common)).select("a", "b")
 
 
-def _fits(num: int, den: int, k: int = 1):
-    """Sizes of a pair that can be similar at all, room enough behind the k-th common shingle, which the key ends with, and sketches that don't differ too much."""
-    x, y = F.col("x.size").cast("long"), F.col("y.size").cast("long")
-    room = k + F.least(x - F.col("x.pos"), y - F.col("y.pos")) - 1
+def _fits(num: int, den: int, room: Column | None = None) -> Column:
+    """Sizes of a pair that can be similar at all, room enough for what they must share, and sketches that don't differ too much."""
+    x, y = F.col("x.size"), F.col("y.size")
+    room = F.least(x, y) if room is None else room
     differ = sum((F.bit_count(F.col(f"x.{c}").bitwiseXOR(F.col(f"y.{c}"))) for c in SKETCH), F.lit(0))
     return (den * x >= num * y) & (den * y >= num * x) & (den * room >= num * (x + y - room)) & ((den + num) * differ <= (den - num) * (x + y))
 
 
-def _sketched(keys: DataFrame, heads: DataFrame) -> DataFrame:
-    """Keys with the sketch of their node."""
-    return keys.join(heads.select("node", *SKETCH), "node")
+def _unordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
-def _with_first(keys: DataFrame, heads: DataFrame) -> DataFrame:
-    """Keys with their node's sketch and the first shingles of its prefix, as far as they stand before the key."""
-    step = F.hex(F.substring("head", 1, 8 * BEFORE))
-    first = heads.select("node", *SKETCH, F.filter(F.array(*[F.substring(step, 16 * i + 1, 16) for i in range(BEFORE)]), lambda x: x != "").alias("firsts"))
-    return keys.join(first, "node").withColumn("before", F.slice("firsts", 1, F.least("start", F.lit(BEFORE)))).drop("firsts")
+def _hubs(keys: DataFrame, heads: DataFrame) -> DataFrame:
+    """(key, node, size, s0, ...): the members of each key that come first in each of a few fixed orders.
 
+    An order is the node's hash with some bits turned, so the least value gives the hash back.
+    """
+    turned = [F.lit(0x1234567890ABCDEF * (2 * i + 1) & (1 << 63) - 1) for i in range(STARS)]
+    least = [F.min(F.xxhash64("node").bitwiseXOR(t)).alias(f"h{i}") for i, t in enumerate(turned)]
+    first = keys.groupBy("key").agg(*least)
+    first = first.select("key", F.explode(F.array_distinct(F.array(*[F.col(f"h{i}").bitwiseXOR(t) for i, t in enumerate(turned)]))).alias("h"))
+    return first.join(heads.select(F.xxhash64("node").alias("h"), "node", "size", *SKETCH), "h").drop("h")
 
-def _classed(keys: DataFrame, num: int, den: int) -> DataFrame:
-    """Keys told apart by size class: a row goes to its own class and, as upper, to the class below.
 
-    A class is as wide as the largest ratio of similar sizes, so similar sets of two classes stand in neighbours.
-    """
-    own = F.floor(F.log(F.col("size").cast("double")) / (np.log(den / num) * (1 + 1e-9))) if num < den else F.col("size").cast("long")
-    return (
-        keys.withColumn("c", F.explode(F.array(*[F.struct((own - d).alias("c"), F.lit(d == 1).alias("upper")) for d in (0, 1)])))
-        .select(F.xxhash64("key", "c.c").alias("key"), "node", "size", F.col("pos").alias("start"), "pos", "c.upper")
-    )
+def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int) -> DataFrame:
+    """(key, node, pos): each frequent key of a node combined with every later shingle of its prefix of length k."""
+    own = frequent.groupBy("node").agg(F.collect_list(F.struct("key", "pos")).alias("hot"))  # at most the combinations of one prefix
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for node, size, head, hot in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
+                length = size - int(_least(np.array([size]), num, den)[0]) + k
+                tokens = _text.mix(np.array(head[:length], dtype=np.int64).view(np.uint64)) * np.uint64(0x9FB21C651E98DF25)
+                places = [np.arange(x["pos"] + 1, len(tokens)) for x in hot]
+                n = np.array([len(p) for p in places])
+                at = np.concatenate(places)
+                key = np.repeat(_text.mix(np.array([x["key"] for x in hot], dtype=np.int64).view(np.uint64)), n)
+                both = _text.mix(tokens[at] + key)
+                yield pa.RecordBatch.from_arrays([pa.array(both.view(np.int64)), pa.array(np.full(len(at), node)), pa.array(at.astype(np.int32))], names=["key", "node", "pos"])
 
-def _pairs(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
-    """Distinct pairs (a < b) of nodes that share a key, can be similar, and aren't yet in one component."""
-    x, y = keys.alias("x"), keys.alias("y")
-    cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.comp") != F.col("y.comp")) & ~(F.col("x.upper") & F.col("y.upper"))
-    return x.join(y, cond & _fits(num, den, k) & ~F.arrays_overlap("x.before", "y.before")).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
+    rows = heads.join(own, "node")
+    return rows.select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, pos int").join(heads.select("node", "size", *SKETCH), "node")
 
 
 def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:
-    """Rows of keys that join more than one component, with the component and the key's number of rows."""
+    """Rows of keys that join more than one component: with their component, the key's main one (main), its rows (n)."""
     own = keys.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    wide = own.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n"), F.min("upper").alias("alone")).where("lo < hi and not alone").select("key", "n")
-    return own.join(wide, "key")
-
-
-def _blocks(keys: DataFrame, num: int, den: int, k: int) -> DataFrame:
-    """Pairs of keys that stay large: members are dealt into blocks, and blocks meet in pairs."""
-    dealt = keys.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    cols = ["key", "node", "size", "pos", "comp", "upper", "before", *SKETCH]
-    left = dealt.withColumn("other", F.explode(F.sequence("block", F.col("blocks") - 1))).select(*cols, F.col("block").alias("p"), F.col("other").alias("q"))
-    right = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), "block"))).select(*cols, F.col("other").alias("p"), F.col("block").alias("q"))
-    x, y = left.alias("x"), right.alias("y")
-    cond = (F.col("x.key") == F.col("y.key")) & (F.col("x.p") == F.col("y.p")) & (F.col("x.q") == F.col("y.q")) & (F.col("x.node") != F.col("y.node")) & (F.col("x.comp") != F.col("y.comp"))
-    return x.join(y, cond & ~(F.col("x.upper") & F.col("y.upper")) & _fits(num, den, k) & ~F.arrays_overlap("x.before", "y.before")).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
+    wide = own.groupBy("key").agg(F.min("comp").alias("main"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("main < hi").select((-F.col("key")).alias("w"), "main", "n")
+    return own.withColumn("w", -F.col("key")).join(wide, "w").drop("w")
 
 
-def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
-    """Pairs whose wide sketches, the longer one folded to the length of the shorter, don't differ too much."""
+def _pairs(level: DataFrame, num: int, den: int, k: int) -> DataFrame:
+    """Distinct pairs (a < b) of nodes of different components that share a key and can be similar.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            n = batch.column(2).to_numpy() + batch.column(3).to_numpy()
-            differ = np.zeros(batch.num_rows, dtype=np.int64)
-            for k, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
-                a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
-                m = min(len(a), len(b))
-                differ[k] = np.bitwise_count(np.bitwise_xor.reduce(a.reshape(-1, m)) ^ np.bitwise_xor.reduce(b.reshape(-1, m))).sum()
-            yield batch.select([0, 1]).filter(pa.array((den + num) * differ <= (den - num) * n))
-
-    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("wide").alias("wa"))
-    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("wide").alias("wb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(run, "a long, b long")
+    Rows outside a key's main component meet all its rows. Both sides are dealt into blocks of a key, and each goes to
+    all blocks of the other; a key of one block is not copied.
+    """
+    blocks = level.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    x = blocks.where("comp != main").withColumns({"p": F.col("own"), "q": F.col("other")}).alias("x")
+    y = blocks.withColumns({"p": F.col("other"), "q": F.col("own")}).alias("y")
+    room = F.lit(k - 1) + F.least(F.col("x.size") - F.col("x.pos"), F.col("y.size") - F.col("y.pos"))
+    meet = (F.col("x.key") == F.col("y.key")) & (F.col("x.p") == F.col("y.p")) & (F.col("x.q") == F.col("y.q")) & (F.col("x.comp") != F.col("y.comp"))
+    once = (F.col("y.comp") == F.col("y.main")) | (F.col("x.node") < F.col("y.node"))
+    return _unordered(x.join(y, meet & once & _fits(num, den, room)))
 
 
 def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -252,54 +241,55 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     threshold: similarity as a fraction (numerator, denominator), compared in whole numbers.
     """
     num, den = threshold
-    rows = materialize(shingle_sets(docs, n_words, num, den, LONGEST - 1, id_col, text_col), "sets")
-    # Documents with equal sets are one node, named by the smallest id.
-    same = rows.where("n_shingles > 0").groupBy("k1", "k2", F.col("n_shingles").alias("size")).agg(F.min("doc_id").alias("node"))
-    node = F.when(F.col("n_shingles") > 0, F.col("node")).alias("node")
-    named = materialize(rows.select("doc_id", "n_shingles", "k1", "k2").join(same.select("k1", "k2", "node"), ["k1", "k2"], "left").select("doc_id", "n_shingles", node), "named")
-    own = rows.where("n_shingles > 0").join(same.select(F.col("node").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"], "left_semi").dropDuplicates(["doc_id"])
-    heads = materialize(own.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "head", "wide", *SKETCH), "heads")
+    longest = LONGEST if num >= den else min(LONGEST, max(1, -(-num // (den - num))))  # different similar sets share as many at least
+    classes = docs.sparkSession.sparkContext.broadcast(shingle_classes(docs.select(F.col(text_col).alias("text")), n_words))
+    rows = materialize(shingle_sets(docs, n_words, num, den, classes, longest - 1, id_col, text_col).withColumn("row_key", F.monotonically_increasing_id()), "sets")
+    # Rows with equal sets are one node, named by one of them.
+    some = rows.where("n_shingles > 0")
+    same = some.groupBy("k1", "k2", "n_shingles").agg(F.min("row_key").alias("node"), F.min("doc_id").alias("least"))
+    named = materialize(some.join(same, ["k1", "k2", "n_shingles"]).withColumn("head", F.when(F.col("row_key") == F.col("node"), F.col("head"))), "named")
+    empty = materialize(rows.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")), "empty")
     forget(rows)
-    single = _keys(heads, num, den)
+    heads = named.where("row_key = node").withColumn("size", F.col("n_shingles"))
+    short = F.col("size") - F.ceil(F.col("size") * num / den) + 1  # the prefix without what combinations add
+    single = heads.select("node", "size", F.posexplode(F.slice("head", F.lit(1), F.greatest(short, F.lit(1)).cast("int"))).alias("pos", "key"))
     shared = single.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
-    keys = materialize(single.join(shared, "key"), "keys")
-    # Stars: for each key, the members that come first in each of a few fixed orders.
-    firsts = [F.min(F.struct(F.xxhash64(F.lit(i), "node").alias("h"), "node", "size", "pos")).alias(f"s{i}") for i in range(STARS)]
-    hubs = keys.groupBy("key").agg(*firsts).select("key", F.explode(F.array_distinct(F.array(*[F.col(f"s{i}").dropFields("h") for i in range(STARS)]))).alias("h")).select("key", "h.node", "h.size", "h.pos")
-    x, y = _sketched(keys, heads).alias("x"), _sketched(hubs, heads).alias("y")
-    star = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") != F.col("y.node")) & _fits(num, den)).select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
-    sets: DataFrame | None = None
+    keys = materialize(single.join(shared, "key").join(heads.select("node", *SKETCH), "node"), "keys")
+    x, y = keys.alias("x"), _hubs(keys, heads).alias("y")
+    star = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") != F.col("y.node")) & _fits(num, den))
+    sets: list[DataFrame] = []
 
     def checked(pairs: DataFrame) -> DataFrame:
-        """Links among the pairs; whole sets are made from the texts of plausible ends only, once each."""
-        nonlocal sets
-        left = materialize(_plausible(pairs, heads, num, den), "plausible")
-        wanted = left.select(F.col("a").alias("node")).unionByName(left.select(F.col("b").alias("node"))).distinct()
-        wanted = materialize(wanted if sets is None else wanted.join(sets.select("node"), "node", "left_anti"), "wanted")
-        if sets is None or not wanted.isEmpty():
-            new = materialize(_whole_sets(docs, wanted, n_words, id_col, text_col), "whole")
-            sets = new if sets is None else sets.unionByName(new)
-        found = materialize(_verified(left, sets, num, den), "links")
+        """Links among the pairs; whole sets are made from the texts of their ends, once each."""
+        left = materialize(pairs, "pairs")
+        ends = left.select(F.col("a").alias("node")).unionByName(left.select(F.col("b").alias("node"))).distinct()
+        for done in sets:
+            ends = ends.join(done.select("node"), "node", "left_anti")
+        wanted = materialize(heads.select("node", "doc_id", "k1").join(ends, "node"), "wanted")
+        sets.append(materialize(_whole_sets(docs, wanted, n_words, id_col, text_col), "whole"))
+        found = materialize(_similar(left, reduce(DataFrame.unionByName, sets), num, den), "links")
         forget(left)
         forget(wanted)
         return found
 
-    links = checked(star)
-    comp = components(links).select("node", F.col("component").alias("comp"))
-
-    level = materialize(_open_keys(_classed(keys, num, den), comp), "open")
+    links = checked(_unordered(star))
+    comp = materialize(components(links, 2, whole=False).select("node", F.col("component").alias("comp")), "comp")
+    level = materialize(_open_keys(keys, comp), "open")
     forget(keys)
-    for k in range(1, LONGEST + 1):
-        rare, hot = level.where(F.col("n") <= RARE), level.where(F.col("n") > RARE)
-        pairs = _pairs(_with_first(rare, heads), num, den, k)
-        if k == LONGEST:
-            pairs = pairs.unionByName(_blocks(_with_first(hot, heads), num, den, k)).distinct()
-        links = links.unionByName(checked(pairs))
-        if k == LONGEST or hot.isEmpty():
+    for k in range(1, longest + 1):
+        hot = level.where(F.col("n") > RARE)
+        last = k == longest or hot.isEmpty()
+        links = links.unionByName(checked(_pairs(level if last else level.where(F.col("n") <= RARE), num, den, k)))
+        if last:
             break
         done, level = level, materialize(_open_keys(_combined(heads, hot, k + 1, num, den), comp), "open")
         forget(done)
-    comp = components(links).select("node", "component")
-    return named.join(comp, "node", "left").select(
-        "doc_id", "n_shingles", F.coalesce("component", "node", "doc_id").alias("component_id")
-    )
+    forget(level)
+    for done in sets:
+        forget(done)
+    comp = components(links)
+    # The component's smallest id, over its nodes; nodes without a link keep their own.
+    group = comp.join(heads.select("node", "least"), "node").groupBy("component").agg(F.min("least").alias("lowest"))
+    lowest = comp.withColumn("w", -F.col("component")).join(group.select((-F.col("component")).alias("w"), "lowest"), "w").select("node", "lowest")
+    out = named.select("doc_id", "n_shingles", "node", "least").join(lowest, "node", "left").select("doc_id", "n_shingles", F.coalesce("lowest", "least").alias("component_id"))
+    return out.unionByName(empty)

@@ -73,7 +73,7 @@ def roots(n, links):
 @pytest.mark.parametrize(("k", "num", "rare"), [(4, 85, 512), (4, 85, 8), (5, 80, 8)])
 def test_similar_groups(spark, corpus, monkeypatch, k, num, rare):
     monkeypatch.setattr(jaccard_join, "RARE", rare)  # small keys combine at once
-    monkeypatch.setattr(jaccard_join, "BLOCK", 4)
+    monkeypatch.setattr(jaccard_join, "BLOCK", 8)
     got = {r["doc_id"]: r for r in jaccard_join.similar_groups(docs_of(spark, corpus), k, (num, 100)).collect()}
     sets = word_sets(corpus, k)
     links = [(i, j) for i in range(len(sets)) for j in range(i) if sets[i] and 100 * len(sets[i] & sets[j]) >= num * len(sets[i] | sets[j])]
