@@ -30,10 +30,12 @@ def local_session(cpus: str = "8", **conf: str) -> SparkSession:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: the session's checkpoint folder.
 
-    Only where the setting is absent (tests, notebooks) a temporary folder is made.
+    Only where the setting is absent and the master is local (tests, notebooks) a temporary folder is made.
     """
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="benchvary-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -55,13 +57,16 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = scratch_path(spark, name)
-    before = spark.conf.get(CLEAN_UP, None)
-    if before is not None:
+    try:
+        before = spark.conf.get(CLEAN_UP)
+    except Exception:  # this release doesn't know the setting
+        before = None
+    if before == "false":
         spark.conf.set(CLEAN_UP, "true")
     try:
         df.write.parquet(path)
     finally:
-        if before is not None:
+        if before == "false":
             spark.conf.set(CLEAN_UP, before)
     return spark.read.schema(df.schema).parquet(path)
 
