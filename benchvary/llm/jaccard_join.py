@@ -8,7 +8,8 @@ are k - 1 longer. Shingles that few prefixes hold are indexed alone; those that
 combinations of two, then three.
 Every set also has a sketch: the parity of its members in each of 512 bins. Bins in which two sketches differ hold a
 member of one set that the other lacks, so their number bounds the difference from below, and joins drop pairs that
-differ too much while they make them. What is left is verified on whole sets. The bound can't drop a similar pair.
+differ too much while they make them. Candidates then meet their wide sketches, of at least as many bins as members;
+what these leave is verified on whole sets. Neither bound can drop a similar pair.
 
 Groups of copies never become all pairs: documents with equal sets are one node from the start; then every document
 is verified against a few chosen members of each key it shares (stars), and only keys that still join different
@@ -111,13 +112,22 @@ def _parities(tokens: np.ndarray, per_row: np.ndarray) -> np.ndarray:
     return np.packbits(odd).view(np.int64).reshape(len(per_row), len(SKETCH))
 
 
+def _wide(tokens: np.ndarray, per_row: np.ndarray) -> pa.Array:
+    """Sketches with at least as many bins as a row has members, a power of two, so that longer ones fold onto shorter ones."""
+    words = 1 << np.ceil(np.log2(np.maximum(per_row, 64) / 64)).astype(np.int64)
+    first = np.cumsum(words) - words
+    at = _text.mix(tokens + np.uint64(5)) & np.repeat(64 * words - 1, per_row).astype(np.uint64)
+    odd = (np.bincount(at.astype(np.int64) + np.repeat(64 * first, per_row), minlength=64 * int(words.sum())) & 1).astype(np.uint8)
+    return _text.binary(np.packbits(odd).view(np.uint64), words)
+
+
 def _lists(values: np.ndarray, per_row: np.ndarray) -> pa.Array:
     ends = np.concatenate([[0], np.cumsum(per_row)]).astype(np.int32)
     return pa.ListArray.from_arrays(pa.array(ends), pa.array(values.view(np.int64)))
 
 
 def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, classes: Broadcast, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, k1, k2, head, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketch."""
+    """(doc_id, n_shingles, k1, k2, head, wide, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketches."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -130,11 +140,11 @@ def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, classes: Bro
                 at = np.repeat(first[:-1] - np.concatenate([[0], np.cumsum(length)])[:-1], length) + np.arange(length.sum())
                 sketch = np.ascontiguousarray(_parities(own, n).T)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _lists(own[at], length), *map(pa.array, sketch)],
-                    names=["doc_id", "n_shingles", "k1", "k2", "head", *SKETCH],
+                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _lists(own[at], length), _wide(own, n), *map(pa.array, sketch)],
+                    names=["doc_id", "n_shingles", "k1", "k2", "head", "wide", *SKETCH],
                 )
 
-    out = "doc_id long, n_shingles long, k1 long, k2 long, head array<long>, " + ", ".join(f"{c} long" for c in SKETCH)
+    out = "doc_id long, n_shingles long, k1 long, k2 long, head array<long>, wide binary, " + ", ".join(f"{c} long" for c in SKETCH)
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, out)
 
 
@@ -169,6 +179,24 @@ def _similar(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame
     return pairs.join(left, "a").join(right, "b").where(den * common >= num * (F.size("ta") + F.size("tb") - common)).select("a", "b")
 
 
+def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs whose wide sketches, the longer one folded to the length of the shorter, don't differ too much."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = batch.column(2).to_numpy() + batch.column(3).to_numpy()
+            differ = np.zeros(batch.num_rows, dtype=np.int64)
+            for k, (x, y) in enumerate(zip(batch.column(4), batch.column(5), strict=True)):
+                a, b = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(y.as_buffer(), dtype=np.uint64)
+                m = min(len(a), len(b))
+                differ[k] = np.bitwise_count(np.bitwise_xor.reduce(a.reshape(-1, m)) ^ np.bitwise_xor.reduce(b.reshape(-1, m))).sum()
+            yield batch.select([0, 1]).filter(pa.array((den + num) * differ <= (den - num) * n))
+
+    left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("wide").alias("wa"))
+    right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("wide").alias("wb"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(run, "a long, b long")
+
+
 def _fits(num: int, den: int, room: Column | None = None) -> Column:
     """Sizes of a pair that can be similar at all, room enough for what they must share, and sketches that don't differ too much."""
     x, y = F.col("x.size"), F.col("y.size")
@@ -247,7 +275,7 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     # Rows with equal sets are one node, named by one of them.
     some = rows.where("n_shingles > 0")
     same = some.groupBy("k1", "k2", "n_shingles").agg(F.min("row_key").alias("node"), F.min("doc_id").alias("least"))
-    named = materialize(some.join(same, ["k1", "k2", "n_shingles"]).withColumn("head", F.when(F.col("row_key") == F.col("node"), F.col("head"))), "named")
+    named = materialize(some.join(same, ["k1", "k2", "n_shingles"]).withColumns({c: F.when(F.col("row_key") == F.col("node"), F.col(c)) for c in ("head", "wide")}), "named")
     empty = materialize(rows.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")), "empty")
     forget(rows)
     heads = named.where("row_key = node").withColumn("size", F.col("n_shingles"))
@@ -261,7 +289,7 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
 
     def checked(pairs: DataFrame) -> DataFrame:
         """Links among the pairs; whole sets are made from the texts of their ends, once each."""
-        left = materialize(pairs, "pairs")
+        left = materialize(_plausible(pairs, heads, num, den), "plausible")
         ends = left.select(F.col("a").alias("node")).unionByName(left.select(F.col("b").alias("node"))).distinct()
         for done in sets:
             ends = ends.join(done.select("node"), "node", "left_anti")
