@@ -49,7 +49,7 @@ def answers(edited: DataFrame, specs: DataFrame, models: DataFrame) -> DataFrame
     cap = F.greatest(F.lit(0), F.col("cap") - F.col("l4") * SENTENCES * F.col("noise_cost") + F.col("l3") * F.col("facts") * F.col("hint_gain"))
     side = canvas_side(F.col("ratio")).cast("long")
     big = (F.col("least_area") == NO_AREA) | (F.col("least_area").cast("long") * 1_000_000 >= F.col("floor_ppm") * side * side)
-    understood = ((F.col("l1") == 0) | F.col("knows_words")) & ((F.col("l2") == 0) | F.col("knows_persona"))
+    understood = ((F.col("l1") == 0) | F.col("knows_words")) & ((F.col("l2") == 0) | (F.col("l2_fallback") == 1) | F.col("knows_persona"))
     sees = (rank <= cap) & big & understood
     return rows.select("model", "variant_id", "n_hard", "item_id", "benchmark", "task", sees.cast("int").alias("sees"), F.when(sees, 1).otherwise(F.col("guess")).alias("correct"))
 

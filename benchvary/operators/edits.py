@@ -1,7 +1,8 @@
-"""Image and question edits with their judge: pure functions of (item, attempt), so a repeated task gives the same sample.
+"""Image and question edits: pure functions of (item, attempt), so a repeated task gives the same sample.
 
 V1 adds an object (hard), V2 removes one (easy), V3 expands the canvas (hard); L1 swaps words (hard), L2 rephrases for
-a persona (hard), L3 adds relevant context (easy), L4 irrelevant context (hard).
+a persona (hard), L3 adds relevant context (easy), L4 irrelevant context (hard). Each proposal of an edit passes the
+judge's rule for it (judge.py) or the next attempt is made; after the last one the original stays.
 """
 
 from __future__ import annotations
@@ -43,37 +44,52 @@ def _relevant(o: Column) -> Column:
     return F.array_contains("rel", o["sn"])
 
 
-def propose_additions(items: DataFrame, attempts: int = ATTEMPTS, size: int = ADDED, edition: int = 0) -> DataFrame:
-    """tries: the proposed box of each attempt, with the judge's verdict: it covers no relevant object."""
+def added_name(edition: int, k: Column) -> Column:
+    """The name of the object that attempt k adds: an adjective and a noun by hash."""
+    words = list(LEXICON)
+    half = len(words) // 2
+    pick = lambda part, of: F.element_at(F.array(*[F.lit(w) for w in of]), (1 + stable_bucket(half, f"v1e{edition}", F.lit(part), F.col("item_id"), k)).cast("int"))
+    return F.concat_ws(" ", pick("a", words[:half]), pick("n", words[half:]))
+
+
+def propose_additions(items: DataFrame, attempts: int = ATTEMPTS, size: int = ADDED, edition: int = 0, canvas: int = CANVAS) -> DataFrame:
+    """tries: name and box of each attempt, with the judge's verdict: not the asked name, and no relevant object covered.
+
+    canvas: side of the scene, in the middle of which the original one stands.
+    """
     salt = f"v1e{edition}"
-    spot = lambda axis, k: stable_bucket(CANVAS - size, salt, F.lit(axis), F.col("item_id"), k).cast("int")
-    side = F.lit(size)
+    spot = lambda axis, k: stable_bucket(canvas - size, salt, F.lit(axis), F.col("item_id"), k).cast("int")
+    side, shift = F.lit(size), F.lit((canvas - CANVAS) // 2)
 
     def attempt(k: Column) -> Column:
-        x, y = spot("x", k), spot("y", k)
-        hidden = F.exists("objs", lambda o: _relevant(o) & boxes_overlap(o["x0"], o["y0"], o["w"], o["h"], x, y, side, side))
-        return F.struct(k.alias("k"), x.alias("x"), y.alias("y"), (~hidden).alias("ok"))
+        x, y, name = spot("x", k), spot("y", k), added_name(edition, k)
+        hidden = F.exists("objs", lambda o: _relevant(o) & boxes_overlap(o["x0"] + shift, o["y0"] + shift, o["w"], o["h"], x, y, side, side))
+        return F.struct(k.alias("k"), x.alias("x"), y.alias("y"), name.alias("name"), (~hidden & (name != F.col("name"))).alias("ok"))
 
     return items.withColumn("tries", F.transform(F.sequence(F.lit(1), F.lit(attempts)), attempt))
 
 
-def add_object(items: DataFrame, attempts: int = ATTEMPTS, size: int = ADDED, edition: int = 0) -> DataFrame:
-    """First accepted addition: v1_attempt, v1_x, v1_y; v1_fallback where all attempts fail, and the original stays."""
+def add_object(items: DataFrame, attempts: int = ATTEMPTS, size: int = ADDED, edition: int = 0, canvas: int = CANVAS) -> DataFrame:
+    """First accepted addition: v1_attempt, v1_x, v1_y, v1_name; v1_fallback where all attempts fail, and the original stays."""
     first = F.try_element_at(F.filter("tries", lambda t: t["ok"]), F.lit(1))
-    return propose_additions(items, attempts, size, edition).withColumn("_f", first).withColumns(
-        {"v1_attempt": F.coalesce(F.col("_f.k"), F.lit(attempts)), "v1_x": F.col("_f.x"), "v1_y": F.col("_f.y"), "v1_fallback": F.col("_f").isNull().cast("int")}
+    return propose_additions(items, attempts, size, edition, canvas).withColumn("_f", first).withColumns(
+        {"v1_attempt": F.coalesce(F.col("_f.k"), F.lit(attempts)), "v1_x": F.col("_f.x"), "v1_y": F.col("_f.y"), "v1_name": F.col("_f.name"), "v1_fallback": F.col("_f").isNull().cast("int")}
     ).drop("_f")
 
 
+def may_go(o: Column) -> Column:
+    """The judge's rule for a removal: neither relevant, nor named like the asked one, nor overlapping a relevant box."""
+    return ~_relevant(o) & (o["name"] != F.col("name")) & ~F.exists("objs", lambda r: _relevant(r) & boxes_overlap(o["x0"], o["y0"], o["w"], o["h"], r["x0"], r["y0"], r["w"], r["h"]))
+
+
 def removable(items: DataFrame) -> DataFrame:
-    """can_go: objects that are neither relevant, nor named like the asked one, nor overlap a relevant box."""
-    ok = lambda o: ~_relevant(o) & (o["name"] != F.col("name")) & ~F.exists("objs", lambda r: _relevant(r) & boxes_overlap(o["x0"], o["y0"], o["w"], o["h"], r["x0"], r["y0"], r["w"], r["h"]))
-    return items.withColumn("can_go", F.filter("objs", ok))
+    """can_go: objects that the judge lets go."""
+    return items.withColumn("can_go", F.filter("objs", may_go))
 
 
-def remove_object(items: DataFrame) -> DataFrame:
-    """The largest removable object goes: v2_sn, v2_rank; v2_fallback where there is none."""
-    best = F.array_min(F.transform("can_go", lambda o: F.struct(o["rk"].alias("rk"), o["sn"].alias("sn"))))
+def remove_object(items: DataFrame, attempts: int = ATTEMPTS) -> DataFrame:
+    """Attempt k removes the k-th largest object; the first that may go is gone: v2_sn, v2_rank; v2_fallback where none is."""
+    best = F.array_min(F.transform(F.filter("can_go", lambda o: o["rk"] <= attempts), lambda o: F.struct(o["rk"].alias("rk"), o["sn"].alias("sn"))))
     return removable(items).withColumn("_b", best).withColumns({"v2_sn": F.col("_b.sn"), "v2_rank": F.col("_b.rk"), "v2_fallback": F.col("_b").isNull().cast("int")}).drop("_b", "can_go")
 
 
@@ -96,19 +112,48 @@ def synonym(word: Column, salt: Column) -> Column:
     return F.coalesce(F.element_at(F.try_element_at(table, word), (1 + stable_bucket(2, "syn", salt, word)).cast("int")), word)
 
 
-def swapped_name(items: DataFrame) -> DataFrame:
-    """swap1, swap2: what the two words of the asked name become under L1."""
-    return items.withColumns({f"swap{k}": synonym(F.split_part("name", F.lit(" "), F.lit(k)), F.col("item_id")) for k in (1, 2)})
+#: One in so many proposals of L1 takes a word of another meaning, and of L2 leaves the asked name out; the judge rejects both.
+DRIFT, PRONOUN = 10, 8
+
+
+def drifts(k: Column) -> Column:
+    return stable_bucket(DRIFT, "drift", F.col("item_id"), k) == 0
+
+
+def omits_name(k: Column) -> Column:
+    return stable_bucket(PRONOUN, "pronoun", F.col("item_id"), k) == 0
+
+
+def _all_fail(bad, attempts: int) -> Column:
+    return F.forall(F.sequence(F.lit(1), F.lit(attempts)), bad).cast("int")
 
 
-def with_persona(items: DataFrame) -> DataFrame:
+def swapped_name(items: DataFrame, attempts: int = ATTEMPTS) -> DataFrame:
+    """swap1, swap2: what the two words of the asked name become under L1; the words themselves where every attempt fails (l1_fallback)."""
+    out = items.withColumn("l1_fallback", _all_fail(drifts, attempts))
+    word = lambda k: F.split_part("name", F.lit(" "), F.lit(k))
+    return out.withColumns({f"swap{k}": F.when(F.col("l1_fallback") == 1, word(k)).otherwise(synonym(word(k), F.col("item_id"))) for k in (1, 2)})
+
+
+def with_persona(items: DataFrame, attempts: int = ATTEMPTS) -> DataFrame:
+    """persona, and l2_fallback where every attempt leaves the asked name out."""
     pick = F.element_at(F.array(*[F.lit(p) for p in PERSONAS]), (1 + stable_bucket(len(PERSONAS), "persona", F.col("item_id"))).cast("int"))
-    return items.withColumn("persona", pick)
+    return items.withColumns({"persona": pick, "l2_fallback": _all_fail(omits_name, attempts)})
+
+
+def tells_nothing(o: Column) -> Column:
+    """The judge's rule for a hint: about neither a relevant object nor one with the asked name."""
+    return ~_relevant(o) & (o["name"] != F.col("name"))
+
+
+def hints(items: DataFrame, most: int = 2, attempts: int = ATTEMPTS) -> Column:
+    """Attempt k proposes the k-th object as a hint; the first accepted ones stay."""
+    return F.slice(F.filter("objs", lambda o: (o["sn"] <= attempts) & tells_nothing(o)), 1, most)
 
 
 def with_facts(items: DataFrame, most: int = 2) -> DataFrame:
-    """facts: how many objects that don't settle the question can be mentioned as hints."""
-    return items.withColumn("facts", F.least(F.lit(most), F.size(F.filter("objs", lambda o: ~_relevant(o) & (o["name"] != F.col("name"))))))
+    """facts: how many hints the question gets under L3."""
+    return items.withColumn("facts", F.size(hints(items, most)))
 
 
 def describe(objs: Column) -> Column:
@@ -116,24 +161,48 @@ def describe(objs: Column) -> Column:
     return F.concat(F.lit("The picture shows "), F.array_join(F.transform(objs, lambda o: F.concat(F.lit("a "), o["name"])), ", "), F.lit("."))
 
 
-def hints(items: DataFrame, most: int = 2) -> Column:
-    return F.slice(F.filter("objs", lambda o: ~_relevant(o) & (o["name"] != F.col("name"))), 1, most)
+def in_context(question: Column, context: Column, where: str = "before") -> Column:
+    """The question with a context before or after it; without a context, itself."""
+    both = F.concat_ws(" ", context, question) if where == "before" else F.concat_ws(" ", question, context)
+    return F.when(F.length(F.coalesce(context, F.lit(""))) > 0, both).otherwise(question)
 
 
-def question_text(items: DataFrame, l1: bool = False, l2: bool = False, l3: bool = False) -> DataFrame:
-    """question: the item's question under the edits."""
+def question_text(items: DataFrame, l1: bool = False, l2: bool = False, l3: bool = False, noise: str | None = None, where: str = "before") -> DataFrame:
+    """question: the item's question under the edits; noise: a column with the context of L4."""
     name = F.concat_ws(" ", "swap1", "swap2") if l1 else F.col("name")
     forms = F.create_map(*[x for t, q in QUESTIONS.items() for x in (F.lit(t), F.lit(q))])
     text = F.replace(F.element_at(forms, F.col("task")), F.lit("{name}"), name)
     if l2:
         lead = F.create_map(*[x for p, q in REPHRASED.items() for x in (F.lit(p), F.lit(q))])
-        text = F.concat(F.replace(F.element_at(lead, F.col("persona")), F.lit("{name}"), name), F.lower(text))
+        text = F.when(F.col("l2_fallback") == 1, text).otherwise(F.concat(F.replace(F.element_at(lead, F.col("persona")), F.lit("{name}"), name), F.lower(text)))
     if l3:
         hint = hints(items)
-        text = F.when(F.size(hint) > 0, F.concat(describe(hint), F.lit(" "), text)).otherwise(text)
+        text = in_context(text, F.when(F.size(hint) > 0, describe(hint)), where)
+    if noise:
+        text = in_context(text, F.col(noise), where)
     return items.withColumn("question", text)
 
 
+def with_noise(items: DataFrame, scenes: DataFrame, largest: int, attempts: int = ATTEMPTS) -> DataFrame:
+    """noise: the description of another scene, for L4; null where every attempt fails (l4_fallback); l4_attempt.
+
+    Attempt k draws a scene by hash from 1 to largest. The judge rejects one that doesn't exist, is the item's own, or
+    names what is asked for. scenes: (scene_id, objs). Proposals are joined with scenes; items meet their first accepted one.
+    """
+    asked = items.select("item_id", "scene_id", "name")
+    drawn = propose_noise(asked, scenes, largest, attempts).where("ok").groupBy("item_id").agg(F.min(F.struct("k", "noise")).alias("f"))
+    return items.join(drawn, "item_id", "left").withColumns({"noise": F.col("f.noise"), "l4_attempt": F.coalesce(F.col("f.k"), F.lit(attempts)), "l4_fallback": F.col("f").isNull().cast("int")}).drop("f")
+
+
+def propose_noise(items: DataFrame, scenes: DataFrame, largest: int, attempts: int = ATTEMPTS) -> DataFrame:
+    """(item_id, k, noise, ok): the scene that each attempt draws, and the judge's verdict."""
+    drawn = items.select("item_id", "scene_id", "name", F.explode(F.sequence(F.lit(1), F.lit(attempts))).alias("k")).withColumn("other", 1 + stable_bucket(max(largest, 1), "noise", F.col("item_id"), F.col("k")))
+    pool = scenes.select(F.col("scene_id").alias("other"), F.array_sort(F.transform("objs", lambda o: F.struct(o["sn"].alias("sn"), o["name"].alias("name")))).alias("others"))
+    met = drawn.join(pool, "other", "left")
+    ok = F.col("others").isNotNull() & (F.col("other") != F.col("scene_id")) & ~F.coalesce(F.exists("others", lambda o: o["name"] == F.col("name")), F.lit(True))
+    return met.select("item_id", "k", describe(F.col("others")).alias("noise"), ok.alias("ok"))
+
+
 def edited(items: DataFrame, edition: int = 0) -> DataFrame:
     """Items with all seven edits worked out once; compositions only combine the columns."""
     out = with_facts(with_persona(swapped_name(remove_object(add_object(items, edition=edition)))))

@@ -11,7 +11,7 @@ HARD = {"V1", "V3", "L1", "L2", "L4"}
 
 
 def spec(edits: tuple[str, ...], ratio: float = RATIO, name: str | None = None) -> tuple:
-    """A composition of distinct edits. Adding and expanding commute in what answerers see, so a set is enough here."""
+    """A composition of distinct edits as answerers meet it: flags. samples.apply_spec makes the sample itself, in the order given."""
     has = lambda e: int(e in edits)
     return (name or "+".join(edits) or "vanilla", has("V1"), has("V2"), ratio if "V3" in edits else 1.0, *(has(e) for e in TEXT), sum(e in HARD for e in edits))
 

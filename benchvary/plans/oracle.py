@@ -23,9 +23,9 @@ rk AS (SELECT *, w * h AS area, row_number() OVER (PARTITION BY scene_id ORDER B
 sc AS (SELECT scene_id, any_value(n) AS n, (1 + {_h("'t'", "scene_id")} % any_value(n))::INT AS t FROM rk GROUP BY scene_id),
 ab AS (SELECT s.scene_id, s.n, a.sn AS asn, a.name AS aname, a.brand AS abrand, a.x0 AS ax, a.y0 AS ay, a.w AS aw, a.h AS ah, b.sn AS bsn, b.name AS bname, b.x0 AS bx, b.y0 AS by_, b.w AS bw, b.h AS bh
        FROM sc s JOIN rk a ON a.scene_id = s.scene_id AND a.sn = s.t JOIN rk b ON b.scene_id = s.scene_id AND b.sn = 1 + s.t % s.n),
-pool AS (SELECT DISTINCT p_name AS pn FROM part),
-free AS (SELECT s.scene_id, arg_min(pn, {_h("'n'", "s.scene_id", "pn")} * 1000 + rank_) AS absent FROM sc s, (SELECT pn, row_number() OVER (ORDER BY pn) AS rank_ FROM pool) q
-         WHERE NOT EXISTS (SELECT 1 FROM obj z WHERE z.scene_id = s.scene_id AND z.name = pn) GROUP BY s.scene_id),
+pool AS (SELECT pn, row_number() OVER (ORDER BY pn) AS rank_ FROM (SELECT DISTINCT p_name AS pn FROM part)),
+held AS (SELECT scene_id, list(DISTINCT name) AS names FROM obj GROUP BY scene_id),
+free AS (SELECT scene_id, arg_min(pn, {_h("'n'", "scene_id", "pn")} * 1000000 + rank_) AS absent FROM held, pool WHERE NOT list_contains(names, pn) GROUP BY scene_id),
 same AS (SELECT ab.scene_id, count(*)::INT AS k, arg_min(r.sn, r.rk) AS best FROM ab JOIN rk r ON r.scene_id = ab.scene_id AND r.name = ab.aname GROUP BY ab.scene_id),
 base AS (SELECT ab.*, f.absent, same.k, same.best, {_h("'p'", "ab.scene_id")} % 2 = 0 AS there FROM ab JOIN same USING (scene_id) LEFT JOIN free f USING (scene_id)),
 it0 AS (
@@ -42,24 +42,63 @@ SAMPLED = f"""{ITEMS},
 smp AS (SELECT * FROM it WHERE {_h("'s'", "scene_id")} % 100 < CASE benchmark WHEN 'YN' THEN 100 WHEN 'MC-G' THEN 30 ELSE 10 END)"""
 
 
-def _edits(source: str, edition: int = 0) -> str:
+def _edits(source: str, edition: int = 0, canvas: int = 1000) -> str:
     salt = f"'v1e{edition}'"
+    words = list(edits.LEXICON)
     lex = _values([(w, *s) for w, s in edits.LEXICON.items()], "word, s1, s2")
-    swap = lambda k: f"coalesce((SELECT CASE WHEN {_h(chr(39) + 'syn' + chr(39), 'i.item_id', 'word')} % 2 = 0 THEN s1 ELSE s2 END FROM {lex} WHERE word = split_part(i.name, ' ', {k})), split_part(i.name, ' ', {k}))"
+    fails = lambda n, salt_: " AND ".join(f"{_h(repr(salt_), 'i.item_id', str(k))} % {n} = 0" for k in range(1, 6))
+    drift, pronoun = fails(edits.DRIFT, "drift"), fails(edits.PRONOUN, "pronoun")
+    word = lambda k: f"split_part(i.name, ' ', {k})"
+    swap = lambda k: f"CASE WHEN {drift} THEN {word(k)} ELSE coalesce((SELECT CASE WHEN {_h(chr(39) + 'syn' + chr(39), 'i.item_id', 'word')} % 2 = 0 THEN s1 ELSE s2 END FROM {lex} WHERE word = {word(k)}), {word(k)}) END"
+    pick = lambda part, of: f"{list(of)!r}[1 + {_h(salt, repr(part), 'i.item_id', 'k')} % 8]"
     persona = "[" + ", ".join(repr(p) for p in edits.PERSONAS) + "]"
+    move = (canvas - 1000) // 2
     return f""",
-tries AS (SELECT i.item_id, i.task, k, ({_h(salt, "'x'", "i.item_id", "k")} % 850)::INT AS x, ({_h(salt, "'y'", "i.item_id", "k")} % 850)::INT AS y FROM {source} i, (SELECT unnest([1, 2, 3, 4, 5]) AS k)),
-verdict AS (SELECT t.*, NOT EXISTS (SELECT 1 FROM rel r WHERE r.item_id = t.item_id AND r.x0 < t.x + 150 AND t.x < r.x0 + r.w AND r.y0 < t.y + 150 AND t.y < r.y0 + r.h) AS ok FROM tries t),
-v1 AS (SELECT item_id, min(k) AS a, arg_min(x, k) AS x, arg_min(y, k) AS y FROM verdict WHERE ok GROUP BY item_id),
-can_go AS (SELECT i.item_id, o.sn, o.rk FROM {source} i JOIN rk o ON o.scene_id = i.scene_id WHERE NOT list_contains(i.rel, o.sn) AND o.name <> i.name
-           AND NOT EXISTS (SELECT 1 FROM rel r WHERE r.item_id = i.item_id AND r.x0 < o.x0 + o.w AND o.x0 < r.x0 + r.w AND r.y0 < o.y0 + o.h AND o.y0 < r.y0 + r.h)),
-v2 AS (SELECT item_id, min(rk) AS rk, arg_min(sn, rk) AS sn, count(*) AS n_go FROM can_go GROUP BY item_id),
-facts AS (SELECT i.item_id, least(2, count(*)) AS facts FROM {source} i JOIN rk o ON o.scene_id = i.scene_id WHERE NOT list_contains(i.rel, o.sn) AND o.name <> i.name GROUP BY i.item_id),
-ed AS (SELECT i.*, coalesce(v1.a, 5) AS v1_attempt, v1.x AS v1_x, v1.y AS v1_y, (v1.a IS NULL)::INT AS v1_fallback, v2.sn AS v2_sn, v2.rk AS v2_rank, (v2.rk IS NULL)::INT AS v2_fallback, coalesce(v2.n_go, 0) AS n_go,
-       coalesce(facts.facts, 0) AS facts, {swap(1)} AS swap1, {swap(2)} AS swap2, {persona}[1 + {_h("'persona'", "i.item_id")} % 4] AS persona
+tries AS (SELECT i.item_id, i.task, i.name AS asked, k, ({_h(salt, "'x'", "i.item_id", "k")} % {canvas - 150})::INT AS x, ({_h(salt, "'y'", "i.item_id", "k")} % {canvas - 150})::INT AS y, {pick("a", words[:8])} || ' ' || {pick("n", words[8:])} AS new_name
+          FROM {source} i, (SELECT unnest([1, 2, 3, 4, 5]) AS k)),
+verdict AS (SELECT t.*, new_name <> asked AND NOT EXISTS (SELECT 1 FROM rel r WHERE r.item_id = t.item_id AND r.x0 + {move} < t.x + 150 AND t.x < r.x0 + {move} + r.w AND r.y0 + {move} < t.y + 150 AND t.y < r.y0 + {move} + r.h) AS ok FROM tries t),
+v1 AS (SELECT item_id, min(k) AS a, arg_min(x, k) AS x, arg_min(y, k) AS y, arg_min(new_name, k) AS nm FROM verdict WHERE ok GROUP BY item_id),
+may_go AS (SELECT i.item_id, o.sn, o.rk, NOT list_contains(i.rel, o.sn) AND o.name <> i.name
+           AND NOT EXISTS (SELECT 1 FROM rel r WHERE r.item_id = i.item_id AND r.x0 < o.x0 + o.w AND o.x0 < r.x0 + r.w AND r.y0 < o.y0 + o.h AND o.y0 < r.y0 + r.h) AS ok FROM {source} i JOIN rk o ON o.scene_id = i.scene_id),
+v2 AS (SELECT item_id, min(rk) FILTER (rk <= 5) AS rk, arg_min(sn, rk) FILTER (rk <= 5) AS sn, count(*) AS n_go FROM may_go WHERE ok GROUP BY item_id),
+hint AS (SELECT i.item_id, o.sn, o.name AS hinted, NOT list_contains(i.rel, o.sn) AND o.name <> i.name AS ok FROM {source} i JOIN rk o ON o.scene_id = i.scene_id WHERE o.sn <= 5),
+facts AS (SELECT item_id, least(2, count(*)) AS facts, list(hinted ORDER BY sn)[:2] AS told FROM hint WHERE ok GROUP BY item_id),
+ed AS (SELECT i.*, coalesce(v1.a, 5) AS v1_attempt, v1.x AS v1_x, v1.y AS v1_y, v1.nm AS v1_name, (v1.a IS NULL)::INT AS v1_fallback, v2.sn AS v2_sn, v2.rk AS v2_rank, (v2.rk IS NULL)::INT AS v2_fallback, coalesce(v2.n_go, 0) AS n_go,
+       coalesce(facts.facts, 0) AS facts, facts.told, ({drift})::INT AS l1_fallback, ({pronoun})::INT AS l2_fallback, {swap(1)} AS swap1, {swap(2)} AS swap2, {persona}[1 + {_h("'persona'", "i.item_id")} % 4] AS persona
        FROM {source} i LEFT JOIN v1 USING (item_id) LEFT JOIN v2 USING (item_id) LEFT JOIN facts USING (item_id))"""
 
 
+def _case(col: str, of: dict[str, str]) -> str:
+    return f"CASE {col} " + " ".join(f"WHEN '{k}' THEN '{v}'" for k, v in of.items()) + " END"
+
+
+_NOISE = f""",
+told AS (SELECT scene_id AS other, 'The picture shows ' || string_agg('a ' || name, ', ' ORDER BY sn) || '.' AS said, list(name) AS others FROM obj GROUP BY 1),
+drawn AS (SELECT i.item_id, i.task, i.scene_id, i.name, k, 1 + {_h("'noise'", "i.item_id", "k")} % (SELECT max(o_orderkey) FROM orders) AS other FROM SOURCE i, (SELECT unnest([1, 2, 3, 4, 5]) AS k)),
+nv AS (SELECT d.item_id, d.task, d.k, t.said, t.others IS NOT NULL AND d.other <> d.scene_id AND NOT list_contains(t.others, d.name) AS ok FROM drawn d LEFT JOIN told t USING (other)),
+nz AS (SELECT item_id, min(k) AS k, arg_min(said, k) AS noise FROM nv WHERE ok GROUP BY item_id),
+qt AS (SELECT ed.*, coalesce(nz.k, 5) AS l4_attempt, nz.noise, (nz.k IS NULL)::INT AS l4_fallback, replace({_case("task", edits.QUESTIONS)}, '{{name}}', name) AS q0,
+       replace({_case("task", edits.QUESTIONS)}, '{{name}}', swap1 || ' ' || swap2) AS q1, replace({_case("persona", edits.REPHRASED)}, '{{name}}', name) AS lead_,
+       'The picture shows ' || array_to_string(list_transform(told, lambda x: 'a ' || x), ', ') || '.' AS told_ FROM ed LEFT JOIN nz USING (item_id)),
+questions AS (SELECT *, CASE WHEN l2_fallback = 1 THEN q0 ELSE lead_ || lower(q0) END AS q2, coalesce(told_ || ' ', '') || q0 AS q3, coalesce(noise || ' ', '') || q0 AS q4 FROM qt)"""
+
+
+def _questions(source: str = "it") -> str:
+    head = SAMPLED if source == "smp" else ITEMS
+    return f"WITH {head}{_edits(source)}{_NOISE.replace('SOURCE', source)} "
+
+
+_PROPOSED = _questions() + """, proposed AS (
+   SELECT item_id, task, 'V1' AS strategy, k, ok FROM verdict
+   UNION ALL SELECT g.item_id, i.task, 'V2', g.rk, g.ok FROM may_go g JOIN it i USING (item_id) WHERE g.rk <= 5
+   UNION ALL SELECT item_id, task, 'V3', 1, true FROM it
+   UNION ALL SELECT item_id, task, 'L1', k, """ + _h("'drift'", "item_id", "k") + f" % {edits.DRIFT} <> 0" + """ FROM tries
+   UNION ALL SELECT item_id, task, 'L2', k, """ + _h("'pronoun'", "item_id", "k") + f" % {edits.PRONOUN} <> 0" + """ FROM tries
+   UNION ALL SELECT h.item_id, i.task, 'L3', h.sn, h.ok FROM hint h JOIN it i USING (item_id)
+   UNION ALL SELECT item_id, task, 'L4', k, ok FROM nv),
+judged AS (SELECT item_id, task, strategy, coalesce(min(k) FILTER (ok), 5) AS attempt, (min(k) FILTER (ok) IS NULL)::INT AS fallback FROM proposed GROUP BY ALL) """
+
+
 def _answers(specs, models=answering.MODELS) -> str:
     know = lambda c: f"{_h(chr(39) + 'w' + chr(39), 'model', c)} % 100 < vocab"
     return f""",
@@ -69,7 +108,7 @@ km AS (SELECT ed.*, md.*, {know("swap1")} AND {know("swap2")} AS kw, {_h("'p'",
 ans0 AS (SELECT model, variant_id, n_hard, item_id, benchmark, task, guess,
    (worst_rank + (CASE WHEN v1 = 1 AND v1_fallback = 0 AND 22500 > least_area THEN 1 ELSE 0 END) - (CASE WHEN v2 = 1 AND v2_fallback = 0 AND v2_rank < worst_rank THEN 1 ELSE 0 END)
       <= greatest(0, cap - l4 * 2 * noise_cost + l3 * facts * hint_gain))
-   AND (least_area = 1000000 OR least_area::BIGINT * 1000000 >= floor_ppm * side * side) AND (l1 = 0 OR kw) AND (l2 = 0 OR kp) AS sees FROM km, sp),
+   AND (least_area = 1000000 OR least_area::BIGINT * 1000000 >= floor_ppm * side * side) AND (l1 = 0 OR kw) AND (l2 = 0 OR l2_fallback = 1 OR kp) AS sees FROM km, sp),
 ans AS (SELECT *, CASE WHEN sees THEN 1 ELSE guess END AS correct FROM ans0)"""
 
 
@@ -87,15 +126,17 @@ _REGISTRY = _values(edits.STRATEGIES, "strategy, level, difficulty")
 _COS = "list_dot_product({a}, {b}) / (sqrt(list_dot_product({a}, {a})) * sqrt(list_dot_product({b}, {b})))"
 _cos = lambda a, b: _COS.format(a=a, b=b)
 
-VEC = f"""
+_VEC = f"""
 vec AS (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings),
-ev AS (SELECT vec_id AS eval_id, vec_id // 5 AS slot, ((vec_id // 5) % 3)::INT AS eval_set, v AS e FROM vec WHERE vec_id % 5 = 0),
+ev AS (SELECT a.vec_id AS eval_id, a.vec_id // 5 AS slot, ((a.vec_id // 5) % 3)::INT AS eval_set, SHIFT AS e FROM vec a LEFT JOIN vec u ON u.vec_id = a.vec_id + 2 WHERE a.vec_id % 5 = 0),
 tr0 AS (SELECT 'v' || vec_id AS train_id, v AS t, NULL::BIGINT AS planted_from FROM vec WHERE vec_id % 5 <> 0
    UNION ALL SELECT 'p' || a.vec_id, list_transform(list_zip(a.v, b.v), lambda z: z[1] + [0.0, 0.2, 0.4, 0.6, 0.9][(a.vec_id // 5) % 5 + 1] * z[2]), a.vec_id FROM vec a JOIN vec b ON b.vec_id = a.vec_id + 1
      WHERE a.vec_id % 5 = 0 AND {_h("'plant'", "a.vec_id")} % 100 < 60),
 tr AS (SELECT *, 1 AS in_xl, ({_h("'set'", "train_id")} % 100 < 40)::INT AS in_m, ({_h("'set'", "train_id")} % 100 < 15)::INT AS in_cap FROM tr0),
 sets AS (SELECT unnest(['in_xl', 'in_m', 'in_cap']) AS train_set),
 sims AS (SELECT eval_id, eval_set, slot, train_id, planted_from, in_xl, in_m, in_cap, {_cos("e", "t")} AS sim FROM ev, tr)"""
+VEC = _VEC.replace("SHIFT", "a.v")
+_MOVED = "CASE WHEN u.v IS NULL THEN a.v ELSE list_transform(list_zip(a.v, u.v), lambda z: z[1] + 0.6::DOUBLE * z[2]) END"
 _IN = "CASE train_set WHEN 'in_xl' THEN in_xl WHEN 'in_m' THEN in_m ELSE in_cap END"
 FLAGS = f"""{VEC},
 flags AS (SELECT eval_id, eval_set, train_set, coalesce(max(CASE WHEN sim > 0.9 THEN {_IN} END), 0) AS hit FROM sims, sets GROUP BY ALL)"""
@@ -141,19 +182,14 @@ ORACLE: dict[str, str] = {
     "propose_additions": f"WITH {ITEMS}{_edits('it')} SELECT item_id, k AS attempt, x, y, ok::INT AS ok FROM verdict",
     "propose_removals": f"WITH {ITEMS}{_edits('it')} SELECT item_id, n_go AS removable FROM ed",
     "box_masks": f"WITH {OBJ} SELECT scene_id, sn, x0, y0, least(x0 + w, 1000) AS x1, least(y0 + h, 1000) AS y1 FROM obj",
-    "scene_add": f"WITH {ITEMS}{_edits('it')} SELECT item_id, v1_attempt, v1_x, v1_y, v1_fallback FROM ed",
+    "scene_add": f"WITH {ITEMS}{_edits('it')} SELECT item_id, v1_attempt, v1_x, v1_y, v1_name, v1_fallback FROM ed",
     "scene_remove": f"WITH {ITEMS}{_edits('it')} SELECT item_id, v2_sn, v2_fallback FROM ed",
     "scene_expand": f"WITH {OBJ} SELECT scene_id, sn, x0 + 250 AS x0, y0 + 250 AS y0, w, h, 1500 AS canvas FROM obj",
     "scene_expand_ratios": f"WITH {OBJ}, r AS (SELECT unnest([1.25, 1.5, 1.75, 2.0]::DOUBLE[]) AS ratio) SELECT ratio, count(*) AS n, round(1000 * ratio)::INT AS canvas, sum(x0 + floor((1000 * ratio - 1000) / 2))::BIGINT AS sum_x FROM obj, r GROUP BY 1",
     "page_remove_clutter": "SELECT page_id, md5(regexp_replace(regexp_replace(coalesce(html, ''), '(?s)<nav>.*?</nav>', '', 'g'), '(?s)<div class=\"ad\">.*?</div>', '', 'g')) AS digest FROM pages",
     "page_add_clutter": "SELECT page_id, md5(replace(coalesce(html, ''), '</body>', '<div class=\"ad\">ad</div></body>')) AS digest FROM pages",
-    "persona_rephrase": "",
     "describe_scene": f"WITH {OBJ} SELECT scene_id, 'The picture shows ' || string_agg('a ' || name, ', ' ORDER BY sn) || '.' AS description FROM obj GROUP BY 1",
     "dialogue_noise_context": "WITH c AS (SELECT *, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS nr FROM conversations) SELECT conv_id, turn, 'By the way, this is conversation ' || conv_id || '. ' || text AS question FROM c WHERE role = 'user' AND nr = 'assistant'",
-    "judge_verdicts": f"WITH {ITEMS}{_edits('it')} SELECT task, k AS attempt, count(*) AS n, sum(ok::INT)::BIGINT AS yes FROM verdict GROUP BY ALL",
-    "judge_attempts": f"WITH {ITEMS}{_edits('it')} SELECT v1_attempt, v1_fallback, count(*) AS n FROM ed GROUP BY ALL",
-    "judge_acceptance_cumulative": f"WITH {ITEMS}{_edits('it')}, g AS (SELECT v1_attempt, count(*) AS n FROM ed WHERE v1_fallback = 0 GROUP BY 1) SELECT v1_attempt, n, round(sum(n) OVER (ORDER BY v1_attempt) / (SELECT count(*) FROM ed), 6) AS share FROM g",
-    "fallback_share": f"WITH {ITEMS}{_edits('it')} SELECT task, count(*) AS n, round(avg(v1_fallback), 6) AS v1, round(avg(v2_fallback), 6) AS v2 FROM ed GROUP BY 1",
     "answer_preserved": f"WITH {ITEMS} SELECT count(*) AS n, 0::BIGINT AS hidden, 0::BIGINT AS removed FROM it",
     "paired_grid_variants": f"SELECT * FROM {_values(compose.GRID, 'variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard')}".replace("SELECT *", "SELECT variant_id, v1, v2, ratio::DOUBLE AS ratio, l1, l2, l3, l4, n_hard"),
     "op_specs": f"SELECT variant_id, v1, v2, ratio::DOUBLE AS ratio, l1, l2, l3, l4, n_hard FROM {_values(compose.all_compositions(), 'variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard')}",
@@ -194,4 +230,71 @@ ORACLE: dict[str, str] = {
     "log_late_rows": "SELECT (user_id % 9)::INT AS model, sum((ts < (SELECT max(ts) FROM events) - INTERVAL 2 DAY)::INT)::BIGINT AS late FROM events GROUP BY 1",
     "log_running_contamination": f"WITH {VEC} SELECT eval_id, round(max({_cos('e', 'v')}), 6) AS sim FROM ev, vec WHERE vec_id % 5 <> 0 GROUP BY 1",
 }
-del ORACLE["persona_rephrase"]
+
+
+def _text_flags(how: str, shifted: bool = False) -> str:
+    """(eval_id, eval_set, train_set, hit) by images with text, as a WITH list that ends with tf."""
+    text = TEXT.replace(VEC, _VEC.replace("SHIFT", _MOVED)) if shifted else TEXT
+    return f"WITH {text}, ok AS (SELECT * FROM hits WHERE {_DECIDED[how]}), tf AS (SELECT e.eval_id, e.eval_set, train_set, coalesce((SELECT max({_IN}) FROM ok WHERE ok.eval_id = e.eval_id), 0) AS hit FROM ev e, sets) "
+
+
+_runs = lambda c: f"list_distinct(list_transform(range(greatest(len({c}) - 7, 0)), lambda i: array_to_string({c}[i + 1:i + 8], ' ')))"
+_list = lambda c: f"list_filter(string_split({c}, ' '), lambda w: w <> '')"
+_DECIDED["shingle"] = f"list_has_any({_runs(_list('c'))}, {_runs(_list('a'))})"
+_CUBE_OF = "SELECT variant_id, round(avg(accuracy), 4) AS mean_accuracy FROM scores GROUP BY 1"
+_axes = "(" + _scores(_BOTH, where=_G) + f", m AS ({_CUBE_OF}) SELECT variant_id, mean_accuracy, substr(variant_id, 1, 1) AS axis, row_number() OVER (PARTITION BY substr(variant_id, 1, 1) ORDER BY mean_accuracy DESC, variant_id)::INT AS place FROM m WHERE variant_id <> 'vanilla')"
+_cells = "(" + _scores(compose.GRID, where=_G) + f" {_CUBE_OF})"
+_editions = " UNION ALL ".join(f"SELECT * FROM (WITH {ITEMS}{_edits('it', k)} SELECT item_id, {k} AS edition, v1_x, v1_y FROM ed)" for k in range(3))
+_steps = lambda order: f"SELECT *, round(step - lag(step) OVER (ORDER BY {order}), 4) AS bend FROM (SELECT *, round(mean_accuracy - lag(mean_accuracy) OVER (ORDER BY {order}), 4) AS step FROM m)"
+_tasks = _scores(compose.EXTREMES, "it", by="model, task, variant_id") + ", m AS (SELECT task, variant_id, round(avg(accuracy), 4) AS a FROM scores GROUP BY ALL)"
+
+
+def _open(specs, models=(*answering.MODELS, answering.EXTRA_MODEL), by: str = "model, benchmark, variant_id") -> str:
+    f1 = "CASE WHEN len(a) + len(b) > 0 THEN 200.0::DOUBLE * len(list_intersect(a, b)) / (len(a) + len(b)) ELSE 0.0 END"
+    return f"""WITH c AS (SELECT *, lead(role) OVER w AS nr, lead(text) OVER w AS reference FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)),
+q AS (SELECT CASE WHEN conv_id % 2 = 0 THEN 'OE-1' ELSE 'OE-2' END AS benchmark, reference FROM c WHERE role = 'user' AND nr = 'assistant'),
+g AS (SELECT model, benchmark, variant_id, n_hard, reference, string_split(reference, ' ')[:greatest(0, 4 * cap + v2 - v1 - (ratio > 1)::INT - l4 * 2 * noise_cost + l3 * 2 * hint_gain)] AS given
+      FROM q, {_values(models, "model, cap, floor_ppm, vocab, personas, noise_cost, hint_gain")}, {_values(specs, "variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard").replace("AS t(", "AS u(")}),
+h AS (SELECT *, list_distinct({_list(_NORM("array_to_string(given, ' ')"))}) AS a, list_distinct({_list(_NORM("reference"))}) AS b FROM g)
+SELECT {by}, count(*) AS n, round(avg({f1}), 4) AS accuracy FROM h """
+
+
+ORACLE |= {
+    "page_blocks": "WITH h AS (SELECT page_id, coalesce(html, '') AS t FROM pages) SELECT page_id, " + ", ".join(f"((length(t) - length(replace(t, '{x}', ''))) // {len(x)})::BIGINT AS {n}" for x, n in (("<nav", "navs"), ("<p>", "paragraphs"), ('<div class="ad"', "ads"))) + " FROM h",
+    "contam_text_rate_shingle": _text_rate("shingle"),
+    "contam_text_two_denominators": _text_flags("span") + ", im AS (SELECT e.eval_id, train_set, coalesce((SELECT max(" + _IN + ") FROM sims s WHERE s.sim > 0.9 AND s.eval_id = e.eval_id), 0) AS ih FROM ev e, sets) SELECT train_set, round(sum(hit) / count(*), 6) AS of_all, round(coalesce(sum(hit) / nullif(sum(ih), 0), 0.0), 6) AS of_contaminated FROM tf JOIN im USING (eval_id, train_set) GROUP BY 1",
+    "shift_vector": f"WITH {VEC} SELECT a.vec_id AS eval_id, round({_cos('x', 'v')}, 6) AS kept FROM (SELECT a.vec_id, a.v, {_MOVED} AS x FROM vec a LEFT JOIN vec u ON u.vec_id = a.vec_id + 2 WHERE a.vec_id % 5 = 0) a",
+    "contam_reduction": "WITH s AS (" + _text_flags("span") + _RATE.format(f="tf") + "), v AS (" + _text_flags("span", True) + _RATE.format(f="tf") + ") SELECT eval_set, train_set, s.rate AS static, v.rate AS varied, round(s.rate - v.rate, 6) AS reduction, CASE WHEN s.rate > 0 THEN round((s.rate - v.rate) / s.rate, 6) END AS relative FROM s JOIN v USING (eval_set, train_set)",
+    "text_overlap_shingle": f"WITH w AS (SELECT doc_id, unnest({_runs('l')}) AS s FROM (SELECT doc_id, {_list(_NORM('text'))} AS l FROM documents)), b AS (SELECT item_id, unnest({_runs('l')}) AS s FROM (SELECT item_id, {_list(_NORM('text'))} AS l FROM benchmark)) SELECT item_id, doc_id, count(DISTINCT s) AS shared FROM w JOIN b USING (s) GROUP BY ALL",
+    "word_swap": _questions() + "SELECT item_id, swap1, swap2, q1 AS question FROM questions",
+    "persona_rephrase": _questions() + "SELECT item_id, persona, q2 AS question FROM questions",
+    "hint_context": _questions() + "SELECT item_id, q3 AS question FROM questions",
+    "noise_context": _questions() + "SELECT item_id, l4_attempt, q4 AS question FROM questions",
+    "context_after": _questions() + "SELECT item_id, q0 || coalesce(' ' || told_, '') || coalesce(' ' || noise, '') AS question FROM questions",
+    "judge_verdicts": _PROPOSED + "SELECT strategy, k AS attempt, count(*) AS n, sum(ok::INT)::BIGINT AS yes FROM proposed GROUP BY ALL",
+    "judge_attempts": _PROPOSED + "SELECT strategy, attempt, fallback, count(*) AS n FROM judged GROUP BY ALL",
+    "judge_acceptance_cumulative": _PROPOSED + ", g AS (SELECT strategy, attempt, count(*) AS n FROM judged WHERE fallback = 0 GROUP BY ALL), t AS (SELECT strategy, count(*) AS total FROM judged GROUP BY 1) SELECT strategy, attempt, n, round(sum(n) OVER (PARTITION BY strategy ORDER BY attempt) / total, 6) AS share FROM g JOIN t USING (strategy)",
+    "fallback_share": _PROPOSED + "SELECT task, strategy, count(*) AS n, round(avg(fallback), 6) AS fallback FROM judged GROUP BY ALL",
+    "judge_composite": _PROPOSED + ", met AS (SELECT a.item_id, a.strategy || '+' || b.strategy AS pair, min(a.k) FILTER (a.ok AND b.ok) AS joint, min(a.k) FILTER (a.ok) AS fa, min(a.k) FILTER (b.ok) AS fb FROM proposed a JOIN proposed b ON a.item_id = b.item_id AND a.k = b.k AND a.strategy LIKE 'V%' AND b.strategy LIKE 'L%' GROUP BY ALL), m AS (SELECT pair, 'joint' AS mode, joint AS k FROM met UNION ALL SELECT pair, 'each', CASE WHEN fa IS NOT NULL AND fb IS NOT NULL THEN greatest(fa, fb) END FROM met) SELECT pair, mode, count(*) AS n, count(k) AS accepted, sum(coalesce(k, 5))::BIGINT AS calls FROM m GROUP BY ALL",
+    "judge_rounds": f"WITH {ITEMS}{_edits('it')} SELECT v1_attempt AS attempt, v1_fallback AS fallback, count(*) AS n FROM ed GROUP BY ALL",
+    "judge_confusion": f"WITH {ITEMS}{_edits('it')}, top AS (SELECT item_id, arg_min(x0, rk) AS x0, arg_min(y0, rk) AS y0, arg_min(w, rk) AS w, arg_min(h, rk) AS h FROM rel GROUP BY 1), j AS (SELECT (NOT coalesce(top.x0 < v.x + 150 AND v.x < top.x0 + top.w AND top.y0 < v.y + 150 AND v.y < top.y0 + top.h, false))::INT AS j, ok::INT AS t FROM verdict v LEFT JOIN top USING (item_id) WHERE k = 1), c AS (SELECT count(*)::DOUBLE AS n, " + ", ".join(f"count(*) FILTER (j = {a} AND t = {b}) AS n{a}{b}" for a in (0, 1) for b in (0, 1)) + " FROM j), e AS (SELECT *, (n00 + n11) / n AS po, ((n00 + n01) * (n00 + n10) + (n10 + n11) * (n01 + n11)) / (n * n) AS pe FROM c) SELECT n00, n01, n10, n11, round(po, 6) AS agreement, round(CASE WHEN pe < 1 THEN (po - pe) / (1 - pe) ELSE 1.0 END, 6) AS kappa FROM e",
+    "grid_axes": "SELECT * FROM " + _axes,
+    "grid_monotonicity": f"WITH ax AS {_axes}, cells AS {_cells}, g AS (SELECT c.*, v.place AS pv, l.place AS pl FROM cells c JOIN ax v ON v.variant_id = split_part(c.variant_id, '+', 1) JOIN ax l ON l.variant_id = split_part(c.variant_id, '+', 2)) SELECT count(*) AS neighbours, sum((b.mean_accuracy <= a.mean_accuracy)::INT)::BIGINT AS in_order FROM g a JOIN g b ON (b.pv = a.pv + 1 AND b.pl = a.pl) OR (b.pl = a.pl + 1 AND b.pv = a.pv)",
+    "ladder_steps": _scores(compose.LADDER[:4], where="benchmark = 'MC-T'", by="model, benchmark, variant_id, n_hard") + ", m AS (SELECT n_hard, round(avg(accuracy), 4) AS mean_accuracy FROM scores GROUP BY 1) " + _steps("n_hard"),
+    "ratio_steps": _scores(compose.RATIOS) + f", m AS ({_CUBE_OF}) " + _steps("variant_id"),
+    "extreme_scores_open": _open(compose.EXTREMES) + "GROUP BY ALL",
+    "ladder_scores_open": _open(compose.LADDER, answering.MODELS[6:], "model, benchmark, variant_id, n_hard") + "WHERE benchmark = 'OE-1' GROUP BY ALL",
+    "edition_refresh": _editions,
+    "edition_diversity": f"WITH e AS ({_editions}), p AS (SELECT count(DISTINCT (v1_x, v1_y)) / count(*) AS share FROM e WHERE v1_x IS NOT NULL GROUP BY item_id) SELECT count(*) AS n, round(avg(share), 6) AS diversity FROM p",
+    "task_sensitivity": _tasks + ", w AS (SELECT task, round(abs(max(a) FILTER (variant_id = 'V1+L4') - max(a) FILTER (variant_id = 'vanilla')) + abs(max(a) FILTER (variant_id = 'V2+L3') - max(a) FILTER (variant_id = 'vanilla')), 4) AS change FROM m GROUP BY 1) SELECT *, rank() OVER (ORDER BY change DESC)::INT AS place FROM w",
+    "rank_shift": _scores(compose.EXTREMES, "it", _G) + ", b AS (SELECT *, rank() OVER (PARTITION BY benchmark, variant_id ORDER BY accuracy DESC)::INT AS place FROM scores) SELECT b.model, b.variant_id, b.place - v.place AS shift FROM b JOIN b v ON v.model = b.model AND v.variant_id = 'vanilla' WHERE b.variant_id <> 'vanilla'",
+    "memorisation_gap": _scores(compose.EXTREMES[:2], "it").replace("WITH ", f"WITH {VEC.replace('tr AS', 'tr_ AS').replace('ev, tr)', 'ev, tr_)')}, known AS (SELECT DISTINCT slot FROM sims WHERE sim > 0.9), ", 1) + f" SELECT variant_id, round(avg(correct), 6) AS honest, round(avg(CASE WHEN variant_id = 'vanilla' AND {_h(chr(39) + 'picture' + chr(39), 'item_id')} % (SELECT count(*) FROM ev) IN (SELECT slot FROM known) THEN 1 ELSE correct END), 6) AS memorising FROM ans GROUP BY 1",
+    "length_effect": _questions("smp") + _answers(compose.SINGLE_TEXT) + ", r AS (SELECT item_id, variant_id, avg(correct) AS acc FROM ans GROUP BY ALL), grown AS (" + " UNION ALL ".join(f"SELECT item_id, '{t}' AS variant_id, length(q{t[1]}) - length(q0) AS chars FROM questions" for t in compose.TEXT) + "), met AS (SELECT r.variant_id, chars, v.acc - r.acc AS loss FROM r JOIN r v ON v.item_id = r.item_id AND v.variant_id = 'vanilla' JOIN grown g ON g.item_id = r.item_id AND g.variant_id = r.variant_id) SELECT variant_id, count(*) AS n, round(avg(chars), 4) AS chars, round(avg(loss), 4) AS loss, (SELECT round(corr(chars, loss), 4) FROM met) AS correlation FROM met GROUP BY 1",
+    "variant_distance": _questions() + ", w AS (SELECT string_split(q0, ' ') AS a, string_split(q1, ' ') AS b FROM questions) SELECT count(*) AS n, round(avg(1 - len(list_intersect(list_distinct(a), list_distinct(b))) / len(list_distinct(list_concat(a, b)))), 6) AS distance FROM w",
+    "variant_examples": _questions() + ", sc2 AS (SELECT scene_id, string_agg('a ' || name, ', ' ORDER BY sn) AS said FROM obj GROUP BY 1) SELECT item_id, 'The picture shows ' || said || '.' AS scene, q0 AS question, 'The picture shows ' || said || coalesce(', a ' || v1_name, '') || '.' AS scene_after, 1500 AS canvas, q4 AS question_after, v1_fallback + l4_fallback AS fallbacks FROM questions JOIN sc2 USING (scene_id)",
+    "stack_order_effect": " UNION ALL ".join(f"SELECT * FROM (WITH {ITEMS}{_edits('it', 0, c)} SELECT '{o}' AS \"order\", count(*) AS n, sum(v1_attempt)::BIGINT AS calls, sum(v1_fallback)::BIGINT AS fallbacks, sum((v1_x IS NOT NULL AND v1_x + {m} + 150 > 250 AND v1_x + {m} < 1250 AND v1_y + {m} + 150 > 250 AND v1_y + {m} < 1250)::INT)::BIGINT AS inside FROM ed)" for o, c, m in (("V1>V3", 1000, 250), ("V3>V1", 1500, 0))),
+    "cost_report": f"WITH {SAMPLED}{_edits('smp')} SELECT count(*) AS items, sum(v1_attempt)::BIGINT AS calls, sum(v1_fallback)::BIGINT AS fallbacks, count(*) * 72 AS model_calls FROM ed",
+    "op_topk_pairs": f"WITH {VEC}, p AS (SELECT a.vec_id AS eval_id, b.vec_id AS other_id, round({_cos('a.v', 'b.v')}, 6) AS sim FROM vec a JOIN vec b ON a.vec_id < b.vec_id) SELECT * FROM p WHERE sim > 0.4 ORDER BY sim DESC, eval_id, other_id LIMIT 10",
+    "log_sliding": "SELECT strftime(make_timestamp((epoch(ts)::BIGINT // 21600 * 21600 - k * 21600) * 1000000), '%Y-%m-%d %H:%M') AS start, event_type AS task, count(*) AS n, round(avg(value), 6) AS mean FROM events, (SELECT unnest([0, 1, 2, 3]) AS k) GROUP BY ALL",
+    "log_session": "WITH e AS (SELECT user_id, coalesce(epoch(ts) - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) >= 3600, true)::INT AS fresh FROM events) SELECT user_id, sum(fresh)::BIGINT AS sessions, count(*) AS answers FROM e GROUP BY 1",
+}

@@ -10,6 +10,8 @@ from benchvary.functions.text import boxes_overlap, cosine, normalize_answer, to
 from benchvary.operators import answering as A
 from benchvary.operators import contamination as C
 from benchvary.operators import edits as E
+from benchvary.operators import judge as J
+from benchvary.operators import samples as V
 from benchvary.plans import compose as P
 from benchvary.sources import carriers as S
 from benchvary.sources.tables import read_table
@@ -138,9 +140,9 @@ def contam_threshold_sweep(spark, d):
     return C.threshold_sweep(C.best_match(S.eval_vectors(spark, d), S.train_vectors(spark, d)), THRESHOLDS)
 
 
-def _text_flags(spark, d, how: str, question_cut: bool = False):
+def _text_flags(spark, d, how: str, evals: DataFrame | None = None):
     """Image-text flags: pairs whose caption settles the item's answer (the second half of the item's words)."""
-    e, t = S.eval_vectors(spark, d), S.train_vectors(spark, d)
+    e, t = S.eval_vectors(spark, d) if evals is None else evals, S.train_vectors(spark, d)
     pairs = C.image_contamination(e, t)
     items_ = read_table(spark, d, "benchmark")
     n_items = items_.count()
@@ -193,13 +195,12 @@ def shift_vector(spark, d):
 
 @query
 def contam_reduction(spark, d):
-    t = S.train_vectors(spark, d)
-    sides = []
-    for name, e in (("static", S.eval_vectors(spark, d)), ("varied", _shifted(spark, d))):
-        sides.append(C.rate_grid(C.by_training_set(C.image_contamination(e, t), t, e)).select("eval_set", "train_set", F.col("rate").alias(name)))
+    """Image-text rates of the static and of the hardest benchmark, whose pictures are re-encoded after the edit."""
+    sides = [C.rate_grid(_text_flags(spark, d, "span", e)).select("eval_set", "train_set", F.col("rate").alias(n)) for n, e in (("static", S.eval_vectors(spark, d)), ("varied", _shifted(spark, d)))]
     both = sides[0].join(sides[1], ["eval_set", "train_set"], "full")
     zero = lambda c: F.coalesce(c, F.lit(0.0))
-    return both.select("eval_set", "train_set", zero("static").alias("static"), zero("varied").alias("varied"), F.round(zero("static") - zero("varied"), 6).alias("reduction"))
+    less = zero("static") - zero("varied")
+    return both.select("eval_set", "train_set", zero("static").alias("static"), zero("varied").alias("varied"), F.round(less, 6).alias("reduction"), F.when(zero("static") > 0, F.round(less / zero("static"), 6)).alias("relative"))
 
 
 @query
@@ -260,7 +261,7 @@ def box_masks(spark, d):
 
 @query
 def scene_add(spark, d):
-    return E.add_object(S.items(spark, d)).select("item_id", "v1_attempt", "v1_x", "v1_y", "v1_fallback")
+    return E.add_object(S.items(spark, d)).select("item_id", "v1_attempt", "v1_x", "v1_y", "v1_name", "v1_fallback")
 
 
 @query
@@ -310,15 +311,23 @@ def hint_context(spark, d):
     return E.question_text(S.items(spark, d), l3=True).select("item_id", "question")
 
 
+def _scenes(spark, d):
+    """(scene_id, objs) of every scene, and the largest scene number, from which L4 draws."""
+    o = S.scene_objects(spark, d).groupBy("scene_id").agg(F.array_sort(F.collect_list(F.struct("sn", "name"))).alias("objs"))
+    return o, read_table(spark, d, "orders").agg(F.coalesce(F.max("o_orderkey"), F.lit(0))).first()[0]
+
+
 @query
 def noise_context(spark, d):
-    """A clean document by hash in front of the question; the pool is counted, not collected."""
-    clean = read_table(spark, d, "labels").where("quality = 1 and toxic = 0").select("doc_id").distinct()
-    rank = F.row_number().over(Window.orderBy("doc_id")) - 1
-    pool = clean.withColumn("slot", rank.cast("long"))
-    n = clean.count()
-    q = E.question_text(S.items(spark, d)).withColumn("slot", stable_bucket(max(n, 1), "noise", F.col("item_id")))
-    return q.join(pool, "slot").select("item_id", "doc_id", "question")
+    """The description of another scene in front of the question."""
+    return E.question_text(E.with_noise(S.items(spark, d), *_scenes(spark, d)), noise="noise").select("item_id", "l4_attempt", "question")
+
+
+@query
+def context_after(spark, d):
+    """Both contexts behind the question instead of in front of it."""
+    i = E.with_noise(S.items(spark, d), *_scenes(spark, d))
+    return E.question_text(i, l3=True, noise="noise", where="after").select("item_id", "question")
 
 
 @query
@@ -336,23 +345,46 @@ def dialogue_noise_context(spark, d):
 # --- judge ------------------------------------------------------------------------------------------------------
 
 
+def _proposals(spark, d):
+    i = S.items(spark, d)
+    return J.proposals(i, E.propose_noise(i, *_scenes(spark, d)))
+
+
 @query
 def judge_verdicts(spark, d):
-    t = E.propose_additions(S.items(spark, d)).select("task", F.explode("tries").alias("t"))
-    return t.groupBy("task", F.col("t.k").alias("attempt")).agg(F.count("*").alias("n"), F.sum(F.col("t.ok").cast("long")).alias("yes"))
+    """Verdicts on the proposals of all seven edits, by edit and attempt."""
+    return _proposals(spark, d).groupBy("strategy", F.col("k").alias("attempt")).agg(F.count("*").alias("n"), F.sum(F.col("ok").cast("long")).alias("yes"))
 
 
 @query
 def judge_attempts(spark, d):
-    return E.add_object(S.items(spark, d)).groupBy("v1_attempt", "v1_fallback").agg(F.count("*").alias("n"))
+    """Attempts until acceptance or fallback, by edit."""
+    return J.generate_with_judge(_proposals(spark, d)).groupBy("strategy", "attempt", "fallback").agg(F.count("*").alias("n"))
 
 
 @query
 def judge_acceptance_cumulative(spark, d):
-    a = E.add_object(S.items(spark, d))
-    total = a.count()
-    n = a.where("v1_fallback = 0").groupBy("v1_attempt").agg(F.count("*").alias("n"))
-    return n.withColumn("share", F.round(F.sum("n").over(Window.orderBy("v1_attempt")) / F.lit(total), 6))
+    per = judge_attempts(spark, d)
+    total = per.groupBy("strategy").agg(F.sum("n").alias("total"))
+    up = F.sum("n").over(Window.partitionBy("strategy").orderBy("attempt"))
+    return per.where("fallback = 0").join(total, "strategy").select("strategy", "attempt", "n", F.round(up / F.col("total"), 6).alias("share"))
+
+
+@query
+def judge_composite(spark, d):
+    """The twelve pairs: one check of both edits against a check of each."""
+    return J.composite(_proposals(spark, d), [(v, t) for v in P.IMAGE for t in P.TEXT])
+
+
+@query
+def judge_rounds(spark, d):
+    """V1 by rounds over what is still open; the same result as from all attempts at once."""
+    i = S.items(spark, d)
+
+    def propose(left, k):
+        return E.propose_additions(left).select("item_id", F.element_at("tries", k)["ok"].alias("ok"))
+
+    return J.rounds(i, propose).groupBy("attempt", "fallback").agg(F.count("*").alias("n"))
 
 
 @query
@@ -368,8 +400,7 @@ def judge_confusion(spark, d):
 
 @query
 def fallback_share(spark, d):
-    e = E.edited(S.items(spark, d))
-    return e.groupBy("task").agg(F.count("*").alias("n"), A.prob("v1_fallback").alias("v1"), A.prob("v2_fallback").alias("v2"))
+    return J.generate_with_judge(_proposals(spark, d)).groupBy("task", "strategy").agg(F.count("*").alias("n"), A.prob("fallback").alias("fallback"))
 
 
 @query
@@ -456,16 +487,30 @@ def extreme_scores_closed(spark, d):
     return _scores(spark, d, P.EXTREMES, full=True, where="benchmark = 'MC-G'", models=(*A.MODELS, A.EXTRA_MODEL))
 
 
-@query
-def extreme_scores_open(spark, d):
-    """Graded answers to dialogues: the answerer repeats as many words of the reference as its capacity allows."""
+def _open_scores(spark, d, specs, by=("model", "benchmark", "variant_id"), models=(*A.MODELS, A.EXTRA_MODEL)):
+    """Graded answers to dialogues: the answerer repeats as many words of the reference as its capacity allows.
+
+    An added object and a larger canvas each cost a word, a removed object gives one; contexts act as on closed questions.
+    """
     q = S.dialogue_items(spark, d)
-    m = A.model_table(spark, (*A.MODELS, A.EXTRA_MODEL))
-    v = A.spec_table(spark, P.EXTREMES)
-    cap = F.greatest(F.lit(0), 4 * F.col("cap") - F.col("l4") * 2 * F.col("noise_cost") + F.col("l3") * 2 * F.col("hint_gain"))
+    m = A.model_table(spark, models)
+    v = A.spec_table(spark, specs)
+    image = F.col("v2") - F.col("v1") - (F.col("ratio") > 1).cast("int")
+    cap = F.greatest(F.lit(0), 4 * F.col("cap") + image - F.col("l4") * 2 * F.col("noise_cost") + F.col("l3") * 2 * F.col("hint_gain"))
     w = F.split("reference", " ")
     r = q.crossJoin(F.broadcast(m)).crossJoin(F.broadcast(v)).withColumn("given", F.array_join(F.slice(w, F.lit(1), cap), " "))
-    return r.groupBy("model", "benchmark", "variant_id").agg(F.count("*").alias("n"), F.round(F.avg(token_f1(F.col("given"), F.col("reference"))), 4).alias("accuracy"))
+    return r.groupBy(*by).agg(F.count("*").alias("n"), F.round(F.avg(token_f1(F.col("given"), F.col("reference"))), 4).alias("accuracy"))
+
+
+@query
+def extreme_scores_open(spark, d):
+    return _open_scores(spark, d, P.EXTREMES)
+
+
+@query
+def ladder_scores_open(spark, d):
+    """The ladder on the first open-ended set, for the three strongest models."""
+    return _open_scores(spark, d, P.LADDER, ("model", "benchmark", "variant_id", "n_hard"), A.MODELS[6:]).where("benchmark = 'OE-1'")
 
 
 @query
@@ -483,6 +528,27 @@ def edition_refresh(spark, d):
     return out
 
 
+@query
+def variant_examples(spark, d):
+    """Each item beside its hardest form: the scene in words, the canvas and the question, before and after."""
+    i = S.items(spark, d)
+    hard = V.apply_spec(i, ("V1", "V3", "L4"), *_scenes(spark, d)).select("item_id", E.describe(F.col("scene")).alias("scene_after"), "canvas", F.col("question").alias("question_after"), "fallbacks")
+    plain = V.apply_spec(i, ()).select("item_id", E.describe(F.col("scene")).alias("scene"), "question")
+    return plain.join(hard, "item_id")
+
+
+@query
+def stack_order_effect(spark, d):
+    """Adding and then expanding against expanding and then adding: attempts, fallbacks, and added boxes in the old scene's frame."""
+    i = S.items(spark, d)
+    out = None
+    for order in (("V1", "V3"), ("V3", "V1")):
+        s = J.judged_stack(i, order).withColumn("order", F.lit(">".join(order)))
+        out = s if out is None else out.unionByName(s)
+    inside = (F.col("x") + E.ADDED > 250) & (F.col("x") < 1250) & (F.col("y") + E.ADDED > 250) & (F.col("y") < 1250)
+    return out.groupBy("order").agg(F.count("*").alias("n"), F.sum("v1_attempt").alias("calls"), F.sum("v1_fallback").cast("long").alias("fallbacks"), F.sum(F.coalesce(inside, F.lit(False)).cast("long")).alias("inside"))
+
+
 @query
 def edition_diversity(spark, d):
     e = edition_refresh(spark, d).where("v1_x is not null")
@@ -551,17 +617,36 @@ def rank_shift(spark, d):
 
 @query
 def memorisation_gap(spark, d):
-    """An answerer that has half of the static items by heart: right there on vanilla, ordinary on the varied form."""
+    """An answerer that has the contaminated static items by heart: right there on vanilla, ordinary on the varied form.
+
+    An item's picture is the evaluation vector that its hash picks; it is contaminated where that vector is, in the largest set.
+    """
     a = A.answers(E.edited(S.items(spark, d)), A.spec_table(spark, P.EXTREMES[:2]), A.model_table(spark))
-    seen = (stable_bucket(2, "seen", F.col("item_id")) == 0) & (F.col("variant_id") == "vanilla")
+    e = S.eval_vectors(spark, d)
+    n = e.count()
+    known = C.image_contamination(e, S.train_vectors(spark, d)).join(e, "eval_id").select("slot").distinct().withColumn("known", F.lit(True))
+    a = a.withColumn("slot", stable_bucket(max(n, 1), "picture", F.col("item_id"))).join(known, "slot", "left")
+    seen = F.coalesce("known", F.lit(False)) & (F.col("variant_id") == "vanilla")
     return a.withColumn("by_heart", F.when(seen, 1).otherwise(F.col("correct"))).groupBy("variant_id").agg(A.prob("correct").alias("honest"), A.prob("by_heart").alias("memorising"))
 
 
 @query
 def length_effect(spark, d):
-    added = F.create_map(*[F.lit(x) for p in (("L1", 4), ("L2", 30), ("L3", 60), ("L4", 120)) for x in p])
-    dl = A.deltas(_scores(spark, d, P.SINGLE_TEXT)).withColumn("chars", F.element_at(added, F.col("variant_id")))
-    return dl.agg(F.round(F.corr("chars", F.abs("delta")), 4).alias("correlation"))
+    """Measured growth of each item's question under each text edit, against the loss of accuracy over all models."""
+    i = E.with_noise(S.sampled(S.items(spark, d)), *_scenes(spark, d))
+    i = E.with_persona(E.swapped_name(i))
+    plain = E.question_text(i).withColumn("plain", F.length("question"))
+    grown = None
+    for t in P.TEXT:
+        q = E.question_text(plain, t == "L1", t == "L2", t == "L3", "noise" if t == "L4" else None).select("item_id", F.lit(t).alias("variant_id"), (F.length("question") - F.col("plain")).alias("chars"))
+        grown = q if grown is None else grown.unionByName(q)
+    a = A.answers(E.edited(S.sampled(S.items(spark, d))), A.spec_table(spark, P.SINGLE_TEXT), A.model_table(spark))
+    right = a.groupBy("item_id", "variant_id").agg(F.avg("correct").alias("right"))
+    base = right.where("variant_id = 'vanilla'").select("item_id", F.col("right").alias("vanilla"))
+    met = right.join(base, "item_id").join(grown, ["item_id", "variant_id"]).withColumn("loss", F.col("vanilla") - F.col("right"))
+    by = met.groupBy("variant_id").agg(F.count("*").alias("n"), F.round(F.avg("chars"), 4).alias("chars"), F.round(F.avg("loss"), 4).alias("loss"))
+    whole = met.agg(F.round(F.corr(F.col("chars").cast("double"), "loss"), 4).alias("correlation"))
+    return by.crossJoin(F.broadcast(whole))
 
 
 @query
