@@ -11,11 +11,11 @@ from benchvary.session import forget, materialize
 def _with_least(edges: DataFrame, least: Column) -> DataFrame:
     """edges(u, v) with m, the least neighbour of u by the aggregate given.
 
-    The join key is -u, so the minima are dealt anew and both sides of the join are plain shuffles: adaptive execution
+    The join key is u with its bits turned, so the minima are dealt anew and both sides of the join are plain shuffles: adaptive execution
     can then split a hub's links over many tasks.
     """
-    low = edges.groupBy("u").agg(least.alias("m")).select((-F.col("u")).alias("w"), "m")
-    return edges.withColumn("w", -F.col("u")).join(low, "w").drop("w")
+    low = edges.groupBy("u").agg(least.alias("m")).select(F.bitwise_not("u").alias("w"), "m")
+    return edges.withColumn("w", F.bitwise_not("u")).join(low, "w").drop("w")
 
 
 def _unfinished(edges: DataFrame) -> bool:

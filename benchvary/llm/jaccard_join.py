@@ -127,7 +127,7 @@ def _lists(values: np.ndarray, per_row: np.ndarray) -> pa.Array:
 
 
 def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, classes: Broadcast, extra: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, k1, k2, head, wide, s0, ...): the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketches."""
+    """(doc_id, text_key, n_shingles, k1, k2, head, wide, s0, ...): a hash of the text, the set's size, a 128-bit key of the whole set, its prefix with extra more, its sketches."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -140,12 +140,12 @@ def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, classes: Bro
                 at = np.repeat(first[:-1] - np.concatenate([[0], np.cumsum(length)])[:-1], length) + np.arange(length.sum())
                 sketch = np.ascontiguousarray(_parities(own, n).T)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _lists(own[at], length), _wide(own, n), *map(pa.array, sketch)],
-                    names=["doc_id", "n_shingles", "k1", "k2", "head", "wide", *SKETCH],
+                    [batch.column(0).slice(i, j - i), batch.column(2).slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(k1), pa.array(k2), _lists(own[at], length), _wide(own, n), *map(pa.array, sketch)],
+                    names=["doc_id", "text_key", "n_shingles", "k1", "k2", "head", "wide", *SKETCH],
                 )
 
-    out = "doc_id long, n_shingles long, k1 long, k2 long, head array<long>, wide binary, " + ", ".join(f"{c} long" for c in SKETCH)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, out)
+    out = "doc_id long, text_key long, n_shingles long, k1 long, k2 long, head array<long>, wide binary, " + ", ".join(f"{c} long" for c in SKETCH)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("text_key")).mapInArrow(run, out)
 
 
 def _with_nodes(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -244,8 +244,8 @@ def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int)
 def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:
     """Rows of keys that join more than one component: with their component, the key's main one (main), its rows (n)."""
     own = keys.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    wide = own.groupBy("key").agg(F.min("comp").alias("main"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("main < hi").select((-F.col("key")).alias("w"), "main", "n")
-    return own.withColumn("w", -F.col("key")).join(wide, "w").drop("w")
+    wide = own.groupBy("key").agg(F.min("comp").alias("main"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("main < hi").select(F.bitwise_not("key").alias("w"), "main", "n")
+    return own.withColumn("w", F.bitwise_not("key")).join(wide, "w").drop("w")
 
 
 def _pairs(level: DataFrame, num: int, den: int, k: int) -> DataFrame:
@@ -264,8 +264,9 @@ def _pairs(level: DataFrame, num: int, den: int, k: int) -> DataFrame:
 
 
 def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int] = (80, 100), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id): documents joined by similar sets; component_id is the smallest id of the group.
+    """(doc_id, n_shingles, component_id, text_key): documents joined by similar sets; component_id is the smallest id of the group.
 
+    text_key: xxhash64 of the text, which tells rows that share an id apart.
     threshold: similarity as a fraction (numerator, denominator), compared in whole numbers.
     """
     num, den = threshold
@@ -274,9 +275,9 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     rows = materialize(shingle_sets(docs, n_words, num, den, classes, longest - 1, id_col, text_col).withColumn("row_key", F.monotonically_increasing_id()), "sets")
     # Rows with equal sets are one node, named by one of them.
     some = rows.where("n_shingles > 0")
-    same = some.groupBy("k1", "k2", "n_shingles").agg(F.min("row_key").alias("node"), F.min("doc_id").alias("least"))
-    named = materialize(some.join(same, ["k1", "k2", "n_shingles"]).withColumns({c: F.when(F.col("row_key") == F.col("node"), F.col(c)) for c in ("head", "wide")}), "named")
-    empty = materialize(rows.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")), "empty")
+    same = some.groupBy("k1", "k2", "n_shingles").agg(F.min("row_key").alias("node"), F.min("doc_id").alias("least")).withColumn("w", F.bitwise_not("k1")).drop("k1")
+    named = materialize(some.withColumn("w", F.bitwise_not("k1")).join(same, ["w", "k2", "n_shingles"]).drop("w").withColumns({c: F.when(F.col("row_key") == F.col("node"), F.col(c)) for c in ("head", "wide")}), "named")
+    empty = materialize(rows.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"), "text_key"), "empty")
     forget(rows)
     heads = named.where("row_key = node").withColumn("size", F.col("n_shingles"))
     short = F.col("size") - F.ceil(F.col("size") * num / den) + 1  # the prefix without what combinations add
@@ -318,6 +319,6 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     comp = components(links)
     # The component's smallest id, over its nodes; nodes without a link keep their own.
     group = comp.join(heads.select("node", "least"), "node").groupBy("component").agg(F.min("least").alias("lowest"))
-    lowest = comp.withColumn("w", -F.col("component")).join(group.select((-F.col("component")).alias("w"), "lowest"), "w").select("node", "lowest")
-    out = named.select("doc_id", "n_shingles", "node", "least").join(lowest, "node", "left").select("doc_id", "n_shingles", F.coalesce("lowest", "least").alias("component_id"))
+    lowest = comp.withColumn("w", F.bitwise_not("component")).join(group.select(F.bitwise_not("component").alias("w"), "lowest"), "w").select("node", "lowest")
+    out = named.select("doc_id", "n_shingles", "node", "least", "text_key").join(lowest, "node", "left").select("doc_id", "n_shingles", F.coalesce("lowest", "least").alias("component_id"), "text_key")
     return out.unionByName(empty)
