@@ -11,6 +11,9 @@ URL_RULES = tuple(
     url_filter.Rule.of(*x) for x in (("block", "com/en/"), ("allow", "example.com/en/7"), ("allow", "net/de/"), ("block", "example.net/de/8"), ("block", "org/es/"))
 )
 
+#: Bytes of a passage of some fifty words: what op10 reports, beside the strings of 400 bytes that it removes.
+REPORTED = 256
+
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -71,17 +74,18 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_join.similar_groups(_table(spark, sf_dir, "documents"), n_words=4, threshold=(85, 100))
+    return jaccard_join.similar_groups(_table(spark, sf_dir, "documents"), n_words=4, threshold=(85, 100)).select("doc_id", "n_shingles", "component_id")
 
 
 def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = suffix_dedup.remove_repeats(_table(spark, sf_dir, "documents"), 400)
+    found = suffix_dedup.remove_repeats(_table(spark, sf_dir, "documents"), 400, REPORTED)
     return found.select(
         "doc_id",
         "n_bytes",
         (F.col("n_bytes") - F.octet_length("kept")).cast("long").alias("n_removed"),
         F.size("spans").cast("long").alias("n_spans"),
         F.sha2("kept", 256).alias("kept_sha256"),
+        "n_reported",
     )
 
 

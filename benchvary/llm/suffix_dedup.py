@@ -3,11 +3,14 @@
 Every start of a string of the given length is assigned to an anchor: the 64-byte window inside that string whose hash
 is smallest. Equal strings have equal anchors at equal places, so all copies of a string meet under one anchor, and
 anchors that occur once in the corpus are done. Starts that share an anchor form a window of text. Windows that occur
-several times byte for byte are repeated as a whole. Windows under one anchor that differ somewhere are put into a
-suffix array: suffixes smaller than their successors are sorted directly, all others are induced from them by scanning
-the buckets from left to right, and adjacent common prefixes tell which starts repeat. An anchor with very many
-different windows (a passage in a third of all documents, each in other surroundings) is split: its strings are
-counted by hash with partial sums, so no task gets them all.
+several times are repeated as a whole. Windows under one anchor that differ somewhere are put into a suffix array:
+suffixes smaller than their successors are sorted directly, all others are induced from them by scanning the buckets
+from left to right, and adjacent common prefixes, checked byte by byte, tell which starts repeat. An anchor with very
+many different windows (a passage in a third of all documents, each in other surroundings) is split: its strings are
+counted by a 128-bit hash with partial sums, so no task gets them all.
+
+A second, shorter length can be reported beside the one that is removed: anchors then lie inside strings of the shorter
+length, windows reach as far as the longer one, and one suffix array answers for both.
 
 Defined results: null text counts as empty; texts shorter than the length keep every byte; repeated rows are two
 places, so each loses what the other holds; matches never cross documents; extra columns are ignored; an empty table
@@ -24,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from benchvary.llm import _text
-from benchvary.session import materialize
+from benchvary.session import forget, materialize
 
 LENGTH = 400
 GRAM = 64
@@ -32,7 +35,12 @@ GRAM = 64
 TOGETHER = 16_384
 #: Bytes of windows that one suffix array takes, unless a single anchor has more.
 ARRAY_BYTES = 256 << 10
+#: Stands behind each window; it is no byte of UTF-8.
+END = np.uint8(255)
+#: Bytes of text whose windows are found at once.
+SLICE = 1 << 20
 _PLACE = np.uint64((1 << 31) - 1)
+_SYMBOL = _text.mix(np.arange(256, dtype=np.uint64) + np.uint64(977))
 
 
 def _sorted_starts(data: np.ndarray, starts: np.ndarray, depth: int) -> np.ndarray:
@@ -122,7 +130,7 @@ def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
 
 
 def common_prefixes(data: np.ndarray, order: np.ndarray, most: int) -> np.ndarray:
-    """Length of the common prefix of each two neighbours in order, counted up to most."""
+    """Length of the common prefix of each two neighbours in order, counted up to most, by hashes."""
     h, inv = _text.prefix_hashes(data)
     a, b = order[:-1], order[1:]
     room = np.minimum(len(data) - np.maximum(a, b), most)
@@ -139,15 +147,70 @@ def common_prefixes(data: np.ndarray, order: np.ndarray, most: int) -> np.ndarra
     return length
 
 
-def _windows(docs: DataFrame, length: int) -> DataFrame:
-    """(doc_id, text_key, anchor, win, start, n_starts): runs of starts with one anchor; win hashes the bytes they cover."""
-    span = length - GRAM + 1
+def _confirmed(data: np.ndarray, a: np.ndarray, b: np.ndarray, length: int) -> np.ndarray:
+    """Which of the pairs of starts have equal strings, byte by byte; pairs that move on together are compared at once."""
+    order = np.argsort(a, kind="stable")
+    x, y = a[order], b[order]
+    head = np.flatnonzero(np.concatenate([[True], (x[1:] != x[:-1] + 1) | (y[1:] != y[:-1] + 1)])) if len(x) else np.zeros(0, dtype=np.int64)
+    ok = np.ones(len(x), dtype=bool)
+    raw = data.tobytes()
+    for i, j in zip(head.tolist(), [*head[1:].tolist(), len(x)], strict=True):
+        n = j - i + length - 1
+        if raw[x[i] : x[i] + n] != raw[y[i] : y[i] + n]:
+            ok[i:j] = [raw[x[k] : x[k] + length] == raw[y[k] : y[k] + length] for k in range(i, j)]
+    out = np.empty(len(x), dtype=bool)
+    out[order] = ok
+    return out
+
+
+def repeated_starts(bodies: list[np.ndarray], n_starts: list[int], lengths: tuple[int, ...]) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Where each body begins in their concatenation, and for each length which starts there repeat in the bodies.
+
+    Only the first n_starts of a body count as starts; a string must end inside its body.
+    """
+    ended = [np.append(b, END) for b in bodies]
+    size = np.array([len(b) for b in ended])
+    first = np.cumsum(size) - size
+    data = np.concatenate(ended)
+    start_ok = np.zeros(len(data), dtype=bool)
+    for f, n in zip(first.tolist(), n_starts, strict=True):
+        start_ok[f : f + n] = True
+    order = suffix_array(data, max(lengths))
+    order = order[start_ok[order]]
+    a, b = order[:-1], order[1:]
+    room = np.repeat(first + size - 1, size) - np.arange(len(data))
+    common = np.minimum(common_prefixes(data, order, max(lengths)), np.minimum(room[a], room[b]))
+    out = []
+    for length in lengths:
+        same = np.flatnonzero(common >= length)
+        same = same[_confirmed(data, a[same], b[same], length)]
+        hit = np.zeros(len(data), dtype=bool)
+        hit[a[same]] = True
+        hit[b[same]] = True
+        out.append(hit)
+    return first, out
+
+
+_FOUND = "doc_id long, text_key int, start int, n_starts int, short boolean"
+
+
+def _found(doc: list | np.ndarray, key: list | np.ndarray, start: np.ndarray, n: np.ndarray, short: bool) -> pa.RecordBatch:
+    cols = [pa.array(doc, pa.int64()), pa.array(key, pa.int32()), pa.array(np.asarray(start).astype(np.int32)), pa.array(np.asarray(n).astype(np.int32)), pa.array(np.full(len(start), short))]
+    return pa.RecordBatch.from_arrays(cols, names=["doc_id", "text_key", "start", "n_starts", "short"])
+
+
+def _windows(docs: DataFrame, least: int, length: int) -> DataFrame:
+    """(doc_id, text_key, anchor, win, start, n_starts, size): runs of starts with one anchor inside their first least bytes.
+
+    A window has size bytes: as far as the last start's string of the full length reaches, or the text ends; win hashes them.
+    """
+    span = least - GRAM + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i, _, data, offsets in _text.slices(batch.column(2)):
+            for i, _, data, offsets in _text.slices(batch.column(2), SLICE):
                 size = np.diff(offsets)
-                if not (size >= length).any():
+                if not (size >= least).any():
                     continue
                 h, inv = _text.prefix_hashes(data)
                 grams = _text.mix((h[GRAM:] - h[:-GRAM]) * inv[: len(h) - GRAM])
@@ -159,63 +222,50 @@ def _windows(docs: DataFrame, length: int) -> DataFrame:
                 if width < span:
                     low = np.minimum(low[: len(low) - (span - width)], low[span - width :])
                 inside = np.zeros(len(low) + 1, dtype=np.int8)
-                long = size >= length
+                long = size >= least
                 inside[offsets[:-1][long]] += 1
-                ends = offsets[1:][long] - length + 1
+                ends = offsets[1:][long] - least + 1
                 inside[ends[ends <= len(low)]] -= 1
                 starts = np.flatnonzero(np.cumsum(inside[:-1], dtype=np.int32))
                 at = (low[starts] & _PLACE).astype(np.int64)
-                head = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
+                head = np.flatnonzero(np.concatenate([[True], (at[1:] != at[:-1]) | (starts[1:] != starts[:-1] + 1)]))
                 n = np.diff(np.append(head, len(at)))
                 s, anchor = starts[head], at[head]
-                e = s + n + length - 1
-                win = _text.mix((h[e] - h[s]) * inv[s] + _text.mix((n * 1024 + anchor - s).astype(np.uint64)))
                 row = np.searchsorted(offsets, s, "right") - 1
+                e = np.minimum(s + n + length - 1, offsets[row + 1])
+                win = _text.mix((h[e] - h[s]) * inv[s] + _text.mix(((n * 4096 + anchor - s) * 4096 + e - s).astype(np.uint64)))
                 take = pa.array(i + row)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).take(take), batch.column(1).take(take), pa.array(grams[anchor].view(np.int64)), pa.array(win.view(np.int64)), pa.array(s - offsets[row]), pa.array(n)],
-                    names=["doc_id", "text_key", "anchor", "win", "start", "n_starts"],
+                    [batch.column(0).take(take), batch.column(1).take(take), pa.array(grams[anchor].view(np.int64)), pa.array(win.view(np.int64)), *(pa.array(x.astype(np.int32)) for x in (s - offsets[row], n, e - s))],
+                    names=["doc_id", "text_key", "anchor", "win", "start", "n_starts", "size"],
                 )
 
-    return docs.mapInArrow(run, "doc_id long, text_key long, anchor long, win long, start long, n_starts long")
+    return docs.mapInArrow(run, "doc_id long, text_key int, anchor long, win long, start int, n_starts int, size int")
 
 
-def _cut_out(docs: DataFrame, wanted: DataFrame, length: int) -> DataFrame:
+def _cut_out(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     """(anchor, many, hot, doc_id, text_key, start, n_starts, body): the bytes of the wanted windows."""
-    lists = wanted.groupBy("doc_id", "text_key").agg(F.collect_list(F.struct("anchor", "start", "n_starts", "many", "hot")).alias("spots"))
-    one = docs.join(lists, ["doc_id", "text_key"]).select("doc_id", "text_key", F.encode(F.col("text"), "utf-8").alias("raw"), "spots")
+    lists = wanted.groupBy("doc_id", "text_key").agg(F.collect_list(F.struct("anchor", "start", "n_starts", "size", "many", "hot")).alias("spots"))
+    one = docs.join(lists, ["doc_id", "text_key"]).dropDuplicates(["doc_id", "text_key"]).select("doc_id", "text_key", F.encode(F.col("text"), "utf-8").alias("raw"), "spots")
     return one.select("doc_id", "text_key", "raw", F.explode("spots").alias("w")).select(
-        "w.anchor", "w.many", "w.hot", "doc_id", "text_key", "w.start", "w.n_starts", F.expr(f"substring(raw, cast(w.start + 1 as int), cast(w.n_starts + {length - 1} as int))").alias("body")
+        "w.anchor", "w.many", "w.hot", "doc_id", "text_key", "w.start", "w.n_starts", F.expr("substring(raw, w.start + 1, w.size)").alias("body")
     )
 
 
-def _by_suffixes(windows: DataFrame, length: int) -> DataFrame:
-    """(doc_id, text_key, start, n_starts): runs of starts whose strings occur in another window of the anchor."""
+def _by_suffixes(windows: DataFrame, lengths: tuple[int, ...]) -> DataFrame:
+    """(doc_id, text_key, start, n_starts, short): runs of starts whose strings occur in another window of the anchor."""
 
     def solve(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
-        bodies = [np.frombuffer(r[6], dtype=np.uint8) for r in rows]
-        size = np.array([len(b) for b in bodies])
-        first = np.cumsum(size) - size
-        data = np.concatenate(bodies)
-        start_ok = np.zeros(len(data), dtype=bool)
-        for f, r in zip(first.tolist(), rows, strict=True):
-            start_ok[f : f + r[5]] = True
-        order = suffix_array(data, length)
-        order = order[start_ok[order]]
-        same = common_prefixes(data, order, length) >= length
-        hit = np.zeros(len(data) + 1, dtype=bool)
-        hit[order[:-1][same]] = True
-        hit[order[1:][same]] = True
-        edge = np.diff(np.concatenate([[0], hit.astype(np.int8)]))
-        lo, hi = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-        w = np.searchsorted(first, lo, "right") - 1
-        # a run may reach from the last start of a window only as far as that window's starts go
-        keep = [not rows[k][1] for k in w.tolist()]
-        w, lo, hi = w[keep], lo[keep], hi[keep]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([rows[k][2] for k in w.tolist()], pa.int64()), pa.array([rows[k][3] for k in w.tolist()], pa.int64()), pa.array([rows[k][4] for k in w.tolist()] + (lo - first[w]) if len(w) else [], pa.int64()), pa.array(hi - lo, pa.int64())],
-            names=["doc_id", "text_key", "start", "n_starts"],
-        )
+        first, hits = repeated_starts([np.frombuffer(r[6], dtype=np.uint8) for r in rows], [r[5] for r in rows], lengths)
+        doc, key, start = (np.array([r[c] for r in rows]) for c in (2, 3, 4))
+        many = np.array([r[1] for r in rows])
+        for k, hit in enumerate(hits):
+            edge = np.diff(np.concatenate([[0], hit.astype(np.int8), [0]]))
+            lo, hi = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+            w = np.searchsorted(first, lo, "right") - 1
+            new = ~many[w]  # windows that occur several times are known
+            w, lo, hi = w[new], lo[new], hi[new]
+            yield _found(doc[w], key[w], start[w] + lo - first[w], hi - lo, k > 0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
@@ -230,71 +280,94 @@ def _by_suffixes(windows: DataFrame, length: int) -> DataFrame:
             yield from solve(held)
 
     dealt = windows.select("anchor", "many", "doc_id", "text_key", "start", "n_starts", "body").repartition("anchor").sortWithinPartitions("anchor")
-    return dealt.mapInArrow(run, "doc_id long, text_key long, start long, n_starts long")
+    return dealt.mapInArrow(run, _FOUND)
 
 
-def _by_counts(windows: DataFrame, length: int) -> DataFrame:
-    """The same for anchors with too many windows for one suffix array: every string is counted by a 128-bit key."""
+def _by_counts(windows: DataFrame, length: int, short: bool) -> DataFrame:
+    """The same for anchors with too many windows for one suffix array: every string is counted by two independent hashes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for doc, key, start, n, body in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 data = np.frombuffer(body, dtype=np.uint8)
-                h, inv = _text.prefix_hashes(data)
-                g, _ = _text.prefix_hashes(_text.mix(data.astype(np.uint64) + np.uint64(977)).view(np.uint8)[::8].copy())
-                k1 = _text.mix((h[length : length + n] - h[:n]) * inv[:n])
-                k2 = _text.mix((g[length : length + n] - g[:n]) * inv[:n])
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(n, doc)), pa.array(np.full(n, key)), pa.array(start + np.arange(n)), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64))], names=["doc_id", "text_key", "start", "k1", "k2"]
-                )
+                n = min(n, len(data) - length + 1)
+                if n <= 0:
+                    continue
+                keys = []
+                for symbols in (data, _SYMBOL[data]):
+                    h, inv = _text.prefix_hashes(symbols)
+                    keys.append(pa.array(_text.mix((h[length : length + n] - h[:n]) * inv[:n]).view(np.int64)))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, doc)), pa.array(np.full(n, key, dtype=np.int32)), pa.array((start + np.arange(n)).astype(np.int32)), *keys], names=["doc_id", "text_key", "start", "k1", "k2"])
 
-    rows = windows.select("doc_id", "text_key", "start", "n_starts", "body", "many")
-    strings = rows.drop("many").mapInArrow(run, "doc_id long, text_key long, start long, k1 long, k2 long")
-    often = strings.groupBy("k1", "k2").agg(F.count("*").alias("n")).where("n > 1").select("k1", "k2")
-    return strings.join(often, ["k1", "k2"]).select("doc_id", "text_key", "start", F.lit(1).cast("long").alias("n_starts"))
+    strings = windows.select("doc_id", "text_key", "start", "n_starts", "body").mapInArrow(run, "doc_id long, text_key int, start int, k1 long, k2 long")
+    often = strings.groupBy("k1", "k2").agg(F.count("*").alias("n")).where("n > 1").select(F.bitwise_not("k1").alias("w"), "k2")
+    return strings.withColumn("w", F.bitwise_not("k1")).join(often, ["w", "k2"]).select("doc_id", "text_key", "start", F.lit(1).alias("n_starts"), F.lit(short).alias("short"))
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_bytes, spans, kept): every byte covered by a string of length bytes that also starts elsewhere is removed.
+def remove_repeats(docs: DataFrame, length: int = LENGTH, report: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, n_bytes, spans, kept, n_reported): every byte covered by a string of length bytes that also starts elsewhere is removed.
 
-    spans: maximal removed runs as array<struct<start,end>> of bytes; kept: the remaining bytes, in order.
+    spans: maximal removed runs as array<struct<start,end>> of bytes; kept: the remaining bytes, in order; n_reported:
+    bytes covered by strings of report bytes (at most length; by default length) that also start elsewhere.
     """
-    if length < 2 * GRAM:
-        raise ValueError(f"length must be at least {2 * GRAM}")
-    slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).select("doc_id", F.xxhash64("text").alias("text_key"), "text")
-    spots = materialize(_windows(slim, length), "spots")
+    report = length if report is None else report
+    if not 2 * GRAM <= report <= length:
+        raise ValueError(f"the shorter length must be at least {2 * GRAM}, and not above the other")
+    lengths = (length,) if report == length else (length, report)
+    slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).select("doc_id", F.hash("text").alias("text_key"), "text")
+    spots = materialize(_windows(slim, report, length), "spots")
+    # Keys of joins are turned, so that what was grouped is dealt anew and a popular anchor can be split over tasks.
+    turned = F.bitwise_not("anchor").alias("w")
     shared = spots.groupBy("anchor").agg(F.count("*").alias("n"), F.min("win").alias("lo"), F.max("win").alias("hi")).where("n > 1")
-    again = materialize(spots.join(shared.select("anchor", (F.col("lo") != F.col("hi")).alias("mixed")), "anchor"), "again")
-    by_win = again.groupBy("anchor", "win").agg(
-        F.count("*").alias("n"), F.first("mixed").alias("mixed"), F.min(F.struct("doc_id", "text_key", "start", "n_starts")).alias("w")
+    again = materialize(spots.withColumn("w", turned).join(shared.select(turned, (F.col("lo") != F.col("hi")).alias("mixed")), "w").drop("w"), "again")
+    forget(spots)
+    by_win = materialize(
+        again.groupBy("anchor", "win").agg(F.count("*").alias("n"), F.first("mixed").alias("mixed"), F.min(F.struct("doc_id", "text_key", "start", "n_starts", "size")).alias("w")), "by-win"
     )
-    by_win = materialize(by_win, "by-win")
-    whole = again.join(by_win.where("n > 1").select("anchor", "win"), ["anchor", "win"]).select("doc_id", "text_key", "start", "n_starts")
-    per_anchor = by_win.where("mixed").groupBy("anchor").agg(F.count("*").alias("wins")).select("anchor", (F.col("wins") > TOGETHER).alias("hot"))
-    wanted = by_win.where("mixed").join(per_anchor, "anchor").select("anchor", (F.col("n") > 1).alias("many"), "hot", "w.doc_id", "w.text_key", "w.start", "w.n_starts")
-    windows = materialize(_cut_out(slim, wanted, length), "windows")
-    marks = whole.unionByName(_by_suffixes(windows.where("not hot"), length)).unionByName(_by_counts(windows.where("hot"), length))
-    per_doc = marks.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("start", "n_starts")).alias("marks"))
+    pair = ["w", "win"]
+    whole = again.withColumn("w", turned).join(by_win.where("n > 1").select(turned, "win"), pair)
+    whole = materialize(whole.select("doc_id", "text_key", "start", "n_starts", "size"), "whole")
+    forget(again)
+    per_anchor = by_win.where("mixed").groupBy("anchor").agg(F.count("*").alias("wins")).select(turned, (F.col("wins") > TOGETHER).alias("hot"))
+    wanted = by_win.where("mixed").select(turned, "anchor", (F.col("n") > 1).alias("many"), F.col("w").alias("at")).join(per_anchor, "w")
+    windows = materialize(_cut_out(slim, wanted.select("anchor", "many", "hot", "at.doc_id", "at.text_key", "at.start", "at.n_starts", "at.size")), "windows")
+    forget(by_win)
+    marks = _by_suffixes(windows.where("not hot"), lengths)
+    hot = windows.where("hot")
+    some_hot = not hot.isEmpty()
+    for k, own in enumerate(lengths):
+        fits = F.least(F.col("n_starts"), F.col("size") - own + 1)
+        marks = marks.unionByName(whole.where(fits > 0).select("doc_id", "text_key", "start", fits.alias("n_starts"), F.lit(k > 0).alias("short")))
+        if some_hot:
+            marks = marks.unionByName(_by_counts(hot, own, k > 0))
+    per_doc = marks.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("start", "n_starts", "short")).alias("marks"))
+
+    def runs_of(found: list[dict], short: bool, length: int) -> list[list[int]]:
+        runs: list[list[int]] = []
+        for a, b in sorted((x["start"], x["start"] + x["n_starts"] + length - 1) for x in found if x["short"] == short):
+            if runs and a <= runs[-1][1]:
+                runs[-1][1] = max(runs[-1][1], b)
+            else:
+                runs.append([a, b])
+        return runs
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column(1)
             for part in range(0, batch.num_rows, 256):
-                ids, raws, sizes, spans, kept = batch.column(0).slice(part, 256), texts.slice(part, 256), [], [], []
+                ids, raws, sizes, spans, kept, told = batch.column(0).slice(part, 256), texts.slice(part, 256), [], [], [], []
                 for raw, found in zip(raws, batch.column(2).slice(part, 256).to_pylist(), strict=True):
                     body = raw.as_py().encode()
                     sizes.append(len(body))
-                    runs: list[list[int]] = []
-                    for m in sorted((x["start"], x["start"] + x["n_starts"] + length - 1) for x in found or ()):
-                        if runs and m[0] <= runs[-1][1]:
-                            runs[-1][1] = max(runs[-1][1], m[1])
-                        else:
-                            runs.append([*m])
+                    runs = runs_of(found or [], False, length)
                     spans.append([{"start": a, "end": b} for a, b in runs])
                     cuts = [0, *(x for r in runs for x in r), len(body)]
                     kept.append(b"".join(body[a:b] for a, b in zip(cuts[::2], cuts[1::2], strict=True)) if runs else body)
+                    told.append(sum(b - a for a, b in (runs if len(lengths) == 1 else runs_of(found or [], True, report))))
                 kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-                yield pa.RecordBatch.from_arrays([ids, pa.array(sizes, pa.int64()), pa.array(spans, kind), pa.array(kept, pa.binary())], names=["doc_id", "n_bytes", "spans", "kept"])
+                yield pa.RecordBatch.from_arrays(
+                    [ids, pa.array(sizes, pa.int64()), pa.array(spans, kind), pa.array(kept, pa.binary()), pa.array(told, pa.int64())], names=["doc_id", "n_bytes", "spans", "kept", "n_reported"]
+                )
 
     joined = slim.join(per_doc, ["doc_id", "text_key"], "left").select("doc_id", "text", "marks")
-    return joined.mapInArrow(cut, "doc_id long, n_bytes long, spans array<struct<start:long,end:long>>, kept binary")
+    return joined.mapInArrow(cut, "doc_id long, n_bytes long, spans array<struct<start:long,end:long>>, kept binary, n_reported long")
