@@ -2,9 +2,11 @@
 
 Strong parts (assigned passwords and tokens, access key identifiers, long hexadecimal strings) are reported as they
 stand. Weak parts (a bare login or key identifier, a token-like string, an endpoint) prove nothing alone: an interval
-join within scopes reports them only where a part of another role stands within reach of them in the same text.
-Scopes are blocks of positions as long as the reach; a part is matched with its own and the two neighbouring blocks,
-so the join stays local however long a text is.
+join within scopes reports them only where a part of another role stands beside them, within reach and without
+sharing a character, in the same text. Scopes are blocks of positions as long as the reach; a part stands in every
+block that it covers, and a weak part looks into all blocks that its extent and the reach on both sides touch, so the
+join stays local however long a text is. Redaction links by the same rule inside the row; it leaves addresses alone
+that hold no credential themselves.
 
 Defined results: null text counts as empty; spans are code points, end exclusive; repeated rows are kept apart by a
 row number of their own; extra columns are ignored; an empty table gives an empty result.
@@ -37,7 +39,7 @@ _QUICK = {
 # Weak kinds: name, role, pattern. They count only beside a part of another role.
 WEAK = (
     ("login", "identifier", r"""(?i)\b(?:user(?:name)?|login|account|client_?id|access_?key_?id)["']?\x20*[:=]\x20*["']?[A-Za-z0-9._@+-]{3,}"""),
-    ("opaque", "secret", r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_-]*[0-9])(?=[a-z0-9+/_-]*[A-Z])(?=[A-Z0-9+/_-]*[a-z])[A-Za-z0-9+/_-]{32,88}={0,2}(?![A-Za-z0-9+/_=-])"),
+    ("opaque", "secret", r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_-]*[0-9])(?=[a-z0-9+/_-]*[A-Z])(?=[A-Z0-9+/_-]*[a-z])[A-Za-z0-9+/_-]{32,}={0,2}(?![A-Za-z0-9+/_=-])"),
     ("endpoint", "endpoint", r"""(?:https?|postgres|postgresql|mysql|mongodb|redis|amqp|s3|ftp|ssh)://[^\s"'<>]+"""),
 )
 ROLE = {"assign": "secret", "access": "identifier", "hex": "secret"} | {k: role for k, role, _ in WEAK}
@@ -101,23 +103,37 @@ def find_parts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     )
 
 
+def _beside(s: Column, o: Column, reach: int) -> Column:
+    """Whether two spans share no character and stand at most reach apart."""
+    gap = F.greatest(o["start"] - s["end"], s["start"] - o["end"])
+    return (gap >= 0) & (gap <= reach)
+
+
+def _role(s: Column) -> Column:
+    return F.element_at(F.array(*[F.lit(ROLE[k]) for k in ORDER]), s["rank"] + 1)
+
+
+def _apart(strong: Column, s: Column) -> Column:
+    return ~F.exists(strong, lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
+
+
 def link_parts(parts: DataFrame, reach: int = REACH) -> DataFrame:
-    """(row_key, linked): weak spans beside which a part of another role stands within reach; none inside a strong span."""
-    role = F.element_at(F.array(*[F.lit(ROLE[k]) for k in ORDER]), F.col("s.rank") + 1)
+    """(row_key, linked): weak spans beside which a part of another role stands; none that touches a strong span."""
     some = parts.where(F.size("weak") > 0)
-    weak = some.select("row_key", "strong", F.explode("weak").alias("s")).where(
-        ~F.exists("strong", lambda b: (b["start"] < F.col("s.end")) & (F.col("s.start") < b["end"]))
-    ).select("row_key", "s", role.alias("role"), F.explode(F.array(*[F.floor(F.col("s.start") / reach) + k for k in (-1, 0, 1)])).alias("scope"))
-    near = some.select("row_key", F.explode(F.concat("strong", "weak")).alias("s")).select(
-        "row_key", F.col("s").alias("o"), role.alias("other"),
-        # a long part stands in every block that it reaches into
-        F.explode(F.sequence(F.floor(F.col("s.start") / reach), F.floor((F.col("s.end") - 1) / reach))).alias("scope"),
-    )
-    gap = F.greatest(F.col("o.start") - F.col("s.end"), F.col("s.start") - F.col("o.end"))
-    hit = weak.join(near, ["row_key", "scope"]).where((F.col("role") != F.col("other")) & (gap <= reach))
+    s, o = F.col("s"), F.col("o")
+    blocks = lambda lo, hi: F.explode(F.sequence(F.floor(lo / reach), F.floor(hi / reach))).alias("scope")
+    weak = some.select("row_key", "strong", F.explode("weak").alias("s")).where(_apart(F.col("strong"), s))
+    weak = weak.select("row_key", "s", blocks(s["start"] - reach, s["end"] + reach))
+    near = some.select("row_key", F.explode(F.concat("strong", "weak")).alias("o")).select("row_key", "o", blocks(o["start"], o["end"] - 1))
+    hit = weak.join(near, ["row_key", "scope"]).where((_role(s) != _role(o)) & _beside(s, o, reach))
     return hit.groupBy("row_key").agg(F.array_sort(F.collect_set("s")).alias("linked"))
 
 
+def linked_in_row(strong: Column, weak: Column, reach: int = REACH) -> Column:
+    """What link_parts finds, for one row's own spans."""
+    return F.filter(weak, lambda s: _apart(strong, s) & F.exists(F.concat(strong, weak), lambda o: (_role(s) != _role(o)) & _beside(s, o, reach)))
+
+
 def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", reach: int = REACH) -> DataFrame:
     """(row_key, doc_id, strong, linked): per row of docs the strong spans and the weak spans that found a complement."""
     parts = materialize(find_parts(docs, id_col, text_col), "secret-parts")
@@ -131,26 +147,27 @@ def span_list(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.element_at(names, x["rank"] + 1), x["start"], x["end"])), ",")
 
 
+#: An address that holds a credential itself: user information, or a parameter that is one.
+_TELLING = r"""(?i)://[^/?#\s]*@|[?&;](?:password|passwd|pwd|secret|token|access_?token|api_?key|key|auth|sig|signature)="""
+
+
 def redact(docs: DataFrame, mark: str = "[secret]", id_col: str = "doc_id", text_col: str = "text", reach: int = REACH) -> DataFrame:
-    """docs with every reported span replaced by mark; overlapping spans merge into one. Rows with equal id and text redact alike.
+    """docs with every reported span replaced by mark; overlapping spans merge into one, plain addresses stay.
 
-    Spans are found and linked inside the row, so no text is shuffled; the time grows with the square of one text's spans.
+    Spans are found and linked inside the row, so no text is shuffled; the time grows with the square of one text's
+    spans. Null texts stay null; repeated rows and empty texts keep their place; columns of any name are kept.
     """
     cols = docs.columns
     text = F.coalesce(F.col(text_col), F.lit(""))
     strong = F.array_sort(F.concat(*[_tagged(text, k, p, g, n) for k, p, g, n in STRONG]))
     weak = F.array_sort(F.concat(*[_tagged(text, k, p, 0, 1) for k, _, p in WEAK]))
-    held = "_secret_spans_"
+    held = "_secret_spans"
+    while held in cols:
+        held += "_"
     base = docs.withColumn(held, F.struct(strong.alias("strong"), weak.alias("weak")))
-    role = F.array(*[F.lit(ROLE[k]) for k in ORDER])
-    # The same interval rule inside one row, for the row's own spans: no join is needed to edit a text in place.
-    linked = F.filter(
-        F.col(held)["weak"],
-        lambda w: F.exists(
-            F.concat(F.col(held)["strong"], F.col(held)["weak"]),
-            lambda o: (F.element_at(role, o["rank"] + 1) != F.element_at(role, w["rank"] + 1)) & (F.greatest(o["start"] - w["end"], w["start"] - o["end"]) <= reach),
-        ),
-    )
+    address = ORDER.index("endpoint")
+    tells = lambda s: F.substring(F.col(text_col), s["start"] + 1, s["end"] - s["start"]).rlike(_TELLING)
+    linked = F.filter(linked_in_row(F.col(held)["strong"], F.col(held)["weak"], reach), lambda s: (s["rank"] != address) | tells(s))
     spans = F.array_sort(F.concat(F.col(held)["strong"], linked))
     edited = F.aggregate(
         spans,
