@@ -83,8 +83,8 @@ def _statistics(column: pa.Array) -> np.ndarray:
 def text_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), keep_text: bool = False) -> DataFrame:
     """The columns of keep, and the text if asked, with the statistics as doubles named q_<statistic>."""
     names = [*keep, *([text_col] if keep_text and text_col not in keep else [])]
-    slim = docs.select(*names, F.col(text_col).alias("_body_")) if not keep_text or True else docs
-    schema = slim.drop("_body_").schema
+    schema = docs.select(*names).schema
+    slim = docs.select(*names, F.col(text_col).alias("_body_" * (1 + max(map(len, names), default=0))))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -205,7 +205,8 @@ def train(stats: DataFrame, labels: DataFrame, label_col: str = "quality", id_co
     if n > sample_rows:
         share = sample_rows / n
         known = known.where((F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) / (1 << 20)) < share)
-    rows = stats.join(F.broadcast(known), "doc_id").select("y", *(f"q_{k}" for k in STATISTICS)).toPandas()
+    met = stats.join(F.broadcast(known), "doc_id").groupBy("doc_id").agg(F.min(F.struct("y", *(f"q_{k}" for k in STATISTICS))).alias("r"))  # an id that repeats counts once
+    rows = met.select("r.*").toPandas()
     order = np.lexsort(rows.to_numpy(float).T) if len(rows) else []
     x = rows[[f"q_{k}" for k in STATISTICS]].to_numpy(float)[order]
     return fit_ensemble(x, rows["y"].to_numpy(float)[order])

@@ -168,7 +168,7 @@ def judge_urls(pages: DataFrame, rules: tuple[Rule, ...], url_col: str = "url",
         base, feats[f"suffix{labels}"] = _with_shares(base, labels)
     names = [f"_f_{k}" for k in feats]
     full = base.withColumns(dict(zip(names, feats.values(), strict=True)))
-    fit = full.where(F.col("_judged_").isNotNull()).select(*names, (F.col("_judged_") == "block").cast("int").alias("y"), F.xxhash64("_url_").alias("h"))
+    fit = full.where(F.col("_judged_").isNotNull()).select(*names, (F.col("_judged_") == "block").cast("int").alias("y"), F.xxhash64(*keep, "_url_").alias("h"))
     if n > sample_rows:
         fit = fit.where(F.pmod("h", F.lit(1 << 20)) < int(sample_rows / n * (1 << 20)))
     data = fit.drop("h").toPandas().sort_values([*names, "y"])

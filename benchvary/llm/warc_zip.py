@@ -81,10 +81,10 @@ class ZipDirectory:
         if at < 0:
             raise ValueError("no end of central directory")
         count, length, start = struct.unpack("<H2I", tail[at + 10 : at + 20])
-        if count == 0xFFFF or 0xFFFFFFFF in (length, start):
-            mark, _, where, _ = struct.unpack("<4sIQI", fetch(tail_at + at - 20, 20))
-            if mark != b"PK\x06\x07":
-                raise ValueError("no ZIP64 locator")
+        mark, _, where, _ = struct.unpack("<4sIQI", fetch(tail_at + at - 20, 20)) if tail_at + at >= 20 else (b"", 0, 0, 0)
+        if mark != b"PK\x06\x07" and 0xFFFFFFFF in (length, start):
+            raise ValueError("no ZIP64 locator")
+        if mark == b"PK\x06\x07" and (count == 0xFFFF or 0xFFFFFFFF in (length, start)):
             end = fetch(where, 56)
             if end[:4] != b"PK\x06\x06":
                 raise ValueError("no ZIP64 end record")

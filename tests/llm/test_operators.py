@@ -2,9 +2,13 @@
 
 import collections
 import hashlib
+import io
 import math
 import random
 import re
+import struct
+import zipfile
+import zlib
 
 import numpy as np
 import pytest
@@ -102,31 +106,68 @@ def test_secrets(spark):
     assert clean[0] is None and clean[1] == "" and clean[len(EDGE)].startswith("[secret]") and clean[len(EDGE) + 6] == texts[-2]
 
 
+def test_secret_links(spark):
+    key = "Zm9vYmFyYmF6cXV4MTIzNDU2Nzg5MEFCQ0RF"
+    texts = [
+        "https://a.b/" + "q" * 700 + " user=bob", "https://a.b/" + "q" * 20 + " user=bob", f'account: "{key}"', f"account: bob {key * 3}", f"token=abcdef1 https://x.y/z login: carl {key}",
+        "user=carl https://u:p@x.y/ https://x.y/?token=1 https://plain.y/a", "a " * 3000 + "user=dora " + "b " * 50 + key + " c" * 200 + " https://x.y/", None, "",
+    ]
+    found = secrets.scan_secrets(docs_of(spark, texts)).select("doc_id", secrets.span_list(F.col("strong")).alias("strong"), secrets.span_list(F.col("linked")).alias("linked")).collect()
+    in_row = secrets.find_parts(docs_of(spark, texts)).select("doc_id", secrets.span_list(secrets.linked_in_row(F.col("strong"), F.col("weak"))).alias("linked")).collect()
+    in_row = {r["doc_id"]: r["linked"] for r in in_row}
+    for r in found:
+        t = texts[r["doc_id"]] or ""
+        strong = [(int(a), int(b), k) for k, a, b in (x.split(":") for x in r["strong"].split(",") if x)]
+        weak = [(m.start(), m.end(), kind) for kind, _, pattern in secrets.WEAK for m in re.finditer(pattern, t, re.ASCII)]
+        want = set()
+        for a, b, kind in weak:
+            apart = all(b <= x or y <= a for x, y, _ in strong)
+            if apart and any(secrets.ROLE[k] != secrets.ROLE[kind] and 0 <= max(x - b, a - y) <= 200 for x, y, k in strong + weak):
+                want.add(f"{kind}:{a}:{b}")
+        assert {x for x in r["linked"].split(",") if x} == want, t[:60]
+        assert in_row[r["doc_id"]] == r["linked"]
+    by_doc = {r["doc_id"]: r["linked"] for r in found}
+    assert "endpoint" in by_doc[0] and "opaque" not in by_doc[2] and "opaque:13:121" in by_doc[3]
+    clean = [r["text"] for r in secrets.redact(docs_of(spark, texts).withColumn("_secret_spans", F.lit(1))).orderBy("doc_id").collect()]
+    assert "https://x.y/z" in clean[4] and "carl" not in clean[4] and "https://plain.y/a" in clean[5] and "u:p@" not in clean[5] and "token=1" not in clean[5] and clean[7] is None
+
+
 def queries_of(spark, texts):
     found = secrets.scan_secrets(docs_of(spark, texts))
     n = F.size(F.filter("strong", lambda x: x["rank"] == 0)).cast("long")
     return found.select("doc_id", n.alias("n_assign"), F.sha2(secrets.span_list(F.col("strong")).cast("binary"), 256).alias("base_sha256"), secrets.span_list(F.array_sort(F.concat("strong", "linked"))).alias("spans"))
 
 
-def test_repeats(spark, corpus):
-    texts = [*corpus, "ab" * 900, prose(100) + corpus[20] + prose(50)]
-    got = {r["doc_id"]: r for r in suffix_dedup.remove_repeats(docs_of(spark, texts)).collect()}
-    raws = [(t or "").encode() for t in texts]
-    seen = collections.Counter(b[i : i + 400] for b in raws for i in range(len(b) - 399))
-    for i, b in enumerate(raws):
+def covered(raws, length):
+    seen = collections.Counter(b[i : i + length] for b in raws for i in range(len(b) - length + 1))
+    out = []
+    for b in raws:
         gone = np.zeros(len(b), dtype=bool)
-        for k in range(len(b) - 399):
-            if seen[b[k : k + 400]] > 1:
-                gone[k : k + 400] = True
+        for k in range(len(b) - length + 1):
+            if seen[b[k : k + length]] > 1:
+                gone[k : k + length] = True
+        out.append(gone)
+    return out
+
+
+@pytest.mark.parametrize("report", [None, 256])
+def test_repeats(spark, corpus, report):
+    passage = prose(52)
+    texts = [*corpus, "ab" * 900, prose(100) + corpus[20] + prose(50), prose(9) + passage + prose(12), prose(30) + passage, passage, None, ""]
+    got = {r["doc_id"]: r for r in suffix_dedup.remove_repeats(docs_of(spark, texts), 400, report).collect()}
+    raws = [(t or "").encode() for t in texts]
+    for i, (b, gone, told) in enumerate(zip(raws, covered(raws, 400), covered(raws, report or 400), strict=True)):
         assert bytes(got[i]["kept"]) == bytes(np.frombuffer(b, dtype=np.uint8)[~gone])
         assert len(got[i]["spans"]) == int((np.diff(np.concatenate([[0], gone.astype(np.int8)])) == 1).sum())
+        assert got[i]["n_reported"] == int(told.sum()), i
 
 
 def test_popular_anchor_counts_alike(spark, corpus, monkeypatch):
     texts = [prose(60) + " " + corpus[10] + " " + corpus[16] + prose(60) for _ in range(30)]
-    want = [(r["doc_id"], bytes(r["kept"])) for r in suffix_dedup.remove_repeats(docs_of(spark, texts)).orderBy("doc_id").collect()]
+    result = lambda: [(r["doc_id"], bytes(r["kept"]), r["n_reported"]) for r in suffix_dedup.remove_repeats(docs_of(spark, texts), 400, 200).orderBy("doc_id").collect()]
+    want = result()
     monkeypatch.setattr(suffix_dedup, "TOGETHER", 3)
-    assert [(r["doc_id"], bytes(r["kept"])) for r in suffix_dedup.remove_repeats(docs_of(spark, texts)).orderBy("doc_id").collect()] == want
+    assert result() == want
 
 
 def test_suffix_array():
@@ -232,10 +273,43 @@ def test_archives(spark):
     assert got[3]["refers_to"] == 4 and got[5]["payload_bytes"] == 2000 and got[5]["payload_digest"] == warc_zip.payload_digest(("é" * 1000).encode())
 
 
+def zip64_by_hand(members):
+    """An archive whose directory has sizes and offsets in ZIP64 fields, and whose end is a ZIP64 end record with its locator."""
+    body, central = b"", b""
+    for name, data in members:
+        n, crc = name.encode(), zlib.crc32(data)
+        wide = struct.pack("<2H3Q", 1, 24, len(data), len(data), len(body))
+        central += struct.pack("<4s6H3I5H2I", b"PK\x01\x02", 45, 45, 0, 0, 0, 33, crc, 0xFFFFFFFF, 0xFFFFFFFF, len(n), len(wide), 0, 0, 0, 0, 0xFFFFFFFF) + n + wide
+        local = struct.pack("<2H2Q", 1, 16, len(data), len(data))
+        body += struct.pack("<4s5H3I2H", b"PK\x03\x04", 45, 0, 0, 0, 33, crc, 0xFFFFFFFF, 0xFFFFFFFF, len(n), len(local)) + n + local + data
+    at = len(body) + len(central)
+    end = struct.pack("<4sQ2H2I4Q", b"PK\x06\x06", 44, 45, 45, 0, 0, len(members), len(members), len(central), len(body))
+    return body + central + end + struct.pack("<4sIQI", b"PK\x06\x07", 0, at, 1) + struct.pack("<4s4H2IH", b"PK\x05\x06", 0, 0, 0xFFFF, 0xFFFF, 0xFFFFFFFF, 0xFFFFFFFF, 0)
+
+
+def directory_of(raw):
+    return warc_zip.ZipDirectory(lambda o, n: raw[o : o + n], len(raw))
+
+
 def test_zip64_directory():
-    raw = warc_zip.zip_bytes([("a", b"xyz"), ("b", b"")], force_zip64=True)
-    d = warc_zip.ZipDirectory(lambda o, n: raw[o : o + n], len(raw))
-    assert d.read("a") == b"xyz" and set(d.members) == {"a", "b"}
+    members = [("a", b"xyz"), ("b", b""), ("c/d", bytes(range(256)) * 40)]
+    raw = zip64_by_hand(members)
+    with zipfile.ZipFile(io.BytesIO(raw)) as other:  # Python's own reader as a second opinion on the fixture
+        assert [(x, other.read(x)) for x in other.namelist()] == members
+    assert [(x, directory_of(raw).read(x)) for x, _ in members] == members
+    assert [(x, directory_of(warc_zip.zip_bytes(members)).read(x)) for x, _ in members] == members
+    with zipfile.ZipFile(io.BytesIO(warc_zip.zip_bytes(members))) as other:
+        assert [(x, other.read(x)) for x in other.namelist()] == members and other.testzip() is None
+
+
+@pytest.mark.parametrize("n", [65_535, 65_536])
+def test_many_members(n):
+    out = io.BytesIO()
+    with zipfile.ZipFile(out, "w", zipfile.ZIP_STORED) as z:
+        for k in range(n):
+            z.writestr(zipfile.ZipInfo(str(k)), b"%d" % k)
+    d = directory_of(out.getvalue())
+    assert len(d.members) == n and d.read(str(n - 1)) == b"%d" % (n - 1)
 
 
 def test_leaks(spark, corpus):
