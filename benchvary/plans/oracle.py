@@ -297,4 +297,18 @@ ORACLE |= {
     "op_topk_pairs": f"WITH {VEC}, p AS (SELECT a.vec_id AS eval_id, b.vec_id AS other_id, round({_cos('a.v', 'b.v')}, 6) AS sim FROM vec a JOIN vec b ON a.vec_id < b.vec_id) SELECT * FROM p WHERE sim > 0.4 ORDER BY sim DESC, eval_id, other_id LIMIT 10",
     "log_sliding": "SELECT strftime(make_timestamp((epoch(ts)::BIGINT // 21600 * 21600 - k * 21600) * 1000000), '%Y-%m-%d %H:%M') AS start, event_type AS task, count(*) AS n, round(avg(value), 6) AS mean FROM events, (SELECT unnest([0, 1, 2, 3]) AS k) GROUP BY ALL",
     "log_session": "WITH e AS (SELECT user_id, coalesce(epoch(ts) - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) >= 3600, true)::INT AS fresh FROM events) SELECT user_id, sum(fresh)::BIGINT AS sessions, count(*) AS answers FROM e GROUP BY 1",
+    "op_udtf_specs": f"SELECT variant_id, n_hard FROM {_values(compose.all_compositions(), 'variant_id, v1, v2, ratio, l1, l2, l3, l4, n_hard')}",
+    "op_sql_functions": f"WITH {VEC} SELECT 'cosine' AS f, count(*) AS n, count(*)::DOUBLE AS total FROM ev UNION ALL SELECT 'plain_answer', count(*), sum(length({_NORM('text')}))::DOUBLE FROM benchmark",
+    "op_cube": "SELECT event_type, user_id % 9 AS model, count(*) AS n, grouping(event_type, user_id % 9)::BIGINT AS level FROM events GROUP BY CUBE (event_type, user_id % 9)",
+    "op_map_scores": "WITH p AS (SELECT user_id % 9 AS model, event_type, count(*) AS n FROM events GROUP BY ALL) SELECT model, count(*) AS kinds, max(n) AS most, sum(n)::BIGINT AS n FROM p GROUP BY 1",
+    "op_lateral_candidates": f"WITH {ITEMS} SELECT scene_id, sn FROM rk WHERE rk <= 2",
+    "op_salted_join": "SELECT p_brand, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1",
+    "op_asof_join": "WITH e AS (SELECT *, CASE WHEN event_type = (SELECT min(event_type) FROM events) THEN event_id END AS v FROM events), w AS (SELECT event_id, v, last_value(v IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS version_id FROM e) SELECT event_id, version_id FROM w WHERE v IS NULL",
+    "op_rankings": "WITH n AS (SELECT user_id, count(*) AS n FROM events GROUP BY 1) SELECT user_id, rank() OVER w::INT AS place, dense_rank() OVER w::INT AS dense, round(percent_rank() OVER w, 6) AS percent, round(cume_dist() OVER w, 6) AS share FROM n WINDOW w AS (PARTITION BY user_id % 9 ORDER BY n)",
+    "op_range_frame": "WITH e AS (SELECT event_id, user_id, floor(epoch(ts))::BIGINT AS s FROM events) SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS within_day FROM e",
+    "op_approximate": "SELECT event_type, true AS distinct_ok, true AS sketch_ok, true AS median_ok FROM events GROUP BY 1",
+    "op_set_sketches": f"WITH {VEC} SELECT sum(in_m * in_cap)::BIGINT AS m_cap, sum(in_m)::BIGINT AS m, true AS overlap_ok, true AS size_ok FROM tr",
+    "op_provider_inferrer": f"WITH b AS (SELECT item_id, array_to_string(string_split(text, ' ')[(len(string_split(text, ' ')) // 2) + 1:], ' ') AS answer FROM benchmark) SELECT item_id, doc_id FROM documents d JOIN b ON item_id = doc_id % (SELECT count(*) FROM benchmark) WHERE length({_NORM('answer')}) > 0 AND contains({_NORM('text')}, {_NORM('answer')})",
+    "log_with_registry": "SELECT event_id, CASE WHEN user_id % 9 < 3 THEN 'small' WHEN user_id % 9 < 6 THEN 'middle' ELSE 'large' END AS size FROM events",
+    "log_regenerate_state": "WITH e AS (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k, (event_id % 3 = 0) AS ok FROM events), f AS (SELECT user_id, min(k) FILTER (ok) AS a, count(*) AS n FROM e WHERE k <= 5 GROUP BY 1) SELECT user_id, coalesce(a, 5)::INT AS attempt, (a IS NULL)::INT AS fallback FROM f WHERE a IS NOT NULL OR n = 5",
 }

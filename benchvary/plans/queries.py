@@ -793,6 +793,119 @@ def op_specs(spark, d):
     return A.spec_table(spark, tuple(P.all_compositions()))
 
 
+@query
+def op_udtf_specs(spark, d):
+    """The compositions from a table function."""
+    from benchvary.functions import sql
+
+    sql.register(spark)
+    return spark.sql("select variant_id, n_hard from variant_specs(2, 2)")
+
+
+@query
+def op_sql_functions(spark, d):
+    """The SQL functions, over evaluation vectors and benchmark texts."""
+    from benchvary.functions import sql
+
+    sql.register(spark)
+    S.eval_vectors(spark, d).createOrReplaceTempView("_evals")
+    read_table(spark, d, "benchmark").createOrReplaceTempView("_benchmark")
+    return spark.sql("select 'cosine' as f, count(*) as n, round(sum(cosine(ev, ev)), 4) as total from _evals union all select 'plain_answer', count(*), cast(sum(length(plain_answer(text))) as double) from _benchmark")
+
+
+@query
+def op_cube(spark, d):
+    e = read_table(spark, d, "events").withColumn("model", F.col("user_id") % 9)
+    return e.cube("event_type", "model").agg(F.count("*").alias("n"), F.grouping_id().cast("long").alias("level"))
+
+
+@query
+def op_map_scores(spark, d):
+    """Scores of each model as a map from event type to its count, queried by key."""
+    per = read_table(spark, d, "events").groupBy((F.col("user_id") % 9).alias("model"), "event_type").agg(F.count("*").alias("n"))
+    m = per.groupBy("model").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("event_type", "n")))).alias("m"))
+    best = F.array_max(F.map_values("m"))
+    return m.select("model", F.size("m").cast("long").alias("kinds"), best.alias("most"), F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("n"))
+
+
+@query
+def op_lateral_candidates(spark, d):
+    """A lateral join: the two largest objects of each scene, chosen row by row."""
+    o = S.scene_objects(spark, d).groupBy("scene_id").agg(F.collect_list(F.struct((-F.col("w") * F.col("h")).alias("key"), "sn")).alias("objs"))
+    o.createOrReplaceTempView("_scenes")
+    return spark.sql("select scene_id, c.sn from _scenes, lateral (select x.sn as sn from (select explode(slice(array_sort(objs), 1, 2)) as x)) as c")
+
+
+@query
+def op_salted_join(spark, d):
+    """A join whose left side is dealt over salts and whose right side is copied to each, so that a hot key is many tasks."""
+    salts = 8
+    line = read_table(spark, d, "lineitem").select("l_partkey", "l_orderkey", "l_linenumber").withColumn("salt", F.pmod(F.xxhash64("l_orderkey", "l_linenumber"), F.lit(salts)))
+    part = read_table(spark, d, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
+    return line.join(part, ["l_partkey", "salt"]).groupBy("p_brand").agg(F.count("*").alias("n"))
+
+
+@query
+def op_asof_join(spark, d):
+    """Each answer with the latest earlier event of another kind of the same user, of two sides in one ordered window."""
+    e = read_table(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
+    kinds = e.agg(F.min("event_type").alias("kind"))
+    e = e.crossJoin(F.broadcast(kinds)).withColumn("version", F.when(F.col("event_type") == F.col("kind"), F.col("event_id")))
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
+    return e.withColumn("version_id", F.last("version", True).over(w)).where("version is null").select("event_id", "version_id")
+
+
+@query
+def op_rankings(spark, d):
+    """All ranking functions over the number of answers of each user."""
+    n = read_table(spark, d, "events").groupBy("user_id").agg(F.count("*").alias("n"))
+    w = Window.partitionBy((F.col("user_id") % 9)).orderBy("n")
+    return n.select("user_id", F.rank().over(w).alias("place"), F.dense_rank().over(w).alias("dense"), F.round(F.percent_rank().over(w), 6).alias("percent"), F.round(F.cume_dist().over(w), 6).alias("share"))
+
+
+@query
+def op_range_frame(spark, d):
+    """Answers of a user within the day before each, by a range of seconds."""
+    e = read_table(spark, d, "events").select("event_id", "user_id", F.unix_seconds(F.col("ts").cast("timestamp")).alias("s"))
+    w = Window.partitionBy("user_id").orderBy("s").rangeBetween(-86_400, 0)
+    return e.select("event_id", F.count("*").over(w).alias("within_day"))
+
+
+@query
+def op_approximate(spark, d):
+    """Approximate distinct counts, percentiles and set sketches lie within their bounds of the exact values."""
+    e = read_table(spark, d, "events")
+    near = lambda a, b, share: F.abs(a - b) <= share * F.abs(b)
+    return e.groupBy("event_type").agg(
+        near(F.approx_count_distinct("user_id", 0.02), F.count_distinct("user_id"), 0.1).alias("distinct_ok"),
+        near(F.hll_sketch_estimate(F.hll_sketch_agg("user_id")), F.count_distinct("user_id"), 0.1).alias("sketch_ok"),
+        near(F.percentile_approx("value", 0.5, 10000), F.percentile("value", F.lit(0.5)), 0.05).alias("median_ok"),
+    )
+
+
+@query
+def op_set_sketches(spark, d):
+    """Overlaps of the training sets from theta sketches, against the exact sizes."""
+    t = S.train_vectors(spark, d)
+    sk = t.agg(*[F.theta_sketch_agg(F.when(F.col(c) == 1, F.col("train_id"))).alias(c) for c in ("in_xl", "in_m", "in_cap")], F.sum((F.col("in_m") * F.col("in_cap")).cast("long")).alias("m_cap"), F.sum(F.col("in_m").cast("long")).alias("m"))
+    both = F.theta_sketch_estimate(F.theta_intersection("in_m", "in_cap"))
+    return sk.select("m_cap", "m", (F.abs(both - F.col("m_cap")) <= F.greatest(F.lit(2.0), 0.1 * F.col("m_cap"))).alias("overlap_ok"), (F.abs(F.theta_sketch_estimate("in_m") - F.col("m")) <= 0.05 * F.col("m")).alias("size_ok"))
+
+
+@query
+def op_provider_inferrer(spark, d):
+    """Pairs whose caption settles the answer, by the default provider over Arrow batches."""
+    from benchvary.operators import providers
+
+    docs = read_table(spark, d, "documents").select("doc_id", F.col("text").alias("caption"))
+    items_ = read_table(spark, d, "benchmark")
+    n = items_.count()
+    w = F.split("text", " ")
+    items_ = items_.select("item_id", F.array_join(F.slice(w, 1, F.floor(F.size(w) / 2).cast("int")), " ").alias("question"), F.array_join(F.slice(w, F.floor(F.size(w) / 2).cast("int") + 1, F.size(w)), " ").alias("answer"))
+    pairs = docs.withColumn("item_id", F.col("doc_id") % max(n, 1)).join(items_, "item_id")
+    return providers.caption_settles(pairs, providers.span_provider).select("item_id", "doc_id")
+
+
 # --- streams ----------------------------------------------------------------------------------------------------
 
 
@@ -805,5 +918,5 @@ def _stream(name):
     QUERIES[f"log_{name}"] = run
 
 
-for _n in ("tumbling", "sliding", "session", "dedup", "late_rows", "running_contamination"):
+for _n in ("tumbling", "sliding", "session", "dedup", "late_rows", "running_contamination", "with_registry", "regenerate_state"):
     _stream(_n)

@@ -81,3 +81,39 @@ def running_contamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = source(spark, sf_dir, "embeddings").where("vec_id % 5 <> 0").select(F.col("embedding").cast("array<double>").alias("tv"))
     best = t.join(F.broadcast(evals)).groupBy("eval_id").agg(F.round(F.max(cosine(F.col("ev"), F.col("tv"))), 6).alias("sim"))
     return drained(best, "running", "complete")
+
+
+def with_registry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A stream joined with a static table: each answer with the size class of its model."""
+    registry = spark.createDataFrame([(k, ("small", "middle", "large")[k // 3]) for k in range(9)], "model int, size string")
+    return drained(log(spark, sf_dir).join(F.broadcast(registry), "model").select("event_id", "size"), "registry")
+
+
+def regenerate_state(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Regeneration as keyed state: verdicts of a key's attempts arrive as a stream, the first good one or the fifth ends it.
+
+    The key is the user; an answer is a verdict, good where its number divides by three. Verdicts of one batch are taken in
+    the order of their time; a key that is done ignores what follows.
+    """
+    from collections.abc import Iterator
+
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        tried, done = state.get if state.exists else (0, False)
+        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
+        out = []
+        for ok in rows["ok"].tolist():
+            if done:
+                break
+            tried += 1
+            if ok or tried == 5:
+                done = True
+                out.append((key[0], tried, int(not ok)))
+        state.update((tried, done))
+        yield pd.DataFrame(out, columns=["user_id", "attempt", "fallback"])
+
+    verdicts = log(spark, sf_dir).select("user_id", "event_id", "ts", (F.col("event_id") % 3 == 0).alias("ok"))
+    s = verdicts.groupBy("user_id").applyInPandasWithState(step, "user_id long, attempt int, fallback int", "tried int, done boolean", "append", GroupStateTimeout.NoTimeout)
+    return drained(s, "regenerate")
