@@ -1,14 +1,16 @@
 """Hashed maximum-entropy language model with a class-factored softmax.
 
-P(word | history) = P(class | history) * P(word | class). The class part is a log-linear model over hashed features of
-the history: the previous word's class (n-gram), the one before it (skip), and a hash of both. The frequent words are
-classes of their own; all others fall into classes by a hash of their ending. The word part is the word's share of
-its class, with one unseen word in each class.
-
-All counts cover every training text. Gradient steps run distributed over the table of (history, class) counts, whose
-size is bounded by the number of classes, and only sums of gradients, bounded too, reach the driver. Scoring looks the
-frequent words up in numpy batches; the rest of each text's words meet their counts in a shuffle join, so a vocabulary
-of any size works.
+P(word | history) = P(class | history) * P(group | class, history) * P(word | group). The class part is a log-linear
+model over hashed features of the history's classes: the previous word's class (n-gram), the one before it (skip), and a
+hash of both. The frequent words are classes of their own; all others fall into classes by a hash of their ending.
+Inside a class the words form groups by their hash; the group part is a softmax over hashed features of the words
+themselves: the previous word with the class (n-gram) and the word before it with the class (skip). The word part is
+the word's share of its group, with one unseen word in each group.
+
+All counts cover every training text. The class part's gradient steps run distributed over the table of (history,
+class) counts, whose size is bounded by the number of classes; the group part's run over the texts, each of which is in
+one of several steps. Only sums of gradients, bounded too, reach the driver. Scoring looks the frequent words up in
+numpy batches; the rest of each text's words meet their counts in a shuffle join, so a vocabulary of any size works.
 
 Defined results: null and empty texts consist of the end token alone; white space is ASCII white space; repeated rows
 are scored and learnt from once each; extra columns are ignored; an empty table gives an empty result, and without
@@ -37,7 +39,12 @@ END = CLASSES - 1
 END_HASH = np.uint64(0x0123456789ABCDEF)
 #: Frequent words that every worker looks up directly: 16 bytes each.
 HEAD_WORDS = 1 << 20
+#: Bytes of text handled at once where every token has a row of weights.
+SLICE = 512 << 10
 STEPS = 6
+#: Groups of a class, a power of two; hashed word features; steps, between which the training texts are dealt.
+GROUPS, FEATURES, WORD_STEPS = 8, 1 << 16, 8
+_GROUP_SHIFT = np.uint64(65 - GROUPS.bit_length())
 
 
 def _tokens(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -70,6 +77,28 @@ def _history(cls: np.ndarray, per_row: np.ndarray) -> np.ndarray:
     return one * CLASSES + two
 
 
+def _word_features(hashes: np.ndarray, cls: np.ndarray, per_row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of the group part's weights for each token: the previous word and the one before it, each with the token's class."""
+    one, two = np.full(len(hashes), END_HASH), np.full(len(hashes), END_HASH)
+    one[1:], two[2:] = hashes[:-1], hashes[:-2]
+    first = np.cumsum(per_row) - per_row
+    one[first] = two[first] = END_HASH
+    two[first[per_row > 1] + 1] = END_HASH
+    c = cls.astype(np.uint64)
+    return tuple((_text.mix(w * np.uint64(2 * k + 3) + c * np.uint64(0x9E3779B97F4A7C15) + np.uint64(k)) % np.uint64(FEATURES)).astype(np.int64) for k, w in enumerate((one, two)))
+
+
+def _log_groups(weights: np.ndarray, bias: np.ndarray, cls: np.ndarray, features: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """(tokens, GROUPS): log P(group | class, history) of tokens whose class (from 0 on) has groups."""
+    z = bias[cls] + weights[features[0]] + weights[features[1]]
+    z -= z.max(axis=1, keepdims=True)
+    return z - np.log(np.exp(z).sum(axis=1, keepdims=True))
+
+
+def _group(hashes: np.ndarray) -> np.ndarray:
+    return (hashes >> _GROUP_SHIFT).astype(np.int64)
+
+
 def word_counts(texts: DataFrame) -> DataFrame:
     """(word, ending, c) over all rows of texts(text): hash, ending class and count of each token."""
 
@@ -193,6 +222,56 @@ def train_classes(counts: DataFrame, steps: int = STEPS) -> tuple[np.ndarray, np
     return weights, bias
 
 
+def train_groups(texts: DataFrame, top: np.ndarray, rank: np.ndarray, bias: np.ndarray, steps: int = WORD_STEPS) -> np.ndarray:
+    """Weights of the group part: each step takes the gradient over its share of the texts, all of which have their turn."""
+    spark = texts.sparkSession
+    weights = np.zeros((FEATURES, GROUPS), dtype=np.float32)
+    dealt = texts.withColumn("turn", F.pmod(F.monotonically_increasing_id(), F.lit(steps)))
+    for step in range(steps):
+        sent = spark.sparkContext.broadcast((weights, bias.astype(np.float32)))
+
+        def gradient(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            w, b = sent.value
+            grad, mass = np.zeros((FEATURES, GROUPS), dtype=np.float32), np.zeros(FEATURES)
+            for batch in batches:
+                for _, _, data, offsets in _text.slices(batch.column(0), SLICE):
+                    hashes, ending, per_row = _tokens(data, offsets)
+                    cls = _classes(hashes, ending, top, rank)
+                    features = _word_features(hashes, cls, per_row)
+                    own = np.flatnonzero((cls >= TOP) & (cls < END))
+                    if not len(own):
+                        continue
+                    features = tuple(f[own] for f in features)
+                    g = -np.exp(_log_groups(w, b, cls[own] - TOP, features))
+                    g[np.arange(len(own)), _group(hashes[own])] += 1
+                    for f in features:
+                        order = np.argsort(f, kind="stable")
+                        head = np.flatnonzero(np.concatenate([[True], f[order][1:] != f[order][:-1]]))
+                        grad[f[order][head]] += np.add.reduceat(g[order], head, axis=0)
+                        mass += np.bincount(f, minlength=FEATURES)
+            yield from _sparse_rows(grad, mass)
+
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            grad, mass = np.zeros((FEATURES, GROUPS), dtype=np.float32), np.zeros(FEATURES)
+            for batch in batches:
+                f = batch.column(0).to_numpy()
+                np.add.at(grad, f, np.array([np.frombuffer(g, dtype=np.float32) for g in batch.column(1).to_pylist()]).reshape(len(f), GROUPS))
+                np.add.at(mass, f, batch.column(2).to_numpy())
+            yield from _sparse_rows(grad, mass)
+
+        out = "f long, g binary, m double"
+        grad, mass = np.zeros((FEATURES, GROUPS), dtype=np.float32), np.zeros(FEATURES)
+        found = dealt.where(F.col("turn") == step).select("text").mapInArrow(gradient, out).repartition(8, "f").mapInArrow(add, out).toArrow()  # at most one row for each feature
+        if found.num_rows:
+            at = found["f"].to_numpy()
+            grad[at] = np.frombuffer(b"".join(found["g"].to_pylist()), dtype=np.float32).reshape(-1, GROUPS)
+            mass[at] = found["m"].to_numpy()
+        # a step in the scale of each cell's expected count, small for features that few texts have
+        weights = np.clip(weights + np.clip(0.5 * grad / (mass[:, None] / GROUPS + 10.0), -0.5, 0.5), -4, 4).astype(np.float32)
+        sent.unpersist()
+    return weights
+
+
 @dataclass
 class HashedModel:
     """What scoring needs: all of it bounded but counts, which stays a table."""
@@ -205,7 +284,27 @@ class HashedModel:
     head_c: np.ndarray
     top: np.ndarray
     rank: np.ndarray
-    log_class: np.ndarray  # log10 P(class | history) - log10 of the class's mass
+    log_class: np.ndarray  # log10 P(class | history), less log10 of the class's mass where it has no groups
+    group_bias: np.ndarray
+    group_weights: np.ndarray
+    group_mass: np.ndarray  # log10 of the mass of (class, group)
+
+    def tables(self) -> tuple:
+        """What factors() needs."""
+        return self.top, self.rank, self.log_class, self.group_bias.astype(np.float32), self.group_weights, self.group_mass
+
+
+def factors(tables: tuple, hashes: np.ndarray, ending: np.ndarray, per_row: np.ndarray) -> np.ndarray:
+    """log10 P(token | history) - log10(c + ADD) of each token."""
+    top, rank, log_class, bias, weights, mass = tables
+    cls = _classes(hashes, ending, top, rank)
+    out = log_class[_history(cls, per_row), cls].astype(np.float64)
+    own = np.flatnonzero((cls >= TOP) & (cls < END))
+    if len(own):
+        group = _group(hashes[own])
+        features = tuple(f[own] for f in _word_features(hashes, cls, per_row))
+        out[own] += _log_groups(weights, bias, cls[own] - TOP, features)[np.arange(len(own)), group] / np.log(10) - mass[cls[own] - TOP, group]
+    return out
 
 
 def fit(texts: DataFrame, head_words: int = HEAD_WORDS, steps: int = STEPS) -> HashedModel:
@@ -227,39 +326,49 @@ def fit(texts: DataFrame, head_words: int = HEAD_WORDS, steps: int = STEPS) -> H
     rows = counts.where(F.col("c") >= floor).select("word", "c").toArrow()  # at most head_words rows of 16 bytes
     word = rows["word"].to_numpy().view(np.uint64)
     order = np.argsort(word)
-    # Mass of each class: its counts, ADD for each of its words, and ADD for one unseen word.
+    # Mass of each class and group: its counts, ADD for each of its words, and ADD for one unseen word.
     is_top = F.col("word").isin([int(x) for x in hashes.view(np.int64)]) if len(hashes) else F.lit(False)
     mass = np.full(CLASSES, ADD)
-    for r in counts.where(~is_top).groupBy("ending").agg(F.sum(F.col("c") + ADD).alias("m")).collect():
-        mass[r["ending"]] += r["m"]
+    parts = np.full((ENDINGS, GROUPS), ADD)
+    group = F.shiftrightunsigned("word", int(_GROUP_SHIFT)).cast("int")
+    for r in counts.where(~is_top).groupBy("ending", group.alias("g")).agg(F.sum(F.col("c") + ADD).alias("m")).collect():  # at most CLASSES * GROUPS rows
+        if r["ending"] == END:
+            mass[END] += r["m"]
+        else:
+            parts[r["ending"] - TOP, r["g"]] += r["m"]
     if len(hashes):
         own = {r["word"]: r["c"] for r in counts.where(is_top).select("word", "c").collect()}
         for k, h in enumerate(hashes.view(np.int64)):
             mass[k] = own[int(h)] + ADD
+    mass[TOP:END] = 1.0  # the groups carry it
     weights, bias = train_classes(history_counts(texts, top, rank), steps)
+    group_bias = np.log(parts / parts.sum(axis=1, keepdims=True))
+    group_weights = train_groups(texts, top, rank, group_bias)
     table = np.empty((CLASSES * CLASSES, CLASSES), dtype=np.float32)
     for i in range(0, len(table), 4096):
         at = np.arange(i, min(i + 4096, len(table)))
         table[at] = _log_softmax(weights, bias, at) / np.log(10) - np.log10(mass)
-    return HashedModel(counts, n, v, floor, word[order], rows["c"].to_numpy()[order], top, rank, table)
+    return HashedModel(counts, n, v, floor, word[order], rows["c"].to_numpy()[order], top, rank, table, group_bias, group_weights, np.log10(parts))
 
 
 def score(model: HashedModel, docs: DataFrame, keep: tuple[str, ...], text_col: str = "text") -> DataFrame:
     """The columns of keep with (n_tokens, n_known, train_tokens, base_score, score) for every row of docs."""
-    sent = docs.sparkSession.sparkContext.broadcast((model.head, np.log10(model.head_c + ADD), model.top, model.rank, model.log_class))
-    slim = docs.select(F.monotonically_increasing_id().alias("row_key"), *keep, F.col(text_col).alias("_body_"))
-    schema = slim.drop("_body_").schema
+    sent = docs.sparkSession.sparkContext.broadcast((model.head, np.log10(model.head_c + ADD), model.tables()))
+    key, body = "row_key", "body"
+    while key in keep or body in keep:
+        key, body = key + "_", body + "_"
+    slim = docs.select(F.monotonically_increasing_id().alias(key), *keep, F.col(text_col).alias(body))
+    schema = slim.drop(body).schema
     unseen = float(np.log10(ADD))
     width = len(keep) + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        head, logs, top, rank, log_class = sent.value
+        head, logs, tables = sent.value
         for batch in batches:
-            for i, j, data, offsets in _text.slices(batch.column(width)):
+            for i, j, data, offsets in _text.slices(batch.column(width), SLICE):
                 hashes, ending, per_row = _tokens(data, offsets)
                 row = np.repeat(np.arange(j - i), per_row)
-                cls = _classes(hashes, ending, top, rank)
-                factor = np.bincount(row, log_class[_history(cls, per_row), cls], j - i)
+                factor = np.bincount(row, factors(tables, hashes, ending, per_row), j - i)
                 word, back = np.unique(hashes, return_inverse=True)
                 if len(head):
                     at = np.minimum(np.searchsorted(head, word), len(head) - 1)
@@ -275,7 +384,7 @@ def score(model: HashedModel, docs: DataFrame, keep: tuple[str, ...], text_col:
                 tail = pa.ListArray.from_arrays(pa.array(ends), pa.array(hashes[rest].view(np.int64)))
                 yield pa.RecordBatch.from_arrays(
                     [*(batch.column(k).slice(i, j - i) for k in range(width)), pa.array(per_row.astype(np.int64)), pa.array(n_head), pa.array(sums), pa.array(factor), tail],
-                    names=["row_key", *keep, "n_tokens", "n_head", "sums", "factor", "tail"],
+                    names=[key, *keep, "n_tokens", "n_head", "sums", "factor", "tail"],
                 )
 
     out = schema
@@ -283,15 +392,15 @@ def score(model: HashedModel, docs: DataFrame, keep: tuple[str, ...], text_col:
         out = out.add(name, kind)
     parts = materialize(slim.mapInArrow(run, out), "scores")
     # Words outside the head: each text's own, counted per text first, meet their counts.
-    tail = parts.select("row_key", F.explode("tail").alias("word")).groupBy("row_key", "word").agg(F.count("*").alias("tf"))
+    tail = parts.select(key, F.explode("tail").alias("word")).groupBy(key, "word").agg(F.count("*").alias("tf"))
     rare = model.counts.where(F.col("c") < model.floor).select("word", "c")
-    met = tail.join(rare, "word", "left").groupBy("row_key").agg(
+    met = tail.join(rare, "word", "left").groupBy(key).agg(
         F.sum(F.when(F.col("c").isNotNull(), F.col("tf")).otherwise(0)).alias("tail_known"),
         F.sum(F.col("tf") * F.coalesce(F.log10(F.col("c") + ADD), F.lit(unseen))).alias("tail_sums"),
     )
     whole = F.col("sums") + F.coalesce("tail_sums", F.lit(0.0))
     base = float(np.log10(model.n + ADD * (model.v + 1)))
-    return parts.join(met, "row_key", "left").select(
+    return parts.join(met, key, "left").select(
         *keep,
         "n_tokens",
         (F.col("n_head") + F.coalesce("tail_known", F.lit(0))).alias("n_known"),

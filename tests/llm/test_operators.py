@@ -1,6 +1,7 @@
 """Training-data operators against brute force, round trips and edge cases."""
 
 import collections
+import dataclasses
 import hashlib
 import io
 import math
@@ -216,6 +217,40 @@ def test_language_model(spark, corpus):
         assert got[i]["n_known"] == sum(c[w] > 0 for w in tok(t)) and got[i]["n_tokens"] == len(tok(t)) and got[i]["train_tokens"] == n
 
 
+def test_language_model_is_a_distribution_and_learns(spark, corpus):
+    rng = random.Random(8)
+    after = {w: rng.sample(WORDS, 3) for w in WORDS}  # each word is followed by one of three
+
+    def chain(n):
+        out = [rng.choice(WORDS)]
+        while len(out) < n:
+            out.append(rng.choice(after[out[-1]]))
+        return " ".join(out)
+
+    train, held = [chain(60) for _ in range(1500)], [chain(60) for _ in range(40)]
+    model = langmodel.fit(docs_of(spark, train).select("text"))
+    got = langmodel.score(model, docs_of(spark, held).withColumn("row_key", F.lit(1)), ("doc_id", "row_key")).agg(F.sum("score").alias("s"), F.sum("base_score").alias("b"), F.sum("n_tokens").alias("n")).first()
+    assert got["s"] / got["n"] > got["b"] / got["n"] + 0.05
+    # without what the words' features learnt the held-out texts are less likely
+    plain = dataclasses.replace(model, group_weights=np.zeros_like(model.group_weights))
+    less = langmodel.score(plain, docs_of(spark, held), ("doc_id",)).agg(F.sum("score")).first()[0]
+    assert got["s"] > less
+    # over all words seen, and one unseen word in each group, probabilities after any history come to one
+    rows = model.counts.collect()
+    word = np.array([r["word"] for r in rows], dtype=np.int64).view(np.uint64)
+    ending, c = np.array([r["ending"] for r in rows]), np.array([r["c"] for r in rows])
+    unseen = [(np.uint64(g) << langmodel._GROUP_SHIFT, e) for g in range(langmodel.GROUPS) for e in range(langmodel.TOP, langmodel.END)]
+    word = np.concatenate([word, np.array([u for u, _ in unseen], dtype=np.uint64)])
+    ending, c = np.concatenate([ending, [e for _, e in unseen]]), np.concatenate([c, np.zeros(len(unseen))])
+    for a, b in ((0, 1), (5, 3), (7, 7)):
+        n = len(word)
+        hashes, ends = np.empty(3 * n, dtype=np.uint64), np.empty(3 * n, dtype=np.int64)
+        hashes[0::3], hashes[1::3], hashes[2::3] = word[a], word[b], word
+        ends[0::3], ends[1::3], ends[2::3] = ending[a], ending[b], ending
+        p = 10 ** langmodel.factors(model.tables(), hashes, ends, np.full(n, 3))[2::3] * (c + langmodel.ADD)
+        assert math.isclose(p.sum() + 10 ** langmodel.factors(model.tables(), np.array([word[a], word[b], langmodel.END_HASH]), np.array([ending[a], ending[b], langmodel.END]), np.array([3]))[2] * langmodel.ADD, 1, rel_tol=1e-4)
+
+
 def test_vectors(spark):
     rng = np.random.default_rng(4)
     base = rng.standard_normal((30, 24))
