@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from benchvary.functions.hashing import stable_bucket
-from benchvary.operators.edits import ADDED, canvas_side
+from benchvary.operators.edits import ADDED, LEXICON, PERSONAS, QUESTIONS, canvas_side
 from benchvary.sources.carriers import NO_AREA
 
 # Model, capacity, least share of the canvas in millionths, percent of words, percent of personas, cost of a sentence, gain of a fact.
@@ -23,8 +23,25 @@ EXTRA_MODEL = ("M10", 7, 3000, 95, 90, 3, 1)
 SENTENCES = 2
 
 
+#: Every word that names and their synonyms are made of.
+VOCABULARY = tuple(sorted({w for word, others in LEXICON.items() for w in (word, *others)}))
+
+
+def _knows_word(word: Column) -> Column:
+    return stable_bucket(100, "w", F.col("model"), word) < F.col("vocab")
+
+
+def _knows_persona(persona: Column, task: Column) -> Column:
+    return stable_bucket(100, "p", F.col("model"), persona, task) < F.col("personas")
+
+
 def model_table(spark: SparkSession, models: tuple = MODELS) -> DataFrame:
-    return spark.createDataFrame(list(models), "model string, cap int, floor_ppm int, vocab int, personas int, noise_cost int, hint_gain int")
+    """Models with what each one knows (words; personas by task): worked out here once, not again for every item."""
+    df = spark.createDataFrame(list(models), "model string, cap int, floor_ppm int, vocab int, personas int, noise_cost int, hint_gain int")
+    words = F.array(*[F.lit(w) for w in VOCABULARY])
+    forms = F.array(*[F.struct(F.lit(p).alias("p"), F.lit(t).alias("t")) for p in PERSONAS for t in QUESTIONS])
+    rows = df.withColumns({"words": F.filter(words, _knows_word), "forms": F.transform(F.filter(forms, lambda x: _knows_persona(x["p"], x["t"])), lambda x: F.concat_ws("|", x["p"], x["t"]))}).collect()  # one row a model
+    return spark.createDataFrame(rows, "model string, cap int, floor_ppm int, vocab int, personas int, noise_cost int, hint_gain int, words array<string>, forms array<string>")
 
 
 def spec_table(spark: SparkSession, specs: tuple) -> DataFrame:
@@ -34,14 +51,16 @@ def spec_table(spark: SparkSession, specs: tuple) -> DataFrame:
 
 def answers(edited: DataFrame, specs: DataFrame, models: DataFrame) -> DataFrame:
     """(model, variant_id, item_id, benchmark, task, sees, correct): items times two small tables, with no shuffle."""
-    known = lambda col: stable_bucket(100, "w", F.col("model"), F.col(col)) < F.col("vocab")
+    listed = lambda w: w.isin(*VOCABULARY)
+    known = lambda col: F.when(listed(F.col(col)), F.array_contains("words", F.col(col))).otherwise(_knows_word(F.col(col)))
+    form = F.concat_ws("|", "persona", "task")
     rows = edited.crossJoin(F.broadcast(models)).withColumns(
         {
             "knows_words": known("swap1") & known("swap2"),
-            "knows_persona": stable_bucket(100, "p", F.col("model"), F.col("persona"), F.col("task")) < F.col("personas"),
+            "knows_persona": F.when(F.col("persona").isin(*PERSONAS) & F.col("task").isin(*QUESTIONS), F.array_contains("forms", form)).otherwise(_knows_persona(F.col("persona"), F.col("task"))),
             "guess": (stable_bucket(F.col("n_options"), "g", F.col("model"), F.col("item_id")) == F.col("answer")).cast("int"),
         }
-    )
+    ).drop("words", "forms")
     rows = rows.crossJoin(F.broadcast(specs))
     added = (F.col("v1") == 1) & (F.col("v1_fallback") == 0) & (F.lit(ADDED * ADDED) > F.col("least_area"))
     removed = (F.col("v2") == 1) & (F.col("v2_fallback") == 0) & (F.col("v2_rank") < F.col("worst_rank"))

@@ -207,7 +207,7 @@ ORACLE: dict[str, str] = {
     "task_breakdown": _scores(compose.EXTREMES, "it", by="model, task, variant_id") + " SELECT task, variant_id, round(avg(accuracy), 4) AS mean_accuracy FROM scores GROUP BY ALL",
     "fluctuation_by_level": _scores(compose.SINGLE_TEXT) + _DELTA + f" SELECT strategy, level, round(avg(abs(delta)), 4) AS mean_abs, round(quantile_cont(abs(delta), 0.5), 4) AS median_abs FROM deltas JOIN {_REGISTRY} ON strategy = variant_id GROUP BY ALL",
     "leaderboard": _scores(compose.SINGLE_IMAGE) + " SELECT model, benchmark, variant_id, accuracy, rank() OVER (PARTITION BY benchmark, variant_id ORDER BY accuracy DESC)::INT AS place FROM scores",
-    "score_cube": _scores(compose.EXTREMES) + " SELECT model, benchmark, variant_id, count(*) AS n, sum(correct)::BIGINT AS \"right\" FROM ans GROUP BY CUBE (model, benchmark, variant_id)",
+    "score_cube": _scores(compose.EXTREMES, "it") + " SELECT model, benchmark, variant_id, count(*) AS n, sum(correct)::BIGINT AS \"right\" FROM ans GROUP BY CUBE (model, benchmark, variant_id)",
     "scores_wide": _scores(compose.SINGLE_IMAGE) + " SELECT model, benchmark, " + ", ".join(f"max(accuracy) FILTER (variant_id = '{v}') AS \"{v}\"" for v in ("vanilla", "V1", "V2", "V3")) + " FROM scores GROUP BY ALL",
     "score_ci": _scores(compose.SINGLE_IMAGE) + " SELECT *, round(196.0 * sqrt(accuracy / 100 * (1 - accuracy / 100) / n), 4) AS half_width FROM scores",
     "op_asof_answers": "SELECT event_id, lag(event_id) OVER w AS before_id, round(lag(value) OVER w, 6) AS before_value FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from benchvary.functions.hashing import stable_bucket
-from benchvary.functions.text import boxes_overlap, cosine, normalize_answer, token_f1, word_shingles
+from benchvary.functions.text import boxes_overlap, cosine, normalize_answer, token_f1
 from benchvary.operators import answering as A
 from benchvary.operators import contamination as C
 from benchvary.operators import edits as E
@@ -86,7 +86,7 @@ def _captions(spark, d):
     n_docs = docs.select("doc_id").distinct().count()
     items_ = read_table(spark, d, "benchmark").select("item_id", F.col("text").alias("item"))
     n_items = items_.count()
-    holds = docs.join(F.broadcast(items_), F.contains("text", "item")).groupBy("item_id").agg(F.min("doc_id").alias("held_by"))
+    holds = C.verbatim_overlap(docs, items_.withColumnRenamed("item", "text")).groupBy("item_id").agg(F.min("doc_id").alias("held_by"))
     t = S.train_vectors(spark, d).select("train_id", "planted_from", F.substring("train_id", 2, 20).cast("long").alias("vec"))
     t = t.withColumn("item_id", F.when(F.col("planted_from").isNotNull(), F.floor(F.col("planted_from") / 5) % n_items))
     t = t.join(F.broadcast(holds), "item_id", "left").withColumn("doc_id", F.coalesce("held_by", F.col("vec") % n_docs))
@@ -205,15 +205,12 @@ def contam_reduction(spark, d):
 
 @query
 def text_overlap_verbatim(spark, d):
-    items_ = read_table(spark, d, "benchmark").select("item_id", F.col("text").alias("item"))
-    return read_table(spark, d, "documents").select("doc_id", "text").join(F.broadcast(items_), F.contains("text", "item")).select("item_id", "doc_id")
+    return C.verbatim_overlap(read_table(spark, d, "documents"), read_table(spark, d, "benchmark"))
 
 
 @query
 def text_overlap_shingle(spark, d):
-    items_ = read_table(spark, d, "benchmark").select("item_id", F.explode(word_shingles(F.col("text"), 8)).alias("s"))
-    docs = read_table(spark, d, "documents").select("doc_id", F.explode(word_shingles(F.col("text"), 8)).alias("s"))
-    return docs.join(F.broadcast(items_), "s").groupBy("item_id", "doc_id").agg(F.count_distinct("s").alias("shared"))
+    return C.shared_runs(read_table(spark, d, "documents"), read_table(spark, d, "benchmark"), 8)
 
 
 @query
@@ -660,7 +657,7 @@ def variant_distance(spark, d):
 
 @query
 def score_cube(spark, d):
-    a = A.answers(E.edited(S.sampled(S.items(spark, d))), A.spec_table(spark, P.EXTREMES), A.model_table(spark))
+    a = A.answers(E.edited(S.items(spark, d)), A.spec_table(spark, P.EXTREMES), A.model_table(spark))
     return a.cube("model", "benchmark", "variant_id").agg(F.count("*").alias("n"), F.sum("correct").cast("long").alias("right"))
 
 

@@ -42,7 +42,7 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/benchvary/{name}-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/benchvary/{spark.sparkContext.applicationId}/{name}-{uuid.uuid4().hex}"
 
 
 #: Whether shuffle files go with the execution that made them; absent in older releases of Spark.
@@ -78,3 +78,9 @@ def forget(df: DataFrame) -> None:
     for parent in {os.path.dirname(f) for f in df.inputFiles() if "/benchvary/" in f}:
         path = jvm.org.apache.hadoop.fs.Path(parent)
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def clean_up(spark: SparkSession) -> None:
+    """Delete every intermediate table of this application; results that were not written elsewhere go with them."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/benchvary/{spark.sparkContext.applicationId}")
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)

@@ -74,12 +74,12 @@ def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def running_contamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Training vectors arrive as a stream; the best similarity of each evaluation vector is kept up to date."""
-    from benchvary.functions.text import cosine
+    from benchvary.operators.contamination import similar_pairs
     from benchvary.sources.carriers import eval_vectors
 
-    evals = eval_vectors(spark, sf_dir).select("eval_id", "ev")
-    t = source(spark, sf_dir, "embeddings").where("vec_id % 5 <> 0").select(F.col("embedding").cast("array<double>").alias("tv"))
-    best = t.join(F.broadcast(evals)).groupBy("eval_id").agg(F.round(F.max(cosine(F.col("ev"), F.col("tv"))), 6).alias("sim"))
+    t = source(spark, sf_dir, "embeddings").where("vec_id % 5 <> 0").select(F.col("vec_id").cast("string").alias("train_id"), F.col("embedding").cast("array<double>").alias("tv"))
+    found = similar_pairs(eval_vectors(spark, sf_dir).select("eval_id", "ev"), t, 2.0, True)
+    best = found.groupBy("eval_id").agg(F.round(F.max("sim"), 6).alias("sim"))
     return drained(best, "running", "complete")
 
 

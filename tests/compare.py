@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import os
 import sys
 import time
 
@@ -50,7 +51,7 @@ if __name__ == "__main__":
     import __spark_entry__ as entry
     from benchvary.session import local_session
 
-    spark, con, sf_dir = local_session(), connect(sys.argv[1]), sys.argv[1]
+    spark, con, sf_dir = local_session(os.environ.get("TEST_CPUS", "8")), connect(sys.argv[1]), sys.argv[1]
     q, sql = entry.queries(), entry.oracle_sql()
     for name in sys.argv[2:] or sql:
         began = time.time()

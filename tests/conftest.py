@@ -13,7 +13,7 @@ SF = "/root/testdata/sf0.001"
 def spark():
     from benchvary.session import local_session
 
-    return local_session("8")
+    return local_session(os.environ.get("TEST_CPUS", "8"))
 
 
 @pytest.fixture(scope="session")
