@@ -28,7 +28,7 @@ from benchvary.session import materialize
 WINDOW = 1024
 SEPARATOR_ID = 0
 #: Chunks of text whose ids a Python worker keeps; then it starts anew.
-CACHE_ENTRIES = 800_000
+CACHE_ENTRIES = 250_000
 
 #: A space beside other white space: there the text can't be split at single spaces.
 _NOT_ISOLATED = re.compile(r"\s | \s")

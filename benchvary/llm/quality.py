@@ -24,6 +24,8 @@ from benchvary.llm import _text
 
 #: Bound of the sample of labelled rows that the ensemble is fitted on.
 SAMPLE_ROWS = 20_000
+#: Bytes of text handled at once.
+SLICE = 512 << 10
 STATISTICS = ("n_words", "word_len", "distinct_words", "top_word", "letters", "upper", "digits", "marks", "symbols", "line_len", "repeated_lines", "short_words")
 
 _CLASS = {
@@ -38,7 +40,7 @@ _CLASS = {
 def _statistics(column: pa.Array) -> np.ndarray:
     """A row of STATISTICS for each text."""
     out = []
-    for i, j, data, offsets in _text.slices(column):
+    for i, j, data, offsets in _text.slices(column, SLICE):
         n = j - i
         size = np.maximum(np.diff(offsets), 1).astype(float)
         f = {k: np.zeros(n) for k in STATISTICS}
@@ -80,16 +82,24 @@ def _statistics(column: pa.Array) -> np.ndarray:
     return np.concatenate(out) if out else np.zeros((0, len(STATISTICS)))
 
 
-def text_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), keep_text: bool = False) -> DataFrame:
-    """The columns of keep, and the text if asked, with the statistics as doubles named q_<statistic>."""
-    names = [*keep, *([text_col] if keep_text and text_col not in keep else [])]
-    schema = docs.select(*names).schema
-    slim = docs.select(*names, F.col(text_col).alias("_body_" * (1 + max(map(len, names), default=0))))
+def text_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), within: str | None = None) -> DataFrame:
+    """The columns of keep with the statistics as doubles named q_<statistic>.
+
+    within: a struct column of keep that holds the text; it then travels once. Null texts count as empty.
+    """
+    body = text_col
+    while body in keep:
+        body += "_"
+    schema = docs.select(*keep).schema
+    slim = docs.select(*keep) if within else docs.select(*keep, F.col(text_col).alias(body))
+    at = keep.index(within) if within else len(keep)
+    place = schema[within].dataType.names.index(text_col) if within else 0
+    names = [*keep, *(f"q_{k}" for k in STATISTICS)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            stats = _statistics(batch.column(len(names)))
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(len(names))), *(pa.array(stats[:, k]) for k in range(len(STATISTICS)))], names=[*names, *(f"q_{k}" for k in STATISTICS)])
+            stats = _statistics(batch.column(at).field(place) if within else batch.column(at))
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(len(keep))), *(pa.array(stats[:, k]) for k in range(len(STATISTICS)))], names=names)
 
     out = schema
     for k in STATISTICS:

@@ -411,3 +411,44 @@ def test_word_hashes_do_not_depend_on_place():
         return _text.words(data, offsets)[0].tolist()
 
     assert hashes(["Ab cd", "cd aB"]) == [*hashes(["ab cd"]), *hashes(["cd ab"])]
+
+
+def edge_documents(spark):
+    rows = [(1, None, "x", 1), (2, "", "x", 1), (3, "a b c d e f g " * 40, "x", 1), (3, "a b c d e f g " * 40, "x", 1), (4, prose(300), "x", 1), (5, "w " * 30_000, "x", 1), (6, prose(90), None, None), (6, prose(90), "x", 2)]
+    return spark.createDataFrame(rows, "doc_id long, text string, document string, q_n_words int").withColumns({c: F.lit(7) for c in ("text_key", "node", "_secret_spans", "row_key", "label")})
+
+
+def test_pipeline_stages_on_edge_cases(spark, sf):
+    docs = edge_documents(spark)
+    kept = corpus_pipeline.filter_quality(spark, docs, sf)
+    assert kept.columns == docs.columns and kept.count() == 8  # none of these is labelled: nothing is rejected
+    similar = corpus_pipeline.keep_one_of_similar(spark, docs, sf)
+    assert similar.columns == docs.columns and sorted(r["doc_id"] for r in similar.select("doc_id").collect()) == [1, 2, 3, 4, 5, 6, 6]
+    clear = corpus_pipeline.drop_leaks(spark, docs, sf)
+    assert clear.columns == docs.columns and clear.count() == 8
+    redacted = corpus_pipeline.redact_secrets(spark, docs.withColumn("text", F.concat("text", F.lit(" token=abcdef1"))), sf)
+    assert redacted.columns == docs.columns and redacted.where("text like '%abcdef1%'").isEmpty() and redacted.where("text is null").count() == 1
+    packed = corpus_pipeline.pack_sequences(spark, docs, sf).groupBy("doc_id").agg(F.sum("length").alias("n")).collect()
+    assert {r["doc_id"] for r in packed} == {1, 2, 3, 4, 5, 6} and {r["doc_id"]: r["n"] for r in packed}[1] == 1
+    none = docs.limit(0)
+    for name, stage in corpus_pipeline.STAGES:
+        assert stage(spark, none, sf).isEmpty(), name
+
+
+def test_similar_stage_against_brute_force(spark, sf, corpus):
+    docs = docs_of(spark, corpus)
+    sets = word_sets(corpus, 5)
+    want = roots(len(sets), [(i, j) for i in range(len(sets)) for j in range(i) if sets[i] and 100 * len(sets[i] & sets[j]) >= 80 * len(sets[i] | sets[j])])
+    got = {r["doc_id"] for r in corpus_pipeline.keep_one_of_similar(spark, docs, sf).select("doc_id").collect()}
+    assert got == {i for i, w in enumerate(want) if i == w}
+
+
+def test_held_out_rows_teach_nothing(spark, sf):
+    labels = spark.read.parquet(f"{sf}/labels.parquet")
+    got = queries.op2_quality(spark, sf)
+    held = langmodel.held_out("doc_id", 4, 2)
+    wrong = got.where(got.held_out != held)
+    odd = got.where("score is null or score < 0 or score > 1 or predicted != cast(score >= 0.7 as int)")
+    assert wrong.isEmpty() and odd.isEmpty()
+    share = got.where("held_out").join(labels, "doc_id").agg(F.avg((F.col("predicted") == F.col("quality")).cast("double"))).first()[0]
+    assert share > 0.9
