@@ -35,8 +35,8 @@ def filter_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     model = quality.train(stats, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     forget(stats)
     row = _free(docs, "document")
-    whole = docs.select("doc_id", "text", F.struct(*docs.columns).alias(row))
-    return quality.text_statistics(whole, keep=("doc_id", row)).where(model.score() >= LEAST_QUALITY).select(f"{row}.*")
+    whole = docs.select(F.struct(*docs.columns).alias(row))
+    return quality.text_statistics(whole, keep=(row,), within=row).where(model.score() >= LEAST_QUALITY).select(f"{row}.*")
 
 
 def keep_one_of_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
