@@ -35,6 +35,8 @@ GRAM = 64
 TOGETHER = 16_384
 #: Bytes of windows that one suffix array takes, unless a single anchor has more.
 ARRAY_BYTES = 256 << 10
+#: Strings that are compared together.
+STRINGS = 100_000
 #: Stands behind each window; it is no byte of UTF-8.
 END = np.uint8(255)
 #: Bytes of text whose windows are found at once.
@@ -46,7 +48,8 @@ _SYMBOL = _text.mix(np.arange(256, dtype=np.uint64) + np.uint64(977))
 def _sorted_starts(data: np.ndarray, starts: np.ndarray, depth: int) -> np.ndarray:
     """Starts in the order of the first depth bytes from there, a shorter suffix first; ties only among equal bytes.
 
-    Eight bytes at a time decide; only starts that are still tied go on, and equal strings of full depth are sorted once.
+    The first eight bytes decide for most; starts that are still tied are compared as strings, so many at a time. Equal
+    strings of full depth are sorted once.
     """
     starts = starts[::-1]
     h, inv = _text.prefix_hashes(data)
@@ -54,22 +57,23 @@ def _sorted_starts(data: np.ndarray, starts: np.ndarray, depth: int) -> np.ndarr
     key = (h[full + depth] - h[full]) * inv[full]
     _, one, back = np.unique(key, return_index=True, return_inverse=True)
     order = np.concatenate([starts[starts + depth > len(data)], full[one]])
-    padded = np.concatenate([data, np.zeros(depth + 16, dtype=np.uint8)])
+    padded = np.concatenate([data, np.zeros(16, dtype=np.uint8)])
     words = np.ndarray((len(padded) - 8,), dtype=">u8", buffer=padded.data, strides=(1,))
-    slots, group = np.arange(len(order)), np.zeros(len(order), dtype=np.int64)
-    for at in range(0, depth, 8):
-        if not len(slots):
-            break
-        own = order[slots]
-        value = words[own + at].astype(np.uint64)
-        turn = np.lexsort((value, group))
-        order[slots], value = own[turn], value[turn]
-        new = np.ones(len(slots), dtype=bool)
-        new[1:] = (value[1:] != value[:-1]) | (group[1:] != group[:-1])
-        heads = np.flatnonzero(new)
-        size = np.diff(np.append(heads, len(slots)))
-        tied = np.repeat(size > 1, size)
-        slots, group = slots[tied], np.repeat(np.arange(len(heads)), size)[tied]
+    value = words[order].astype(np.uint64)
+    turn = np.argsort(value, kind="stable")
+    order, value = order[turn], value[turn]
+    heads = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]])) if len(order) else np.zeros(0, dtype=np.int64)
+    size = np.diff(np.append(heads, len(order)))
+    tied = np.flatnonzero(np.repeat(size > 1, size))
+    text = data.tobytes().decode("latin-1")  # one character for each byte, in the same order
+    ends = np.cumsum(size[size > 1])
+    at = 0
+    while at < len(tied):
+        to = int(ends[np.searchsorted(ends, min(at + STRINGS, len(tied)))])  # whole groups
+        own = order[tied[at:to]].tolist()
+        strings = [text[i : i + depth] for i in own]
+        order[tied[at:to]] = [own[k] for k in sorted(range(len(own)), key=strings.__getitem__)]
+        at = to
     # put the equal strings beside their representative
     alike = np.argsort(back, kind="stable")
     first = np.concatenate([[0], np.cumsum(np.bincount(back, minlength=len(one)))])
@@ -149,9 +153,11 @@ def common_prefixes(data: np.ndarray, order: np.ndarray, most: int) -> np.ndarra
 
 def _confirmed(data: np.ndarray, a: np.ndarray, b: np.ndarray, length: int) -> np.ndarray:
     """Which of the pairs of starts have equal strings, byte by byte; pairs that move on together are compared at once."""
+    if not len(a):
+        return np.zeros(0, dtype=bool)
     order = np.argsort(a, kind="stable")
     x, y = a[order], b[order]
-    head = np.flatnonzero(np.concatenate([[True], (x[1:] != x[:-1] + 1) | (y[1:] != y[:-1] + 1)])) if len(x) else np.zeros(0, dtype=np.int64)
+    head = np.flatnonzero(np.concatenate([[True], (x[1:] != x[:-1] + 1) | (y[1:] != y[:-1] + 1)]))
     ok = np.ones(len(x), dtype=bool)
     raw = data.tobytes()
     for i, j in zip(head.tolist(), [*head[1:].tolist(), len(x)], strict=True):
@@ -240,7 +246,7 @@ def _windows(docs: DataFrame, least: int, length: int) -> DataFrame:
                     names=["doc_id", "text_key", "anchor", "win", "start", "n_starts", "size"],
                 )
 
-    return docs.mapInArrow(run, "doc_id long, text_key int, anchor long, win long, start int, n_starts int, size int")
+    return docs.mapInArrow(_text.released(run), "doc_id long, text_key int, anchor long, win long, start int, n_starts int, size int")
 
 
 def _cut_out(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -280,7 +286,7 @@ def _by_suffixes(windows: DataFrame, lengths: tuple[int, ...]) -> DataFrame:
             yield from solve(held)
 
     dealt = windows.select("anchor", "many", "doc_id", "text_key", "start", "n_starts", "body").repartition("anchor").sortWithinPartitions("anchor")
-    return dealt.mapInArrow(run, _FOUND)
+    return dealt.mapInArrow(_text.released(run), _FOUND)
 
 
 def _by_counts(windows: DataFrame, length: int, short: bool) -> DataFrame:
@@ -299,7 +305,7 @@ def _by_counts(windows: DataFrame, length: int, short: bool) -> DataFrame:
                     keys.append(pa.array(_text.mix((h[length : length + n] - h[:n]) * inv[:n]).view(np.int64)))
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(n, doc)), pa.array(np.full(n, key, dtype=np.int32)), pa.array((start + np.arange(n)).astype(np.int32)), *keys], names=["doc_id", "text_key", "start", "k1", "k2"])
 
-    strings = windows.select("doc_id", "text_key", "start", "n_starts", "body").mapInArrow(run, "doc_id long, text_key int, start int, k1 long, k2 long")
+    strings = windows.select("doc_id", "text_key", "start", "n_starts", "body").mapInArrow(_text.released(run), "doc_id long, text_key int, start int, k1 long, k2 long")
     often = strings.groupBy("k1", "k2").agg(F.count("*").alias("n")).where("n > 1").select(F.bitwise_not("k1").alias("w"), "k2")
     return strings.withColumn("w", F.bitwise_not("k1")).join(often, ["w", "k2"]).select("doc_id", "text_key", "start", F.lit(1).alias("n_starts"), F.lit(short).alias("short"))
 
@@ -370,4 +376,4 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, report: int | None = N
                 )
 
     joined = slim.join(per_doc, ["doc_id", "text_key"], "left").select("doc_id", "text", "marks")
-    return joined.mapInArrow(cut, "doc_id long, n_bytes long, spans array<struct<start:long,end:long>>, kept binary, n_reported long")
+    return joined.mapInArrow(_text.released(cut), "doc_id long, n_bytes long, spans array<struct<start:long,end:long>>, kept binary, n_reported long")

@@ -171,6 +171,11 @@ def test_popular_anchor_counts_alike(spark, corpus, monkeypatch):
     assert result() == want
 
 
+def test_bodies_without_repeats():
+    first, hits = suffix_dedup.repeated_starts([np.frombuffer(prose(100).encode(), dtype=np.uint8)[:300], np.frombuffer(prose(90).encode(), dtype=np.uint8)[:280]], [100, 80], (200, 150))
+    assert not any(h.any() for h in hits) and first.tolist() == [0, 301]
+
+
 def test_suffix_array():
     rng = np.random.default_rng(2)
     for n in (1, 2, 7, 60, 300):
