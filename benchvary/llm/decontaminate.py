@@ -122,7 +122,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
         rows.sort(key=lambda r: (r["i"] is None, r["i"] or 0, r["t"] or ""))
         items = Items.of([r["i"] if r["i"] is not None else -1 for r in rows], [r["t"] for r in rows], ngram)
         if len(items.grams) or items.short:
-            found.append(slim.mapInArrow(_searcher(docs.sparkSession.sparkContext.broadcast(items), ngram, least_score), schema))
+            found.append(slim.mapInArrow(_text.released(_searcher(docs.sparkSession.sparkContext.broadcast(items), ngram, least_score)), schema))
     if not found:
         return docs.sparkSession.createDataFrame([], schema)
     out = found[0]

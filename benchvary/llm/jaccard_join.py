@@ -98,7 +98,7 @@ def shingle_classes(texts: DataFrame, n_words: int) -> np.ndarray:
 
     out = "part long, n binary"
     cells = np.zeros((CELLS // TOGETHER, TOGETHER), dtype=np.int64)
-    for r in texts.mapInArrow(count, out).repartition(8, "part").mapInArrow(add, out).collect():  # CELLS / TOGETHER rows
+    for r in texts.mapInArrow(_text.released(count), out).repartition(8, "part").mapInArrow(add, out).collect():  # CELLS / TOGETHER rows
         cells[r["part"]] = np.frombuffer(r["n"], dtype="<i8")
     over = cells.ravel() / max(cells.mean(), 1)
     return np.clip(np.log2(np.maximum(over, 1)), 0, 15).astype(np.uint8)
@@ -145,7 +145,7 @@ def shingle_sets(docs: DataFrame, n_words: int, num: int, den: int, classes: Bro
                 )
 
     out = "doc_id long, text_key long, n_shingles long, k1 long, k2 long, head array<long>, wide binary, " + ", ".join(f"{c} long" for c in SKETCH)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("text_key")).mapInArrow(run, out)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("text_key")).mapInArrow(_text.released(run), out)
 
 
 def _with_nodes(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -168,7 +168,7 @@ def _whole_sets(docs: DataFrame, wanted: DataFrame, n_words: int, id_col: str, t
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), _lists(own, n)], names=["node", "tokens"]).filter(right)
 
     texts = _with_nodes(docs, wanted, id_col, text_col).select("node", "k1", "text")
-    return texts.mapInArrow(run, "node long, tokens array<long>").dropDuplicates(["node"])
+    return texts.mapInArrow(_text.released(run), "node long, tokens array<long>").dropDuplicates(["node"])
 
 
 def _similar(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
@@ -194,7 +194,7 @@ def _plausible(pairs: DataFrame, heads: DataFrame, num: int, den: int) -> DataFr
 
     left = heads.select(F.col("node").alias("a"), F.col("size").alias("na"), F.col("wide").alias("wa"))
     right = heads.select(F.col("node").alias("b"), F.col("size").alias("nb"), F.col("wide").alias("wb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(run, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "na", "nb", "wa", "wb").mapInArrow(_text.released(run), "a long, b long")
 
 
 def _fits(num: int, den: int, room: Column | None = None) -> Column:
@@ -238,7 +238,7 @@ def _combined(heads: DataFrame, frequent: DataFrame, k: int, num: int, den: int)
                 yield pa.RecordBatch.from_arrays([pa.array(both.view(np.int64)), pa.array(np.full(len(at), node)), pa.array(at.astype(np.int32))], names=["key", "node", "pos"])
 
     rows = heads.join(own, "node")
-    return rows.select("node", "size", "head", "hot").mapInArrow(run, "key long, node long, pos int").join(heads.select("node", "size", *SKETCH), "node")
+    return rows.select("node", "size", "head", "hot").mapInArrow(_text.released(run), "key long, node long, pos int").join(heads.select("node", "size", *SKETCH), "node")
 
 
 def _open_keys(keys: DataFrame, comp: DataFrame) -> DataFrame:

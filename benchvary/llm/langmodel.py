@@ -125,7 +125,7 @@ def word_counts(texts: DataFrame) -> DataFrame:
         if held:
             yield flush()
 
-    return texts.mapInArrow(run, "word long, ending int, c long").groupBy("word").agg(F.first("ending").alias("ending"), F.sum("c").alias("c"))
+    return texts.mapInArrow(_text.released(run), "word long, ending int, c long").groupBy("word").agg(F.first("ending").alias("ending"), F.sum("c").alias("c"))
 
 
 def history_counts(texts: DataFrame, top: np.ndarray, rank: np.ndarray) -> DataFrame:
@@ -144,7 +144,7 @@ def history_counts(texts: DataFrame, top: np.ndarray, rank: np.ndarray) -> DataF
             at = found[i : i + 100_000]
             yield pa.RecordBatch.from_arrays([pa.array((at // CLASSES).astype(np.int32)), pa.array((at % CLASSES).astype(np.int32)), pa.array(cells[at])], names=["history", "cls", "n"])
 
-    return texts.mapInArrow(run, "history int, cls int, n long").groupBy("history", "cls").agg(F.sum("n").alias("n"))
+    return texts.mapInArrow(_text.released(run), "history int, cls int, n long").groupBy("history", "cls").agg(F.sum("n").alias("n"))
 
 
 def _features(history: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -211,7 +211,7 @@ def train_classes(counts: DataFrame, steps: int = STEPS) -> tuple[np.ndarray, np
 
         out = "f long, g binary, m double"
         grad, mass = np.zeros(size), np.ones(size[0])
-        for r in rows.mapInArrow(gradient, out).repartition(8, "f").mapInArrow(add, out).collect():  # at most one row for each feature
+        for r in rows.mapInArrow(_text.released(gradient), out).repartition(8, "f").mapInArrow(add, out).collect():  # at most one row for each feature
             grad[r["f"]] = np.frombuffer(r["g"], dtype=np.float32)
             mass[r["f"]] = r["m"]
         expected = mass[:, None] * prior + 50.0
@@ -261,7 +261,7 @@ def train_groups(texts: DataFrame, top: np.ndarray, rank: np.ndarray, bias: np.n
 
         out = "f long, g binary, m double"
         grad, mass = np.zeros((FEATURES, GROUPS), dtype=np.float32), np.zeros(FEATURES)
-        found = dealt.where(F.col("turn") == step).select("text").mapInArrow(gradient, out).repartition(8, "f").mapInArrow(add, out).toArrow()  # at most one row for each feature
+        found = dealt.where(F.col("turn") == step).select("text").mapInArrow(_text.released(gradient), out).repartition(8, "f").mapInArrow(add, out).toArrow()  # at most one row for each feature
         if found.num_rows:
             at = found["f"].to_numpy()
             grad[at] = np.frombuffer(b"".join(found["g"].to_pylist()), dtype=np.float32).reshape(-1, GROUPS)
@@ -390,7 +390,7 @@ def score(model: HashedModel, docs: DataFrame, keep: tuple[str, ...], text_col:
     out = schema
     for name, kind in (("n_tokens", "long"), ("n_head", "long"), ("sums", "double"), ("factor", "double"), ("tail", T.ArrayType(T.LongType()))):
         out = out.add(name, kind)
-    parts = materialize(slim.mapInArrow(run, out), "scores")
+    parts = materialize(slim.mapInArrow(_text.released(run), out), "scores")
     # Words outside the head: each text's own, counted per text first, meet their counts.
     tail = parts.select(key, F.explode("tail").alias("word")).groupBy(key, "word").agg(F.count("*").alias("tf"))
     rare = model.counts.where(F.col("c") < model.floor).select("word", "c")

@@ -23,6 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from benchvary.llm import _text
 from benchvary.session import materialize
 
 WINDOW = 1024
@@ -129,7 +130,7 @@ def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text
                 )
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(
-        run, "doc_id long, n_tokens long, ids binary, part long, part_start long"
+        _text.released(run), "doc_id long, n_tokens long, ids binary, part long, part_start long"
     )
 
 
@@ -165,7 +166,7 @@ def concatenate_and_cut(docs: DataFrame, window: int = WINDOW, tokenizer_path: s
             if out:
                 yield _pieces(out)
 
-    return table.select("doc_id", "n_tokens", "ids", "part", "part_start").mapInArrow(cut, "doc_id long, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long")
+    return table.select("doc_id", "n_tokens", "ids", "part", "part_start").mapInArrow(_text.released(cut), "doc_id long, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long")
 
 
 def _pieces(rows: list[tuple]) -> pa.RecordBatch:

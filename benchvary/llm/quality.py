@@ -104,7 +104,7 @@ def text_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ..
     out = schema
     for k in STATISTICS:
         out = out.add(f"q_{k}", "double")
-    return slim.mapInArrow(run, out)
+    return slim.mapInArrow(_text.released(run), out)
 
 
 @dataclass
