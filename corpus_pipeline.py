@@ -25,6 +25,15 @@ def _free(docs: DataFrame, name: str) -> str:
     return name
 
 
+#: Most rows (of ids and text keys) that are sent to every executor; more are joined.
+SENT_ROWS = 1 << 19
+
+
+def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """docs without the rows that gone, a written table, names by all its columns."""
+    return docs.join(F.broadcast(gone) if gone.count() <= SENT_ROWS else gone, gone.columns, "left_anti")
+
+
 def filter_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble doesn't reject; it is fitted on this stage's own labelled documents.
 
@@ -46,8 +55,8 @@ def keep_one_of_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
     """
     groups = materialize(jaccard_join.similar_groups(docs, n_words=5, threshold=(80, 100)), "groups")
     key = _free(docs, "text_key")
-    gone = groups.where("component_id != doc_id").select("doc_id", F.col("text_key").alias(key)).distinct()
-    kept = docs.withColumn(key, F.xxhash64("text")).join(gone, ["doc_id", key], "left_anti")
+    gone = materialize(groups.where("component_id != doc_id").select("doc_id", F.col("text_key").alias(key)).distinct(), "gone")
+    kept = _without(docs.withColumn(key, F.xxhash64("text")), gone)
     again = groups.where("component_id = doc_id").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
     if not again.isEmpty():
         kept = kept.join(again, "doc_id", "left_anti").unionByName(kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id", key]))
@@ -57,7 +66,7 @@ def keep_one_of_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a benchmark passage; an id with one goes with all its rows."""
     leaks = decontaminate.find_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select("doc_id").distinct()
-    return docs.join(leaks, "doc_id", "left_anti").select(*docs.columns)
+    return _without(docs, materialize(leaks, "leaks")).select(*docs.columns)
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
