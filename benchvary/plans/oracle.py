@@ -308,7 +308,11 @@ ORACLE |= {
     "op_range_frame": "WITH e AS (SELECT event_id, user_id, floor(epoch(ts))::BIGINT AS s FROM events) SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS within_day FROM e",
     "op_approximate": "SELECT event_type, true AS distinct_ok, true AS sketch_ok, true AS median_ok FROM events GROUP BY 1",
     "op_set_sketches": f"WITH {VEC} SELECT sum(in_m * in_cap)::BIGINT AS m_cap, sum(in_m)::BIGINT AS m, true AS overlap_ok, true AS size_ok FROM tr",
-    "op_provider_inferrer": f"WITH b AS (SELECT item_id, array_to_string(string_split(text, ' ')[(len(string_split(text, ' ')) // 2) + 1:], ' ') AS answer FROM benchmark) SELECT item_id, doc_id FROM documents d JOIN b ON item_id = doc_id % (SELECT count(*) FROM benchmark) WHERE length({_NORM('answer')}) > 0 AND contains({_NORM('text')}, {_NORM('answer')})",
+    "op_provider_inferrer": f"WITH b AS (SELECT item_id, text AS whole, array_to_string(string_split(text, ' ')[(len(string_split(text, ' ')) // 2) + 1:], ' ') AS answer FROM benchmark), n AS (SELECT count(*) AS n FROM benchmark) SELECT item_id, doc_id FROM documents d, b WHERE (contains(d.text, b.whole) OR item_id = doc_id % (SELECT n FROM n)) AND length({_NORM('answer')}) > 0 AND contains({_NORM('text')}, {_NORM('answer')})",
     "log_with_registry": "SELECT event_id, CASE WHEN user_id % 9 < 3 THEN 'small' WHEN user_id % 9 < 6 THEN 'middle' ELSE 'large' END AS size FROM events",
     "log_regenerate_state": "WITH e AS (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k, (event_id % 3 = 0) AS ok FROM events), f AS (SELECT user_id, min(k) FILTER (ok) AS a, count(*) AS n FROM e WHERE k <= 5 GROUP BY 1) SELECT user_id, coalesce(a, 5)::INT AS attempt, (a IS NULL)::INT AS fallback FROM f WHERE a IS NOT NULL OR n = 5",
+    "rank_correlation": _scores(compose.EXTREMES, "it", _G) + ", b AS (SELECT *, rank() OVER (PARTITION BY benchmark, variant_id ORDER BY accuracy DESC) AS place FROM scores) SELECT b.variant_id, round(corr(b.place, v.place), 4) AS correlation FROM b JOIN b v ON v.model = b.model AND v.variant_id = 'vanilla' WHERE b.variant_id <> 'vanilla' GROUP BY 1",
+    "guesser_scores": f"WITH {ITEMS} SELECT benchmark, count(*) AS n, round(100.0 * sum(({_h(chr(39) + 'g' + chr(39), chr(39) + 'chance' + chr(39), 'item_id')} % n_options = answer)::INT) / count(*), 4) AS accuracy FROM it GROUP BY 1",
+    "parsed_answers": f"WITH {ITEMS} SELECT task, count(*) AS n, count(*) AS \"right\" FROM it WHERE n_options = 4 OR task = 'presence' GROUP BY 1",
+    "log_interval_join": "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id % 2 = 0 AND b.event_id % 2 = 1 AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR",
 }

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from benchvary.functions.hashing import stable_bucket
-from benchvary.functions.text import boxes_overlap, cosine, normalize_answer, token_f1
+from benchvary.functions.text import boxes_overlap, cosine, normalize_answer, parse_choice, parse_yes_no, token_f1
 from benchvary.operators import answering as A
 from benchvary.operators import contamination as C
 from benchvary.operators import edits as E
@@ -612,6 +612,33 @@ def rank_shift(spark, d):
     return b.where("variant_id <> 'vanilla'").join(F.broadcast(base), "model").select("model", "variant_id", (F.col("place") - F.col("vanilla_place")).alias("shift"))
 
 
+@query
+def rank_correlation(spark, d):
+    """Rank correlation of the leaderboard on each extreme variant with the static one."""
+    b = A.leaderboard(_scores(spark, d, P.EXTREMES, full=True, where="benchmark = 'MC-G'"))
+    base = b.where("variant_id = 'vanilla'").select("model", F.col("place").alias("vanilla_place"))
+    both = b.where("variant_id <> 'vanilla'").join(F.broadcast(base), "model")
+    return both.groupBy("variant_id").agg(F.round(F.corr(F.col("place").cast("double"), F.col("vanilla_place").cast("double")), 4).alias("correlation"))
+
+
+@query
+def guesser_scores(spark, d):
+    """Chance: an answerer that sees nothing."""
+    i = S.items(spark, d).withColumn("right", (stable_bucket(F.col("n_options"), "g", F.lit("chance"), F.col("item_id")) == F.col("answer")).cast("int"))
+    return i.groupBy("benchmark").agg(F.count("*").alias("n"), F.round(100.0 * F.sum("right") / F.count("*"), 4).alias("accuracy"))
+
+
+@query
+def parsed_answers(spark, d):
+    """Raw answers as a model would give them (an option's letter, or yes and no in a sentence), parsed and scored."""
+    i = S.items(spark, d).where("n_options = 4 or task = 'presence'")
+    letter = F.substring(F.lit("ABCD"), F.col("answer") + 1, F.lit(1))
+    raw = F.when(F.col("task") == "presence", F.when(F.col("answer") == 0, "Yes, there is one.").otherwise("I think no.")).otherwise(F.concat(F.lit("("), letter, F.lit(") is right")))
+    i = i.withColumn("raw", raw)
+    got = F.when(F.col("task") == "presence", F.when(parse_yes_no(F.col("raw")) == "yes", 0).otherwise(1)).otherwise(F.instr(F.lit("ABCD"), parse_choice(F.col("raw"))) - 1)
+    return i.groupBy("task").agg(F.count("*").alias("n"), F.sum((got == F.col("answer")).cast("long")).alias("right"))
+
+
 @query
 def memorisation_gap(spark, d):
     """An answerer that has the contaminated static items by heart: right there on vanilla, ordinary on the varied form.
@@ -894,12 +921,13 @@ def op_provider_inferrer(spark, d):
     """Pairs whose caption settles the answer, by the default provider over Arrow batches."""
     from benchvary.operators import providers
 
-    docs = read_table(spark, d, "documents").select("doc_id", F.col("text").alias("caption"))
-    items_ = read_table(spark, d, "benchmark")
+    docs, items_ = read_table(spark, d, "documents"), read_table(spark, d, "benchmark")
     n = items_.count()
+    pairs = C.verbatim_overlap(docs, items_).unionByName(docs.select((F.col("doc_id") % max(n, 1)).alias("item_id"), "doc_id")).distinct()
     w = F.split("text", " ")
-    items_ = items_.select("item_id", F.array_join(F.slice(w, 1, F.floor(F.size(w) / 2).cast("int")), " ").alias("question"), F.array_join(F.slice(w, F.floor(F.size(w) / 2).cast("int") + 1, F.size(w)), " ").alias("answer"))
-    pairs = docs.withColumn("item_id", F.col("doc_id") % max(n, 1)).join(items_, "item_id")
+    half = F.floor(F.size(w) / 2).cast("int")
+    items_ = items_.select("item_id", F.array_join(F.slice(w, 1, half), " ").alias("question"), F.array_join(F.slice(w, half + 1, F.size(w)), " ").alias("answer"))
+    pairs = pairs.join(items_, "item_id").join(docs.select("doc_id", F.col("text").alias("caption")), "doc_id")
     return providers.caption_settles(pairs, providers.span_provider).select("item_id", "doc_id")
 
 
@@ -915,5 +943,5 @@ def _stream(name):
     QUERIES[f"log_{name}"] = run
 
 
-for _n in ("tumbling", "sliding", "session", "dedup", "late_rows", "running_contamination", "with_registry", "regenerate_state"):
+for _n in ("tumbling", "sliding", "session", "dedup", "late_rows", "running_contamination", "with_registry", "regenerate_state", "interval_join"):
     _stream(_n)
