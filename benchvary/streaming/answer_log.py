@@ -121,7 +121,7 @@ def regenerate_state(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Two streams joined: even answers with the odd ones of the same user within the hour after them."""
-    a = log(spark, sf_dir).where("event_id % 2 = 0").selectExpr("event_id as a_id", "user_id as u", "ts as a_ts").withWatermark("a_ts", DELAY)
-    b = log(spark, sf_dir).where("event_id % 2 = 1").selectExpr("event_id as b_id", "user_id", "ts as b_ts").withWatermark("b_ts", DELAY)
+    a = log(spark, sf_dir).where("event_id % 2 = 0").selectExpr("event_id as a_id", "user_id as u", "ts as a_ts")
+    b = log(spark, sf_dir).where("event_id % 2 = 1").selectExpr("event_id as b_id", "user_id", "ts as b_ts")
     near = F.expr("u = user_id and b_ts > a_ts and b_ts <= a_ts + interval 1 hour")
     return drained(a.join(b, near).select("a_id", "b_id"), "interval")
