@@ -11,7 +11,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Bytes of text handled at once; one document may be longer and is then handled alone.
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
 #: Most rows handled at once.
 SLICE_ROWS = 4096
 
@@ -68,8 +68,8 @@ class _Powers:
     @classmethod
     def to(cls, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(cls.up) < n:
-            keep = n <= SLICE_BYTES * 2
-            size = max(n, SLICE_BYTES + 1024)
+            keep = n <= SLICE_BYTES * 4
+            size = max(n, SLICE_BYTES // 2 + 1024)
             up, down = np.full(size, _P), np.full(size, _P_INV)
             up[0] = down[0] = 1
             np.multiply.accumulate(up, out=up)

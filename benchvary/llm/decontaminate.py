@@ -26,6 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from benchvary.llm import _text
+from benchvary.session import modest_batches
 
 NGRAM = 4
 #: Least share of an item's full alignment score.
@@ -111,6 +112,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", te
     """(doc_id, item_id, score, start, end, n_words): the best alignment of each item in each document that reaches
     least_score, a share of the item's own full score. start and end are code points of the document, end exclusive.
     """
+    modest_batches(docs.sparkSession)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     schema = "doc_id long, item_id long, score double, start long, end long, n_words long"
     n_items = benchmark.count()

@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from benchvary.llm import _text
 from benchvary.llm._graph import components
-from benchvary.session import forget, materialize
+from benchvary.session import forget, materialize, modest_batches
 
 #: Most documents of a key whose pairs are listed directly; beyond it the key is combined with others.
 RARE = 4096
@@ -269,6 +269,7 @@ def similar_groups(docs: DataFrame, n_words: int = 5, threshold: tuple[int, int]
     text_key: xxhash64 of the text, which tells rows that share an id apart.
     threshold: similarity as a fraction (numerator, denominator), compared in whole numbers.
     """
+    modest_batches(docs.sparkSession)
     num, den = threshold
     longest = LONGEST if num >= den else min(LONGEST, max(1, -(-num // (den - num))))  # different similar sets share as many at least
     classes = docs.sparkSession.sparkContext.broadcast(shingle_classes(docs.select(F.col(text_col).alias("text")), n_words))

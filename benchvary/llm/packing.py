@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from benchvary.llm import _text
-from benchvary.session import materialize
+from benchvary.session import materialize, modest_batches
 
 WINDOW = 1024
 SEPARATOR_ID = 0
@@ -95,6 +95,12 @@ class CachedTokenizer:
         probes = ["", " ", "It's 12 o'clock,  isn't it?\n\n Zäöß naïve élève 東京 \u00a0x", "thntblere\tofhe  |  x=1;", " a\r\n b"]
         return encode if all(encode(p) == self.model.encode(p, add_special_tokens=False).ids for p in probes) else None
 
+    def forget(self) -> None:
+        """Drop the chunks met so far: a worker that lives on after its task holds no more than the vocabulary."""
+        for known in (self.first, self.later):
+            if known is not None:
+                known.clear()
+
     def encode(self, text: str) -> bytes:
         if self.later is None:
             return array(self.code, self.model.encode(text, add_special_tokens=False).ids).tobytes()
@@ -128,6 +134,7 @@ def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text
                     [rows.column(0), pa.array(n), pa.array(ids, pa.binary()), pa.array(np.full(len(n), part, dtype=np.int64)), pa.array(starts)],
                     names=["doc_id", "n_tokens", "ids", "part", "part_start"],
                 )
+        tok.forget()
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(
         _text.released(run), "doc_id long, n_tokens long, ids binary, part long, part_start long"
@@ -139,6 +146,7 @@ def concatenate_and_cut(docs: DataFrame, window: int = WINDOW, tokenizer_path: s
 
     The partition totals that reach the driver are one pair of numbers for each partition of the input.
     """
+    modest_batches(docs.sparkSession)
     path = tokenizer_path or default_tokenizer()
     table = materialize(tokenized(docs, path, id_col, text_col, separator_id), "tokens")
     totals = sorted((r["part"], r["n"]) for r in table.groupBy("part").agg(F.sum("n_tokens").alias("n")).collect())

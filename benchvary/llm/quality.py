@@ -21,6 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from benchvary.llm import _text
+from benchvary.session import modest_batches
 
 #: Bound of the sample of labelled rows that the ensemble is fitted on.
 SAMPLE_ROWS = 20_000
@@ -87,6 +88,7 @@ def text_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ..
 
     within: a struct column of keep that holds the text; it then travels once. Null texts count as empty.
     """
+    modest_batches(docs.sparkSession)
     body = text_col
     while body in keep:
         body += "_"

@@ -90,5 +90,21 @@ def op10_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_secrets, op2_quality, op3_langmodel, op4_vectors, op5_urls, op6_archives, op7_packing, op8_decontamination, op9_jaccard, op10_suffixes)}
-#: None of the ten can be put into plain SQL as a whole (trained scores, tokenisers, components); tests hold them against brute force.
-ORACLE: dict[str, str] = {}
+_REACH = """, reach(a, b) AS (SELECT id, id FROM nodes UNION SELECT r.a, l.b FROM reach r JOIN links l ON l.a = r.b), low AS (SELECT a AS id, min(b) AS component_id FROM reach GROUP BY 1)"""
+_WORDS = r"list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda w: w <> '')"
+_BASE32 = " || ".join(f"substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + (('0x' || substr(hex_, {5 * j + 1}, 5))::INT >> {shift}) % 32, 1)" for j in range(8) for shift in (15, 10, 5, 0))
+_COSINE = "list_dot_product(a.e, b.e) / (sqrt(list_dot_product(a.e, a.e)) * sqrt(list_dot_product(b.e, b.e)))"
+#: DuckDB SQL for those that need neither a trained model nor a tokeniser; tests hold the others against brute force.
+ORACLE: dict[str, str] = {
+    "op4_vectors": f"""WITH RECURSIVE v AS (SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings),
+ok AS (SELECT * FROM v WHERE label IS NOT NULL AND e IS NOT NULL AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(e, lambda x: x <> 0)) > 0),
+links AS (SELECT a.vec_id AS a, b.vec_id AS b FROM ok a JOIN ok b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.e) = len(b.e) AND {_COSINE} >= 0.93), nodes AS (SELECT vec_id AS id FROM v){_REACH}
+SELECT id AS vec_id, (SELECT count(*) FROM links WHERE links.a = low.id) AS n_links, component_id, id = component_id AS kept FROM low""",
+    "op6_archives": f"""WITH p AS (SELECT page_id, coalesce(html, '') AS body FROM pages), h AS (SELECT page_id, octet_length(encode(body)) AS payload_bytes, sha1(body) AS hex_, max(page_id) OVER (PARTITION BY body) AS last_ FROM p)
+SELECT page_id, payload_bytes, {_BASE32} AS payload_digest, CASE WHEN page_id = last_ THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> last_ THEN last_ END AS refers_to FROM h""",
+    "op9_jaccard": f"""WITH RECURSIVE w AS (SELECT doc_id, {_WORDS} AS l FROM documents),
+sets AS (SELECT doc_id, CASE WHEN len(l) >= 4 THEN list_distinct(list_transform(range(len(l) - 3), lambda i: array_to_string(l[i + 1:i + 4], ' '))) WHEN len(l) > 0 THEN [array_to_string(l, ' ')] ELSE [] END AS s FROM w),
+sh AS (SELECT doc_id, len(s) AS n, unnest(list_transform(s, lambda x: hash(x))) AS g FROM sets), pairs AS (SELECT a.doc_id AS a, b.doc_id AS b, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS c FROM sh a JOIN sh b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+links AS (SELECT a, b FROM pairs WHERE 100 * c >= 85 * (na + nb - c)), nodes AS (SELECT doc_id AS id FROM documents){_REACH}
+SELECT doc_id, len(s) AS n_shingles, component_id FROM sets JOIN low ON id = doc_id""",
+}

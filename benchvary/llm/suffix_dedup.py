@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from benchvary.llm import _text
-from benchvary.session import forget, materialize
+from benchvary.session import forget, materialize, modest_batches
 
 LENGTH = 400
 GRAM = 64
@@ -316,6 +316,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, report: int | None = N
     spans: maximal removed runs as array<struct<start,end>> of bytes; kept: the remaining bytes, in order; n_reported:
     bytes covered by strings of report bytes (at most length; by default length) that also start elsewhere.
     """
+    modest_batches(docs.sparkSession)
     report = length if report is None else report
     if not 2 * GRAM <= report <= length:
         raise ValueError(f"the shorter length must be at least {2 * GRAM}, and not above the other")
