@@ -71,6 +71,21 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Bytes of an Arrow batch: what a task holds several times over, outside the heap and in its Python worker.
+BATCH_BYTES = 8 << 20
+
+
+def modest_batches(spark: SparkSession) -> None:
+    """Arrow batches of at most BATCH_BYTES from here on, unless the session asks for fewer; long texts make the default ones large."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    try:
+        now = spark.conf.get(key)
+    except Exception:  # this release doesn't know the setting
+        return
+    if now.endswith("b") and now[:-1].isdigit() and int(now[:-1]) > BATCH_BYTES:
+        spark.conf.set(key, f"{BATCH_BYTES}b")
+
+
 def forget(df: DataFrame) -> None:
     """Delete the files behind a frame made by materialize(), once nothing reads it any more."""
     spark = df.sparkSession
