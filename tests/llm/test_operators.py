@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from benchvary.llm import _text, decontaminate, jaccard_join, langmodel, packing, quality, queries, secrets, suffix_dedup, url_filter, vector_dedup, warc_zip
+from tests.compare import connect, mismatch
 
 RNG = random.Random(5)
 WORDS = ["".join(RNG.choice("abcdefghij") for _ in range(RNG.randrange(2, 9))) for _ in range(400)]
@@ -457,3 +458,8 @@ def test_held_out_rows_teach_nothing(spark, sf):
     assert wrong.isEmpty() and odd.isEmpty()
     share = got.where("held_out").join(labels, "doc_id").agg(F.avg((F.col("predicted") == F.col("quality")).cast("double"))).first()[0]
     assert share > 0.9
+
+
+@pytest.mark.parametrize("name", sorted(queries.ORACLE))
+def test_against_duckdb(spark, sf, name):
+    assert mismatch(spark, connect(sf), sf, queries.QUERIES[name], queries.ORACLE[name]) == ""
