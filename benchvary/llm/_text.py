@@ -24,13 +24,25 @@ _LOWER[65:91] += 32
 _GRAM = np.array([0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3], dtype=np.uint64)
 
 
-def released(run: Callable) -> Callable:
+#: How to drop what operators keep in a worker from one of their tasks to the next.
+HELD: list[Callable[[], None]] = []
+
+
+def drop_held() -> None:
+    for drop in HELD:
+        drop()
+
+
+def released(run: Callable, keep: bool = False) -> Callable:
     """A mapInArrow function that hands memory it no longer needs back to the system when its partition ends.
 
-    Workers live on between tasks, and executors are charged for what an idle one holds.
+    Workers live on between tasks, and executors are charged for what an idle one holds. Unless keep is set, what other
+    operators have left in the worker goes first.
     """
 
     def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if not keep:
+            drop_held()
         try:
             yield from run(batches)
         finally:

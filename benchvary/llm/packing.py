@@ -29,7 +29,7 @@ from benchvary.session import materialize, modest_batches
 WINDOW = 1024
 SEPARATOR_ID = 0
 #: Chunks of text whose ids a Python worker keeps; then it starts anew.
-CACHE_ENTRIES = 250_000
+CACHE_ENTRIES = 350_000
 
 #: A space beside other white space: there the text can't be split at single spaces.
 _NOT_ISOLATED = re.compile(r"\s | \s")
@@ -96,7 +96,7 @@ class CachedTokenizer:
         return encode if all(encode(p) == self.model.encode(p, add_special_tokens=False).ids for p in probes) else None
 
     def forget(self) -> None:
-        """Drop the chunks met so far: a worker that lives on after its task holds no more than the vocabulary."""
+        """Drop the chunks met so far, as when a worker turns to another operator."""
         for known in (self.first, self.later):
             if known is not None:
                 known.clear()
@@ -114,6 +114,7 @@ _TOKENIZERS: dict[str, CachedTokenizer] = {}
 def _tokenizer(path: str) -> CachedTokenizer:
     if path not in _TOKENIZERS:
         _TOKENIZERS[path] = CachedTokenizer(path)
+        _text.HELD.append(_TOKENIZERS[path].forget)
     return _TOKENIZERS[path]
 
 
@@ -134,10 +135,9 @@ def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text
                     [rows.column(0), pa.array(n), pa.array(ids, pa.binary()), pa.array(np.full(len(n), part, dtype=np.int64)), pa.array(starts)],
                     names=["doc_id", "n_tokens", "ids", "part", "part_start"],
                 )
-        tok.forget()
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(
-        _text.released(run), "doc_id long, n_tokens long, ids binary, part long, part_start long"
+        _text.released(run, keep=True), "doc_id long, n_tokens long, ids binary, part long, part_start long"
     )
 
 
