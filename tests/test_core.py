@@ -131,3 +131,13 @@ def test_parsing(spark):
 
 def test_grid_has_twelve_cells():
     assert len({s[0] for s in compose.GRID}) == 12 and compose.HARDEST[0] == "V1+L4"
+
+
+def test_sliding_windows_take_the_nearest_second(spark, tmp_path):
+    import duckdb
+
+    sql = "SELECT k AS event_id, ts, k AS user_id, 'click' AS event_type, 10.0 * k AS value, '{}' AS props FROM (VALUES (1, TIMESTAMP '2024-01-08 17:59:59.7'), (2, TIMESTAMP '2024-01-08 17:59:59.5'), (3, TIMESTAMP '2024-01-08 17:59:58.5'), (4, TIMESTAMP '2024-01-08 18:00:00.2')) AS t(k, ts)"
+    duckdb.sql(f"COPY ({sql}) TO '{tmp_path}/events.parquet'")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    assert mismatch(spark, con, str(tmp_path), queries.QUERIES["log_sliding"], oracle.ORACLE["log_sliding"]) == ""
