@@ -141,3 +141,11 @@ def test_sliding_windows_take_the_nearest_second(spark, tmp_path):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
     assert mismatch(spark, con, str(tmp_path), queries.QUERIES["log_sliding"], oracle.ORACLE["log_sliding"]) == ""
+def _plan(df) -> str:
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_salted_join_is_not_broadcast(spark, sf):
+    assert "BroadcastHashJoin" not in _plan(queries.QUERIES["op_salted_join"](spark, sf))
+
+
