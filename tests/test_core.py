@@ -149,3 +149,9 @@ def test_salted_join_is_not_broadcast(spark, sf):
     assert "BroadcastHashJoin" not in _plan(queries.QUERIES["op_salted_join"](spark, sf))
 
 
+@pytest.mark.parametrize("name", ["op_specs", "op_udtf_specs", "paired_grid_variants"])
+def test_compositions_are_dealt_over_orders(spark, sf, name):
+    df = queries.QUERIES[name](spark, sf)
+    assert "orders.parquet" in _plan(df) and "scenes" in df.columns
+
+
