@@ -142,6 +142,8 @@ def test_sliding_windows_take_the_nearest_second(spark, tmp_path):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
     assert mismatch(spark, con, str(tmp_path), queries.QUERIES["log_sliding"], oracle.ORACLE["log_sliding"]) == ""
+
+
 def _plan(df) -> str:
     return df._jdf.queryExecution().executedPlan().toString()
 
@@ -218,3 +220,5 @@ def test_composite_counts_bits_of_both_sides(spark, sf):
     i.unpersist()
 
 
+def test_length_effect_answers_once(spark, sf):
+    assert _plan(queries.QUERIES["length_effect"](spark, sf)).count("lineitem.parquet") == 1
